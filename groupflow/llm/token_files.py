@@ -30,7 +30,7 @@ from groupflow.llm.piece_cache import PieceCache
 from groupflow.storage import materialize, scratch_path
 
 _MAGIC = b"GFTOK01\n"
-_FOOT = struct.Struct("<BQQqQ")
+_FOOT = "<BQQqQ"
 _SPACE_AFTER_SPACE = re.compile(r"\s ")
 
 
@@ -102,8 +102,8 @@ class TokenFile:
             raise ValueError(f"not a token file: {path}")
         (length,) = struct.unpack("<Q", tail[:8])
         foot = self.file.read_at(length, size - 8 - len(_MAGIC) - length)
-        self.width, self.n_docs, self.n_null, self.first_id, self.n_ids = _FOOT.unpack_from(foot)
-        self.doc_ids, at = EliasFano.from_bytes(foot, _FOOT.size)
+        self.width, self.n_docs, self.n_null, self.first_id, self.n_ids = struct.unpack_from(_FOOT, foot)
+        self.doc_ids, at = EliasFano.from_bytes(foot, struct.calcsize(_FOOT))
         self.ends, _ = EliasFano.from_bytes(foot, at)
 
     def doc_id(self, i: int) -> int | None:
@@ -147,7 +147,7 @@ def _writer(tokenizer: str, folder: str, end_id: int):
         ends = np.cumsum(np.concatenate(lengths), dtype=np.uint64)
         ids = np.array(doc_ids, np.int64)
         first = int(ids[0]) if len(ids) else 0
-        foot = _FOOT.pack(encoder.width, len(ends), n_null, first, int(ends[-1]))
+        foot = struct.pack(_FOOT, encoder.width, len(ends), n_null, first, int(ends[-1]))
         foot += EliasFano.build((ids - first).astype(np.uint64)).to_bytes() + EliasFano.build(ends).to_bytes()
         out.write(foot + struct.pack("<Q", len(foot)) + _MAGIC)
         out.close()

@@ -16,18 +16,20 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from groupflow.storage import materialize
+
 _SENTENCE = re.compile(r"[^.!?\n]+[.!?]*")
 _WORD = re.compile(r"[^\W_]+")
 
 
 @dataclass(frozen=True)
 class ToxicityParams:
-    """``vocabulary`` features with the most evidence are kept, counted over *all* labelled
-    training rows. The model is fitted on ``sample_docs`` of those rows at most (smallest hashes
-    of doc_id, in equal parts for each label); from them only the kept features reach the driver."""
+    """The model is fitted on ``sample_docs`` labelled rows at most (smallest hashes of doc_id, in equal
+    parts for each label). Of their features the ``vocabulary`` ones with the most evidence are kept,
+    and only those reach the driver."""
 
     vocabulary: int = 3000
-    sample_docs: int = 12000
+    sample_docs: int = 16000
     prefix: int = 5
     min_docs: int = 3
     epochs: int = 300
@@ -122,41 +124,52 @@ def _fit(bags: list[list[list[int]]], labels: np.ndarray, n: int, p: ToxicityPar
     return w, float(b)
 
 
-def train(labelled: DataFrame, p: ToxicityParams = ToxicityParams()) -> ToxicityModel:
-    """Fit on ``labelled(doc_id, text, toxic)``; rows with a null label count for nothing.
+def _sampled(docs: DataFrame, labels: DataFrame, p: ToxicityParams) -> DataFrame:
+    """``text, toxic`` of the bounded sample. It is drawn from ids alone and broadcast, so texts are not shuffled."""
+    known = (
+        labels.filter("toxic in (0, 1) and doc_id is not null")
+        .groupBy(F.col("doc_id").cast("long").alias("doc_id"))
+        .agg(F.max("toxic").cast("int").alias("toxic"))
+    )
+    parts = [
+        known.filter(F.col("toxic") == label).orderBy(F.xxhash64("doc_id"), "doc_id").limit(p.sample_docs // 2)
+        for label in (0, 1)
+    ]
+    chosen = materialize(parts[0].unionByName(parts[1]), "sample")
+    return materialize(
+        docs.select(F.col("doc_id").cast("long"), "text").join(F.broadcast(chosen), "doc_id").select("text", "toxic"), "sampled"
+    )
+
+
+def train(docs: DataFrame, labels: DataFrame, p: ToxicityParams = ToxicityParams()) -> ToxicityModel:
+    """Fit on ``docs(doc_id, text)`` and ``labels(doc_id, toxic)``; null labels and ids count for nothing.
 
-    Without rows of both labels the model knows no feature and scores every text alike, near 0.
+    A doc_id with both labels counts as toxic. Without rows of both labels the model knows no
+    feature and scores every text alike, near 0.
     """
-    rows = labelled.filter("toxic in (0, 1)").select("doc_id", "text", F.col("toxic").cast("int"))
-    counted = (
-        rows.select("text", "toxic")
-        .mapInArrow(_count_features(p.prefix), "feature string, n0 long, n1 long")
-        .groupBy("feature")
-        .agg(F.sum("n0").alias("n0"), F.sum("n1").alias("n1"))
-        .filter(F.col("n0") + F.col("n1") >= p.min_docs)
-    )
+    rows = _sampled(docs, labels, p)
     totals = {r["toxic"]: r["n"] for r in rows.groupBy("toxic").agg(F.count("*").alias("n")).collect()}
     if len(totals) < 2:
-        return ToxicityModel({}, -6.0, p.prefix)
-    n0, n1 = totals[0], totals[1]
+        return ToxicityModel({}, -30.0, p.prefix)
     a, c = F.col("n1"), F.col("n0")
+    n0, n1 = totals[0], totals[1]
     # difference of the two document shares in units of its spread
     share = (a + c) / (n0 + n1)
     evidence = F.abs(a / n1 - c / n0) / F.sqrt(share * (1 - share) + 1e-12)
-    top = counted.withColumn("e", evidence).orderBy(F.desc("e"), "feature").limit(p.vocabulary).collect()
+    top = (
+        rows.mapInArrow(_count_features(p.prefix), "feature string, n0 long, n1 long")
+        .groupBy("feature")
+        .agg(F.sum("n0").alias("n0"), F.sum("n1").alias("n1"))
+        .filter(a + c >= p.min_docs)
+        .withColumn("evidence", evidence)
+        .orderBy(F.desc("evidence"), "feature")
+        .limit(p.vocabulary)
+        .collect()
+    )
     features = sorted(r["feature"] for r in top)
-    bags: list = []
-    labels: list[int] = []
-    for label in (0, 1):
-        part = rows.filter(F.col("toxic") == label).select("doc_id", "text", "toxic")
-        cut = (p.sample_docs // 2) / max(totals[label], 1)
-        # a bounded sample by hash, then exact to the bound; no sort of the texts
-        near = part.filter(F.pmod(F.xxhash64("doc_id"), F.lit(1_000_000)) < int(cut * 1_000_000 * 1.05) + 1)
-        got = near.select("text", "toxic").mapInArrow(_bag_rows(features, p.prefix), "bag array<array<int>>, toxic int")
-        for r in got.limit(p.sample_docs // 2).collect():
-            bags.append(r["bag"])
-            labels.append(r["toxic"])
-    w, b = _fit(bags, np.asarray(labels), len(features), p)
+    bags = rows.mapInArrow(_bag_rows(features, p.prefix), "bag array<array<int>>, toxic int").collect()
+    bags = sorted(([list(x) for x in r["bag"]], r["toxic"]) for r in bags)
+    w, b = _fit([x for x, _ in bags], np.asarray([y for _, y in bags]), len(features), p)
     return ToxicityModel({f: float(x) for f, x in zip(features, w) if x}, b, p.prefix)
 
 
@@ -209,3 +222,16 @@ def score(docs: DataFrame, model: ToxicityModel, p: ToxicityParams = ToxicityPar
     return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(
         run, "doc_id long, score double, predicted int, offending array<string>"
     )
+
+
+def keep_clean(docs: DataFrame, model: ToxicityModel) -> DataFrame:
+    """The rows of ``docs`` whose text scores below 0.5, in one pass and with all their columns."""
+    shared = docs.sparkSession.sparkContext.broadcast(model)
+    at = docs.columns.index("text")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            clean = [score_text(t.as_py(), shared.value)[0] < 0.5 for t in batch.column(at)]
+            yield batch.filter(pa.array(clean, pa.bool_()))
+
+    return docs.mapInArrow(run, docs.schema)
