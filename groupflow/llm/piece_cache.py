@@ -12,7 +12,7 @@ class PieceCache(dict):
     from task to task; it only saves time and never changes a result.
     """
 
-    def __init__(self, limit: int = 500_000):
+    def __init__(self, limit: int = 200_000):
         super().__init__()
         self.limit, self.old = limit, {}
 

@@ -15,6 +15,7 @@ import re
 from collections.abc import Iterator
 from functools import lru_cache
 from itertools import chain
+from operator import add
 
 import pyarrow as pa
 import sentencepiece
@@ -24,6 +25,8 @@ from pyspark.sql import functions as F
 from groupflow.llm.piece_cache import PieceCache
 
 _SPACE = "▁"
+_BITS = 32
+_POSITION = (1 << _BITS) - 1
 _UNIT = re.compile(f"{_SPACE}+[^{_SPACE}]*")
 
 
@@ -32,7 +35,7 @@ class AgendaEncoder:
 
     def __init__(self, path: str):
         self.library = lib = sentencepiece.SentencePieceProcessor(model_file=path)
-        self.scores: dict[str, float] = {}
+        scores: dict[str, float] = {}
         self.ids: dict[str, int] = {}
         self.bytes: list[int | None] = [None] * 256
         self.unknown = lib.unk_id()
@@ -43,54 +46,69 @@ class AgendaEncoder:
             elif not (lib.is_control(i) or lib.is_unknown(i)):
                 if lib.is_unused(i):
                     raise ValueError("unused pieces are not covered")
-                self.scores[piece], self.ids[piece] = lib.get_score(i), i
+                scores[piece], self.ids[piece] = lib.get_score(i), i
                 if _SPACE in piece.lstrip(_SPACE):
                     raise ValueError("a piece reaches over the start of a word")
         probe = "  a ﬁ A"
         if None in self.bytes or lib.normalize(probe) != _SPACE + probe.replace(" ", _SPACE):
             raise ValueError("only byte fallback, no normalisation and a dummy prefix are covered")
-        self.known = PieceCache()
-
-    def merge(self, unit: str) -> tuple[int, ...]:
-        """Ids of one unit."""
-        whole = self.ids.get(unit)
-        symbols = list(unit)
+        levels = {score: i for i, score in enumerate(sorted(set(scores.values()), reverse=True))}
+        self.ranks = {piece: levels[score] << _BITS for piece, score in scores.items()}
+        self.neighbours = {piece[i : i + 2] for piece in scores for i in range(len(piece) - 1)}
+        self.border = self._border()
+        self.known, self.merged = PieceCache(), PieceCache()
+
+    def merge(self, part: str) -> tuple[int, ...]:
+        """Ids of one part, by the agenda alone."""
+        symbols = list(part)
         n = len(symbols)
-        score = self.scores.get
-        after = list(range(1, n + 1))
-        before = list(range(-1, n - 1))
-        agenda = []
-        for i in range(n - 1):
-            pair = symbols[i] + symbols[i + 1]
-            if (s := score(pair)) is not None:
-                agenda.append((-s, i, pair))
-        heapq.heapify(agenda)
-        while agenda:
-            _, i, pair = heapq.heappop(agenda)
-            j = after[i]
-            if not symbols[i] or j >= n or symbols[i] + symbols[j] != pair:
-                continue  # one of the two has been joined with another since
-            symbols[i], symbols[j] = pair, ""
-            after[i] = k = after[j]
-            if k < n:
-                before[k] = i
-                right = pair + symbols[k]
-                if (s := score(right)) is not None:
-                    heapq.heappush(agenda, (-s, i, right))
-            h = before[i]
-            if h >= 0:
-                left = symbols[h] + pair
-                if (s := score(left)) is not None:
-                    heapq.heappush(agenda, (-s, h, left))
-        if whole is not None and symbols[0] == unit:
-            return (whole,)
+        rank = self.ranks.get
+        # an entry is rank and left position in one number, so the heap compares integers
+        agenda = [r | i for i, pair in enumerate(map(add, symbols, symbols[1:])) if (r := rank(pair)) is not None]
+        if agenda:
+            heapq.heapify(agenda)
+            after = list(range(1, n + 1))
+            before = list(range(-1, n - 1))
+            while agenda:
+                entry = heapq.heappop(agenda)
+                i = entry & _POSITION
+                j = after[i]
+                if j >= n or not symbols[i]:
+                    continue
+                pair = symbols[i] + symbols[j]
+                if rank(pair) != entry - i:
+                    continue  # one of the two has been joined with another since
+                symbols[i], symbols[j] = pair, ""
+                after[i] = k = after[j]
+                if k < n:
+                    before[k] = i
+                    if (r := rank(pair + symbols[k])) is not None:
+                        heapq.heappush(agenda, r | i)
+                h = before[i]
+                if h >= 0 and (r := rank(symbols[h] + pair)) is not None:
+                    heapq.heappush(agenda, r | h)
         out: list[int] = []
         for symbol in symbols:
             if symbol:
                 i = self.ids.get(symbol)
-                out += (i,) if i is not None else [self.bytes[b] for b in symbol.encode("utf-8", "replace")]
+                if i is not None:
+                    out.append(i)
+                else:
+                    out += [self.bytes[b] for b in symbol.encode("utf-8", "replace")]
         return tuple(out)
 
+    def _border(self) -> re.Pattern:
+        """Places between a letter and a mark, such that no piece holds a letter and that mark side by side.
+
+        No pair joins across them, so what stands on the two sides can be merged apart.
+        """
+        marks = {c for piece in self.ids for c in piece if not c.isalpha()} | set("\n\t\r")
+        left = {b for a, b in self.neighbours if a.isalpha()}
+        right = {a for a, b in self.neighbours if b.isalpha()}
+        before, after = ("".join(map(re.escape, sorted(marks - x))) for x in (left, right))
+        letter = r"[^\W\d_]"
+        return re.compile(f"(?<={letter})(?=[{before}])|(?<=[{after}])(?={letter})")
+
     @staticmethod
     def units(text: str) -> list[str]:
         """Units of a whole text; each begins with the mark of a space."""
@@ -101,8 +119,12 @@ class AgendaEncoder:
         known = self.known
         fresh = known.missing(chain.from_iterable(texts))
         expected = self.library.encode([u[1:] for u in fresh], num_threads=1)
-        for unit, theirs in zip(fresh, expected):
-            ids = self.merge(unit)
+        cut = list(map(self.border.split, fresh))
+        merged = self.merged
+        for part in merged.missing(chain.from_iterable(cut)):
+            merged[part] = self.merge(part)
+        for unit, parts, theirs in zip(fresh, cut, expected):
+            ids = merged[unit] if len(parts) == 1 else tuple(chain.from_iterable(map(merged.__getitem__, parts)))
             if len(unit) > 1 and list(ids) != theirs:
                 raise AssertionError(f"the library encodes {unit!r} otherwise")
             known[unit] = ids
