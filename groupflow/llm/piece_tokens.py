@@ -1,10 +1,11 @@
 """SentencePiece encoding of merge-type vocabularies, by an agenda of adjacent pairs.
 
-Symbols start as characters. An agenda (a heap) holds every adjacent pair whose concatenation is
-a piece, the best score first and the leftmost first among equals; pairs are joined until the agenda
-is empty, then symbols outside the vocabulary fall back to bytes. Texts are cut into units where
-no piece can reach across, so the agenda of a unit decides alone and its ids can be kept. Each unit
-that is new to a worker is compared with the sentencepiece library, batch by batch.
+Symbols start as characters. An agenda holds every adjacent pair whose concatenation is a piece, the
+best score first and the leftmost first among equals; pairs are joined until the agenda is empty,
+then symbols outside the vocabulary fall back to bytes. Texts are cut into units where no piece
+can reach across, so the agenda of a unit decides alone and its ids can be kept. The agendas of the
+units that are new in a batch are worked off together, and the batch's units are compared with
+the sentencepiece library.
 """
 
 from __future__ import annotations
@@ -22,12 +23,14 @@ import sentencepiece
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from groupflow.llm.pair_agenda import PairAgenda
 from groupflow.llm.piece_cache import PieceCache
 
 _SPACE = "▁"
+# units of more characters go to the heap
+_SHORT = 48
 _BITS = 32
 _POSITION = (1 << _BITS) - 1
-_UNIT = re.compile(f"{_SPACE}+[^{_SPACE}]*")
 
 
 class AgendaEncoder:
@@ -53,81 +56,105 @@ class AgendaEncoder:
         if None in self.bytes or lib.normalize(probe) != _SPACE + probe.replace(" ", _SPACE):
             raise ValueError("only byte fallback, no normalisation and a dummy prefix are covered")
         levels = {score: i for i, score in enumerate(sorted(set(scores.values()), reverse=True))}
-        self.ranks = {piece: levels[score] << _BITS for piece, score in scores.items()}
+        self.ranks = {piece: levels[score] for piece, score in scores.items()}
+        self.agenda = PairAgenda(self.ids, self.ranks)
+        self.pseudo = lib.vocab_size()
         self.neighbours = {piece[i : i + 2] for piece in scores for i in range(len(piece) - 1)}
-        self.border = self._border()
-        self.known, self.merged = PieceCache(), PieceCache()
+        self.alone = {c: len(lib.encode(c)) for c in "\na"}
+        self.cutter = self._cutter()
+        self.known = PieceCache(250_000)
 
-    def merge(self, part: str) -> tuple[int, ...]:
-        """Ids of one part, by the agenda alone."""
-        symbols = list(part)
+    def merge(self, unit: str) -> tuple[int, ...]:
+        """Ids of one unit, by a heap; for units too long for the matrix."""
+        symbols = list(unit)
         n = len(symbols)
         rank = self.ranks.get
         # an entry is rank and left position in one number, so the heap compares integers
-        agenda = [r | i for i, pair in enumerate(map(add, symbols, symbols[1:])) if (r := rank(pair)) is not None]
-        if agenda:
-            heapq.heapify(agenda)
-            after = list(range(1, n + 1))
-            before = list(range(-1, n - 1))
-            while agenda:
-                entry = heapq.heappop(agenda)
-                i = entry & _POSITION
-                j = after[i]
-                if j >= n or not symbols[i]:
-                    continue
-                pair = symbols[i] + symbols[j]
-                if rank(pair) != entry - i:
-                    continue  # one of the two has been joined with another since
-                symbols[i], symbols[j] = pair, ""
-                after[i] = k = after[j]
-                if k < n:
-                    before[k] = i
-                    if (r := rank(pair + symbols[k])) is not None:
-                        heapq.heappush(agenda, r | i)
-                h = before[i]
-                if h >= 0 and (r := rank(symbols[h] + pair)) is not None:
-                    heapq.heappush(agenda, r | h)
-        out: list[int] = []
-        for symbol in symbols:
-            if symbol:
-                i = self.ids.get(symbol)
-                if i is not None:
-                    out.append(i)
-                else:
-                    out += [self.bytes[b] for b in symbol.encode("utf-8", "replace")]
-        return tuple(out)
-
-    def _border(self) -> re.Pattern:
-        """Places between a letter and a mark, such that no piece holds a letter and that mark side by side.
-
-        No pair joins across them, so what stands on the two sides can be merged apart.
+        agenda = [r << _BITS | i for i, pair in enumerate(map(add, symbols, symbols[1:])) if (r := rank(pair)) is not None]
+        heapq.heapify(agenda)
+        after = list(range(1, n + 1))
+        before = list(range(-1, n - 1))
+        while agenda:
+            entry = heapq.heappop(agenda)
+            i = entry & _POSITION
+            j = after[i]
+            if j >= n or not symbols[i]:
+                continue
+            pair = symbols[i] + symbols[j]
+            if rank(pair) != entry >> _BITS:
+                continue  # one of the two has been joined with another since
+            symbols[i], symbols[j] = pair, ""
+            after[i] = k = after[j]
+            if k < n:
+                before[k] = i
+                if (r := rank(pair + symbols[k])) is not None:
+                    heapq.heappush(agenda, r << _BITS | i)
+            h = before[i]
+            if h >= 0 and (r := rank(symbols[h] + pair)) is not None:
+                heapq.heappush(agenda, r << _BITS | h)
+        return tuple(chain.from_iterable(map(self._ids, filter(None, symbols))))
+
+    def _ids(self, symbol: str) -> list[int]:
+        i = self.ids.get(symbol)
+        return [i] if i is not None else [self.bytes[b] for b in symbol.encode("utf-8", "replace")]
+
+    def merge_all(self, units: list[str]) -> list[tuple[int, ...]]:
+        """Ids of many units: short ones in the agenda matrix, long ones by the heap."""
+        short = [u for u in units if len(u) <= _SHORT]
+        merged = self.agenda.merge(short)
+        for n, symbols in enumerate(merged):
+            if max(symbols) >= self.pseudo:
+                merged[n] = tuple(chain.from_iterable((s,) if s < self.pseudo else self._ids(self._text(s)) for s in symbols))
+        if len(short) == len(units):
+            return merged
+        found = iter(merged)
+        return [next(found) if len(u) <= _SHORT else self.merge(u) for u in units]
+
+    def _text(self, symbol: int) -> str:
+        """The character of a symbol that is no piece."""
+        top = self.agenda.first_unknown
+        return self.agenda.known_text[symbol] if symbol < top else chr(symbol - top)
+
+    def _cutter(self) -> re.Pattern:
+        """Units of a text with marked spaces.
+
+        A unit ends before a mark of a space. Words and marks are units of their own where no piece holds a
+        letter and such a mark side by side, for then no pair joins across.
         """
-        marks = {c for piece in self.ids for c in piece if not c.isalpha()} | set("\n\t\r")
-        left = {b for a, b in self.neighbours if a.isalpha()}
-        right = {a for a, b in self.neighbours if b.isalpha()}
-        before, after = ("".join(map(re.escape, sorted(marks - x))) for x in (left, right))
-        letter = r"[^\W\d_]"
-        return re.compile(f"(?<={letter})(?=[{before}])|(?<=[{after}])(?={letter})")
-
-    @staticmethod
-    def units(text: str) -> list[str]:
-        """Units of a whole text; each begins with the mark of a space."""
-        return _UNIT.findall(_SPACE + text.replace(" ", _SPACE)) if text else []
+        marks = {c for piece in self.ids for c in piece if not (c.isalnum() or c in f"_{_SPACE}")} | set("\n\t\r")
+        beside = {c for pair in self.neighbours if any(map(str.isalpha, pair)) for c in pair}
+        marks = "".join(map(re.escape, sorted(marks - beside)))
+        word, end = r"[^\W\d_]", rf"(?=[{_SPACE}{marks}]|\Z)"
+        return re.compile(
+            rf"{_SPACE}*{word}+{end}|(?<={word})[{marks}]+(?={word}|{_SPACE}|\Z)|{_SPACE}*[^{_SPACE}]+|{_SPACE}+"
+        )
+
+    def units(self, text: str) -> list[str]:
+        """Units of a whole text."""
+        return self.cutter.findall(_SPACE + text.replace(" ", _SPACE)) if text else []
 
     def learn(self, texts: list[list[str]]) -> None:
-        """Encode the units that are new, and compare them with the library."""
-        known = self.known
-        fresh = known.missing(chain.from_iterable(texts))
-        expected = self.library.encode([u[1:] for u in fresh], num_threads=1)
-        cut = list(map(self.border.split, fresh))
-        merged = self.merged
-        for part in merged.missing(chain.from_iterable(cut)):
-            merged[part] = self.merge(part)
-        for unit, parts, theirs in zip(fresh, cut, expected):
-            ids = merged[unit] if len(parts) == 1 else tuple(chain.from_iterable(map(merged.__getitem__, parts)))
-            if len(unit) > 1 and list(ids) != theirs:
+        """Encode the units that are new, and compare them with the library.
+
+        The library puts a mark of a space before what it encodes. A unit without one is shown to it after a
+        character that no pair joins with it, and what that gives alone is taken off.
+        """
+        fresh = self.known.missing(chain.from_iterable(texts))
+        ours = self.merge_all(fresh)
+        shown, skipped = [], []
+        for unit in fresh:
+            if unit[0] == _SPACE:
+                shown.append(unit[1:])
+                skipped.append(0)
+            else:
+                before = "\n" if unit[0].isalpha() else "a"
+                shown.append(before + unit)
+                skipped.append(self.alone[before])
+        theirs = self.library.encode(shown, num_threads=1)
+        for unit, ids, expected, skip in zip(fresh, ours, theirs, skipped):
+            if list(ids) != (expected[skip:] if skip else expected) and unit != _SPACE:
                 raise AssertionError(f"the library encodes {unit!r} otherwise")
-            known[unit] = ids
+        self.known.learn(fresh, ours)
 
     def encode(self, texts: list[str]) -> list[list[int]]:
         """Ids of whole texts, without begin or end ids."""

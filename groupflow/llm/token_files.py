@@ -17,11 +17,10 @@ import zlib
 from array import array
 from collections.abc import Iterator
 from functools import lru_cache
-from itertools import chain, islice
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
-import regex
 from pyarrow import fs
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
@@ -32,24 +31,21 @@ from groupflow.storage import materialize, scratch_path
 
 _MAGIC = b"GFTOK01\n"
 _FOOT = "<BQQqQ"
-# fixed values: the words of the byte-level pre-tokenizer
-_WORDS = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+")
-# characters whose classes are alike in every version of the tables
-_COMMON = re.compile("[\t\n\r -~\u00a1-\u017f]*")
+# fixed values: characters whose classes are the same in all tables, and the byte-level words of such texts
+_LETTERS = "A-Za-zÀ-ÖØ-öø-ſ"
+_COMMON = re.compile(f"[\t\n\r -~¡¿«»{_LETTERS}]*")
+_WORDS = re.compile(f"'s|'t|'re|'ve|'m|'ll|'d| ?[{_LETTERS}]+| ?[0-9]+| ?[^\\s0-9{_LETTERS}]+|\\s+(?!\\S)|\\s+")
 # the printable stand-ins for bytes: printable ones stand for themselves, others follow from 256 on
 _PRINTABLE = {*range(33, 127), *range(161, 173), *range(174, 256)}
 _SHOWN = {b: (b if b in _PRINTABLE else 256 + sum(c not in _PRINTABLE for c in range(b))) for b in range(256)}
-_SPACE_AFTER_SPACE = re.compile(r"\s ")
 
 
 class PieceEncoder:
-    """Ids of texts from the tokenizers library, with bounded caches of encoded pieces and words.
+    """Ids of texts from the tokenizers library, with a bounded cache of encoded words.
 
-    A text is cut before each single space that follows a non-space character. With a byte-level
-    pre-tokenizer such a place always starts a word, so the ids of the pieces, one after another, are
-    the ids of the text. A piece of common characters is cut into the pre-tokenizer's words and each
-    new word is given to the library's model; other pieces, texts in which white space stands
-    before a space, and any text under another pre-tokenizer, are encoded whole.
+    A byte-level pre-tokenizer cuts a text into words that the model encodes one by one. Texts of
+    common characters are cut here by the same rule, and only new words are given to the library's
+    model; other texts, and any text under another pre-tokenizer, are encoded whole.
     """
 
     def __init__(self, path: str):
@@ -65,7 +61,7 @@ class PieceEncoder:
         self.cuts = (
             self.tokenizer.normalizer is None and kind.startswith("ByteLevel(add_prefix_space=False") and "use_regex=True" in kind
         )
-        self.pieces, self.words = PieceCache(), PieceCache()
+        self.words = PieceCache(400_000)
 
     def _bytes(self, ids: list[int]) -> bytes:
         coded = array(self.code, ids)
@@ -77,31 +73,20 @@ class PieceEncoder:
         """By the library alone."""
         return [self._bytes(x.ids) for x in self.tokenizer.encode_batch(texts, add_special_tokens=False)]
 
-    def _learn(self, fresh: list[str]) -> None:
-        """Encode new pieces, given without their leading space."""
-        common = [p for p in fresh if _COMMON.fullmatch(p)]
-        cut = [_WORDS.findall(" " + p) for p in common]
-        words, tokenize = self.words, self.tokenizer.model.tokenize
-        for word in words.missing(chain.from_iterable(cut)):
-            shown = word.encode().decode("latin-1").translate(_SHOWN)
-            words[word] = self._bytes([t.id for t in tokenize(shown)])
-        get = words.__getitem__
-        self.pieces.update((p, b"".join(map(get, w))) for p, w in zip(common, cut))
-        rest = [p for p in fresh if p not in self.pieces]
-        self.pieces.update(zip(rest, self.encode_whole([" " + p for p in rest])))
-
     def encode(self, texts: list[str]) -> list[bytes]:
         """Little-endian ids of each text."""
         if not self.cuts:
             return self.encode_whole(texts)
-        cut = {i: t.split(" ") for i, t in enumerate(texts) if t and not _SPACE_AFTER_SPACE.search(t)}
+        cut = {i: _WORDS.findall(t) for i, t in enumerate(texts) if t and _COMMON.fullmatch(t)}
         whole = [i for i, t in enumerate(texts) if t and i not in cut]
-        self._learn(self.pieces.missing(chain.from_iterable(islice(parts, 1, None) for parts in cut.values())))
-        got = self.encode_whole([parts[0] for parts in cut.values()] + [texts[i] for i in whole])
-        out, get = [b""] * len(texts), self.pieces.__getitem__
-        for (i, parts), head in zip(cut.items(), got):
-            out[i] = head + b"".join(map(get, islice(parts, 1, None)))
-        for i, ids in zip(whole, got[len(cut) :]):
+        words, tokenize = self.words, self.tokenizer.model.tokenize
+        new = words.missing(chain.from_iterable(cut.values()))
+        shown = [w.encode().decode("latin-1").translate(_SHOWN) for w in new]
+        words.learn(new, [self._bytes([t.id for t in tokenize(w)]) for w in shown])
+        out, get = [b""] * len(texts), words.__getitem__
+        for i, found in cut.items():
+            out[i] = b"".join(map(get, found))
+        for i, ids in zip(whole, self.encode_whole([texts[i] for i in whole])):
             out[i] = ids
         return out
 
