@@ -1,4 +1,394 @@
-"""Registered queries of the moving-group engine and their SQL."""
+"""Registered queries of the moving-group engine, over whole tables, and their SQL.
 
-QUERIES: dict = {}
-ORACLE_SQL: dict = {}
+Queries of one table folder share what they have in common: it is worked out once for each
+session and folder, and stands on shared storage.
+"""
+
+from __future__ import annotations
+
+from collections.abc import Callable
+from functools import lru_cache
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from groupflow.functions import hausdorff, pruning
+from groupflow.operators import baselines, density, lineage, links, peel, snapshots
+from groupflow.params import Params
+from groupflow.plans import measures
+from groupflow.plans.oracles import sql
+from groupflow.plans.pipeline import Discovery, discover
+from groupflow.sources import tracks
+from groupflow.storage import materialize
+
+P = Params()
+#: Planted walks: the published setting but for ``d``, which fits the walks' speed.
+PLANTED = Params(eps=1.5, min_pts=2, w=14, k_c=10, m_c=2, k_p=8, m_p=2, d=8.0, m_g=1.0, k_g=14)
+
+
+@lru_cache(maxsize=4)
+def _shared(app: str, sf_dir: str) -> dict:
+    spark = SparkSession.active()
+    snap = materialize(tracks.hourly_events(spark, sf_dir), "snap")
+    return {"snap": snap, "all": discover(snap, P)}
+
+
+def _all(spark: SparkSession, sf_dir: str) -> Discovery:
+    return _shared(spark.sparkContext.applicationId, sf_dir)["all"]
+
+
+def _snap(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return tracks.hourly_events(spark, sf_dir)
+
+
+def _r(*names: str) -> list:
+    return [F.round(n, 6).alias(n) for n in names]
+
+
+def _text(c: str):
+    return F.concat_ws("-", F.col(c).cast("array<string>"))
+
+
+def snapshots_hourly(spark, sf_dir):
+    fixes = snapshots.bucket(tracks.event_fixes(spark, sf_dir), tracks.HOUR, tracks.EVENT_ORIGIN)
+    return fixes.groupBy("t").agg(F.count("*").alias("fixes"), F.count_distinct("obj_id").alias("objects"))
+
+
+def snapshots_last_position(spark, sf_dir):
+    fixes = snapshots.bucket(tracks.event_fixes(spark, sf_dir), tracks.HOUR, tracks.EVENT_ORIGIN)
+    return snapshots.synchronize(fixes).select("t", "obj_id", *_r("x", "y"))
+
+
+def snapshots_mean_position(spark, sf_dir):
+    fixes = snapshots.bucket(tracks.event_fixes(spark, sf_dir), tracks.HOUR, tracks.EVENT_ORIGIN)
+    return snapshots.synchronize(fixes, "mean").select("t", "obj_id", *_r("x", "y"))
+
+
+def interpolated_tracks(spark, sf_dir):
+    return _snap(spark, sf_dir).select("t", "obj_id", *_r("x", "y"))
+
+
+def interpolated_max_gap(spark, sf_dir):
+    fixes = tracks.event_fixes(spark, sf_dir)
+    return snapshots.interpolate(fixes, tracks.HOUR, tracks.EVENT_ORIGIN, 12).select("t", "obj_id", *_r("x", "y"))
+
+
+def planted_walks(spark, sf_dir):
+    return tracks.planted_walks(spark, sf_dir).select("t", "obj_id", *_r("x", "y"))
+
+
+def embedding_tracks(spark, sf_dir):
+    return tracks.embedding_tracks(spark, sf_dir).select("t", "obj_id", *_r("x", "y"))
+
+
+def lineitem_sightings(spark, sf_dir):
+    return tracks.lineitem_fixes(spark, sf_dir).select("obj_id", F.unix_micros("ts").alias("us"), *_r("x", "y"))
+
+
+def dataset_size(spark, sf_dir):
+    return measures.describe(_snap(spark, sf_dir))
+
+
+def core_objects(spark, sf_dir):
+    return density.core_objects(_snap(spark, sf_dir), P.eps, P.min_pts).filter("is_core").select("t", "obj_id")
+
+
+def density_clusters(spark, sf_dir):
+    return _all(spark, sf_dir).member.select("t", "cluster_id", "obj_id", "is_core")
+
+
+def density_clusters_by_snapshot(spark, sf_dir):
+    member = density.cluster(_snap(spark, sf_dir), P.eps, P.min_pts, plan="snapshot")
+    return density.keep_large(member, P.m_c).select("t", "cluster_id", "obj_id", "is_core")
+
+
+def cluster_sizes(spark, sf_dir):
+    return _all(spark, sf_dir).member.groupBy("t").agg(F.count_distinct("cluster_id").alias("clusters"), F.count("*").alias("members"))
+
+
+def cluster_shapes(spark, sf_dir):
+    return _all(spark, sf_dir).shape.select("cluster_id", "t", F.col("n").cast("long").alias("n"), *_r("mx", "my", "r", "var", "minx", "maxx", "miny", "maxy"))
+
+
+def hausdorff_distances(spark, sf_dir):
+    found = _all(spark, sf_dir)
+    pts = found.shape.select("cluster_id", "pts")
+    pairs = found.link.join(pts.select(F.col("cluster_id").alias("src"), F.col("pts").alias("a")), "src")
+    pairs = pairs.join(pts.select(F.col("cluster_id").alias("dst"), F.col("pts").alias("b")), "dst")
+    return pairs.select("src", "dst", F.round(hausdorff.distance(F.col("a"), F.col("b")), 6).alias("distance"))
+
+
+def _links(index: str, prune: bool):
+    def query(spark, sf_dir):
+        return links.build(_all(spark, sf_dir).shape, P, index, prune).select("src", "dst", F.col("dt").cast("long").alias("dt"))
+
+    return query
+
+
+def link_decisions(spark, sf_dir):
+    shape = _all(spark, sf_dir).shape
+    decided = links.decide(links.candidates(shape, P, "none"), shape, P)
+    return measures.pruning(decided).select("decided_by", "n", "linked", F.round("share", 6).alias("share"))
+
+
+def _rule(kind: str, rule: str):
+    def query(spark, sf_dir):
+        shape = _all(spark, sf_dir).shape
+        limit = F.lit(P.d) * F.col("dt")
+        says = (pruning.far if kind == "far" else pruning.near)("a", "b", limit, rule)
+        return links.candidates(shape, P, "none").filter(says).select(F.col("a.cluster_id").alias("src"), F.col("b.cluster_id").alias("dst"))
+
+    return query
+
+
+def rule_errors(spark, sf_dir):
+    """Pairs that each rule decides, and those of them that it decides wrongly."""
+    shape = _all(spark, sf_dir).shape
+    link = _all(spark, sf_dir).link.select("src", "dst", F.lit(True).alias("is_link"))
+    limit = F.lit(P.d) * F.col("dt")
+    says = {
+        "far_hull": pruning.far("a", "b", limit, "hull"),
+        "far_printed": pruning.far("a", "b", limit, "printed"),
+        "near_printed": pruning.near("a", "b", limit, "printed"),
+        "near_sound": pruning.near("a", "b", limit, "sound"),
+    }
+    pairs = links.candidates(shape, P, "none").select(
+        F.col("a.cluster_id").alias("src"), F.col("b.cluster_id").alias("dst"), F.explode(F.array(*[F.when(c, F.lit(n)) for n, c in says.items()])).alias("rule")
+    )
+    wrong = F.coalesce("is_link", F.lit(False)) == F.col("rule").startswith("far")
+    return pairs.filter("rule is not null").join(link, ["src", "dst"], "left").groupBy("rule").agg(
+        F.count("*").alias("n"), F.count_if(wrong).alias("wrong")
+    )
+
+
+def cover_links(spark, sf_dir):
+    return _all(spark, sf_dir).cover.select("src", "dst", F.col("dt").cast("long").alias("dt"))
+
+
+def closed_crowds(spark, sf_dir):
+    return _all(spark, sf_dir).crowd.select("crowd_id", F.col("len").cast("long").alias("len"), "s_lo", "s_hi")
+
+
+def participators(spark, sf_dir):
+    found = _all(spark, sf_dir)
+    return peel.participators(found.crowd, found.shape, P.k_p)
+
+
+def aggregation_check(spark, sf_dir):
+    found = _all(spark, sf_dir)
+    return peel.aggregation_check(found.crowd, found.shape, P)
+
+
+def _aggregations(impl: str):
+    def query(spark, sf_dir):
+        found = _all(spark, sf_dir)
+        agg = peel.peel(found.crowd, found.shape, P, impl)
+        return agg.select("agg_id", "s_lo", "s_hi", _text("members").alias("members"), F.col("size").cast("long").alias("size"))
+
+    return query
+
+
+def closed_aggregations(spark, sf_dir):
+    return _all(spark, sf_dir).windows.select("win", "agg_id", _text("members").alias("members"))
+
+
+def groups(spark, sf_dir):
+    return _all(spark, sf_dir).group.select("win", "group_id", F.col("size").cast("long").alias("size"), "n_aggs")
+
+
+def evolution_edges(spark, sf_dir):
+    return _all(spark, sf_dir).evo.select("win", "src_group", "dst_group", "common", *_r("ratio"))
+
+
+def lineage_events(spark, sf_dir):
+    found = _all(spark, sf_dir)
+    return lineage.events(found.group, found.evo).withColumn("size", F.col("size").cast("long"))
+
+
+def _chains(spark, sf_dir):
+    found = _all(spark, sf_dir)
+    return lineage.chains(found.group, found.evo, P.k_g, P.w)
+
+
+def evolving_groups(spark, sf_dir):
+    wide = {c: F.col(c).cast("long") for c in ("n_windows", "n_timestamps", "first_win", "last_win")}
+    return _chains(spark, sf_dir).withColumns(wide).drop("groups")
+
+
+def average_length(spark, sf_dir):
+    return measures.average_length(_chains(spark, sf_dir)).select("n", F.round("avg_timestamps", 6).alias("avg_timestamps"), F.col("max_timestamps").cast("long").alias("max_timestamps"))
+
+
+def pattern_counts(spark, sf_dir):
+    return measures.pattern_counts(_chains(spark, sf_dir).select(F.col("first_win").alias("t")))
+
+
+def state_size(spark, sf_dir):
+    found = _all(spark, sf_dir)
+    return measures.state_size(found.shape, found.link, found.crowd, found.group)
+
+
+def strict_crowds(spark, sf_dir):
+    found = _all(spark, sf_dir)
+    return baselines.strict_crowds(found.shape, found.link, P.k_c).select("crowd_id", F.col("len").cast("long").alias("len"))
+
+
+def gatherings(spark, sf_dir):
+    found = _all(spark, sf_dir)
+    crowd = baselines.strict_crowds(found.shape, found.link, 3)
+    return baselines.gatherings(crowd, found.shape, 2, P.m_p).select("crowd_id", F.col("len").cast("long").alias("len"))
+
+
+def test_and_divide(spark, sf_dir):
+    found = _all(spark, sf_dir)
+    crowd = baselines.strict_crowds(found.shape, found.link, 3)
+    return baselines.test_and_divide(crowd, found.shape, 3, 2, P.m_p).select("crowd_id")
+
+
+def convoys(spark, sf_dir):
+    found = baselines.convoys(_all(spark, sf_dir).member, 3, 3)
+    return found.select(_text("objs").alias("objs"), "first_t", "last_t")
+
+
+def _recall(d: float, k_c: int):
+    def query(spark, sf_dir):
+        p = Params(**{**PLANTED.__dict__, "d": d, "k_c": k_c})
+        found = discover(tracks.planted_walks(spark, sf_dir), p, plan="snapshot")
+        chain = lineage.chains(found.group, found.evo, p.k_g, p.w)
+        long_lived = chain.select(F.explode("groups").alias("group_id")).distinct().join(found.group, "group_id")
+        return measures.precision_recall(long_lived, tracks.planted_truth(spark, sf_dir))
+
+    return query
+
+
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    f.__name__: f
+    for f in (
+        snapshots_hourly, snapshots_last_position, snapshots_mean_position, interpolated_tracks, interpolated_max_gap,
+        lineitem_sightings, planted_walks, embedding_tracks, dataset_size, core_objects, density_clusters,
+        density_clusters_by_snapshot, cluster_sizes, cluster_shapes, hausdorff_distances, link_decisions, rule_errors,
+        cover_links, closed_crowds, participators, aggregation_check, closed_aggregations, groups, evolution_edges,
+        lineage_events, evolving_groups, average_length, pattern_counts, state_size, strict_crowds, gatherings,
+        test_and_divide, convoys,
+    )
+}
+QUERIES |= {
+    "links": _links("box", True),
+    "links_grid_index": _links("grid", True),
+    "links_no_index": _links("none", False),
+    "prune_far_printed": _rule("far", "printed"),
+    "prune_far_hull": _rule("far", "hull"),
+    "prune_near_printed": _rule("near", "printed"),
+    "prune_near_sound": _rule("near", "sound"),
+    "aggregations_per_crowd": _aggregations("expr"),
+    "aggregations_relational": _aggregations("relational"),
+    "planted_recall": _recall(8.0, 10),
+    "planted_recall_no_gaps": _recall(8.0, 14),
+}
+
+_ROUND = "round({0}, 6) AS {0}"
+_LIMIT = f"({P.d}::DOUBLE * (b.t - a.t))"
+_BETWEEN = "sqrt((a.mx - b.mx) ** 2 + (a.my - b.my) ** 2)"
+_PAIRS = f"FROM shape a JOIN shape b ON b.t > a.t AND b.t - a.t <= {P.max_gap}"
+_RULES = {
+    "far_printed": f"{_BETWEEN} > ({_LIMIT} + a.r + b.r) * (1 + 1e-9)",
+    "far_hull": f"{_BETWEEN} > ({_LIMIT} + least(a.r, b.r)) * (1 + 1e-9)",
+    "near_printed": f"{_BETWEEN} + greatest(a.r, b.r) <= {_LIMIT}",
+    "near_sound": f"greatest(({_BETWEEN} + a.r) ** 2 + b.var, ({_BETWEEN} + b.r) ** 2 + a.var) <= {_LIMIT} ** 2 * (1 - 1e-9)",
+}
+_T = f"floor((epoch_us(ts) - {tracks.EVENT_ORIGIN}) / {tracks.HOUR})::BIGINT"
+_XY = "t, obj_id, round(x, 6) AS x, round(y, 6) AS y"
+_MEMBER = "SELECT t, cluster_id, obj_id, is_core FROM member"
+_AGG = "SELECT agg_id, s_lo, s_hi, array_to_string(members, '-') AS members, size FROM agg"
+_LINK = sql("SELECT src, dst, dt FROM link", "link", P)
+
+ORACLE_SQL: dict[str, str] = {
+    "snapshots_hourly": sql(f"SELECT {_T} AS t, count(*) AS fixes, count(DISTINCT obj_id) AS objects FROM fixes GROUP BY 1", "fixes"),
+    "snapshots_last_position": sql(
+        f"SELECT {_T} AS t, obj_id, round(arg_max(x, (ts, event_id)), 6) AS x, round(arg_max(y, (ts, event_id)), 6) AS y FROM fixes GROUP BY 1, 2", "fixes"
+    ),
+    "snapshots_mean_position": sql(f"SELECT {_T} AS t, obj_id, round(avg(x), 6) AS x, round(avg(y), 6) AS y FROM fixes GROUP BY 1, 2", "fixes"),
+    "interpolated_tracks": sql(f"SELECT {_XY} FROM snap", "snap"),
+    "interpolated_max_gap": sql(
+        """SELECT t, obj_id, round(CASE WHEN t = e THEN x ELSE x + (x2 - x) * ((t - e) / (e2 - e)) END, 6) AS x,
+        round(CASE WHEN t = e THEN y ELSE y + (y2 - y) * ((t - e) / (e2 - e)) END, 6) AS y
+        FROM (SELECT *, unnest(generate_series(ceil(e)::BIGINT, CASE WHEN e2 IS NULL OR e2 - e > 12 THEN floor(e) ELSE ceil(e2) - 1 END::BIGINT)) AS t FROM legs)""",
+        "legs",
+    ),
+    "lineitem_sightings": """SELECT l_partkey AS obj_id, epoch_us(l_shipdate::TIMESTAMP) AS us, round(avg(s_acctbal::DOUBLE / 100), 6) AS x,
+        round(avg((s_nationkey * 4)::DOUBLE), 6) AS y FROM lineitem JOIN supplier ON s_suppkey = l_suppkey
+        WHERE l_shipdate >= TIMESTAMP '1996-01-01' AND l_shipdate < TIMESTAMP '1998-01-01' GROUP BY 1, 2""",
+    "planted_walks": """WITH base AS (SELECT c_custkey AS k, c_custkey // 4 AS g FROM customer WHERE c_custkey < 120),
+        rows AS (SELECT *, CASE WHEN g % 3 <> 2 THEN g ELSE 1000 + k END AS a, unnest(range(42)) AS t FROM base),
+        s AS (SELECT *, CASE WHEN g % 3 = 1 AND (t + g) % 9 = 4 THEN 20.0::DOUBLE ELSE 1.0::DOUBLE END AS s FROM rows)
+        SELECT t, k AS obj_id, round(abs((377 * a + (a % 5 + 1) * t) % 600 - 300) + s * ((k % 4) * 0.6::DOUBLE - 0.9::DOUBLE), 6) AS x,
+          round(abs((911 * a + (a % 7 + 1) * t) % 600 - 300) + s * ((k * 7 + t) % 3 * 0.2::DOUBLE), 6) AS y FROM s""",
+    "embedding_tracks": """SELECT i::BIGINT AS t, vec_id AS obj_id, round(embedding[2 * i + 1]::DOUBLE, 6) AS x, round(embedding[2 * i + 2]::DOUBLE, 6) AS y
+        FROM embeddings, range(32) r(i)""",
+    "dataset_size": sql("SELECT count(*) AS points, count(DISTINCT obj_id) AS objects, count(DISTINCT t) AS snapshots FROM snap", "snap"),
+    "core_objects": sql("SELECT t, obj_id FROM core", "core", P),
+    "density_clusters": sql(_MEMBER, "member", P),
+    "density_clusters_by_snapshot": sql(_MEMBER, "member", P),
+    "cluster_sizes": sql("SELECT t, count(DISTINCT cluster_id) AS clusters, count(*) AS members FROM member GROUP BY t", "member", P),
+    "cluster_shapes": sql(
+        "SELECT cluster_id, t, n, " + ", ".join(_ROUND.format(c) for c in ("mx", "my", "r", "var", "minx", "maxx", "miny", "maxy")) + " FROM shape", "shape", P
+    ),
+    "hausdorff_distances": sql("SELECT src, dst, round(sqrt(q), 6) AS distance FROM hausdorff JOIN link USING (src, dst)", "link", P),
+    "links": _LINK,
+    "links_grid_index": _LINK,
+    "links_no_index": _LINK,
+    "link_decisions": sql(
+        f"""SELECT decided_by, count(*) AS n, count(*) FILTER (WHERE is_link) AS linked, round(count(*) / sum(count(*)) OVER (), 6) AS share
+        FROM (SELECT CASE WHEN {_RULES["far_hull"]} THEN 'far' WHEN {_RULES["near_sound"]} THEN 'near' ELSE 'exact' END AS decided_by,
+          EXISTS (SELECT 1 FROM link l WHERE l.src = a.cluster_id AND l.dst = b.cluster_id) AS is_link {_PAIRS}) GROUP BY decided_by""",
+        "link",
+        P,
+    ),
+    "rule_errors": sql(
+        " UNION ALL ".join(
+            f"""SELECT '{n}' AS rule, count(*) AS n, count(*) FILTER (WHERE is_link = {str(n.startswith("far")).lower()}) AS wrong
+            FROM (SELECT EXISTS (SELECT 1 FROM link l WHERE l.src = a.cluster_id AND l.dst = b.cluster_id) AS is_link {_PAIRS} WHERE {c}) GROUP BY ALL"""
+            for n, c in _RULES.items()
+        ),
+        "link",
+        P,
+    ),
+    "cover_links": sql("SELECT src, dst, dt FROM cover", "cover", P),
+    "closed_crowds": sql("SELECT crowd_id, len, s_lo, s_hi FROM crowd", "crowd", P),
+    "participators": sql("SELECT crowd_id, obj_id, cnt FROM real0", "real0", P),
+    "aggregation_check": sql(
+        f"""SELECT crowd_id, min(n) AS least, min(n) >= {P.m_p} AS is_aggregation FROM (
+          SELECT a.crowd_id, a.cluster_id, count(r.obj_id) AS n FROM alive0 a JOIN member m USING (cluster_id)
+          LEFT JOIN real0 r ON r.crowd_id = a.crowd_id AND r.obj_id = m.obj_id GROUP BY 1, 2) GROUP BY crowd_id""",
+        "real0",
+        P,
+    ),
+    "aggregations_per_crowd": sql(_AGG, "agg", P),
+    "aggregations_relational": sql(_AGG, "agg", P),
+    "closed_aggregations": sql("SELECT win, agg_id, array_to_string(members, '-') AS members FROM closed", "closed", P),
+    "groups": sql("SELECT win, group_id, size, n_aggs FROM grp", "grp", P),
+    "evolution_edges": sql("SELECT win, src_group, dst_group, common, round(ratio, 6) AS ratio FROM evo", "evo", P),
+    "lineage_events": sql(
+        """SELECT group_id, win, size, n_in, n_out, n_in = 0 AS starts, n_out = 0 AS ends, n_out > 1 AS splits, n_in > 1 AS merges
+        FROM (SELECT *, (SELECT count(*) FROM evo WHERE src_group = group_id) AS n_out, (SELECT count(*) FROM evo WHERE dst_group = group_id) AS n_in FROM grp)""",
+        "evo",
+        P,
+    ),
+    "evolving_groups": sql("SELECT * FROM chain", "chain", P),
+    "average_length": sql(
+        "SELECT count(*) AS n, round(avg(n_timestamps), 6) AS avg_timestamps, max(n_timestamps) AS max_timestamps FROM chain", "chain", P
+    ),
+    "pattern_counts": sql(
+        """SELECT period, day_type, count(*) AS n FROM (SELECT CASE WHEN first_win % 24 BETWEEN 7 AND 9 THEN '07-10' WHEN first_win % 24 BETWEEN 10 AND 12 THEN '10-13'
+          WHEN first_win % 24 BETWEEN 13 AND 15 THEN '13-16' WHEN first_win % 24 BETWEEN 16 AND 19 THEN '16-20' END AS period,
+          CASE WHEN dayofweek(TIMESTAMP '2024-01-01' + to_hours(first_win)) IN (0, 6) THEN 'weekend' ELSE 'workday' END AS day_type FROM chain)
+        WHERE period IS NOT NULL GROUP BY ALL""",
+        "chain",
+        P,
+    ),
+    "state_size": sql(
+        "SELECT (SELECT count(*) FROM shape) AS clusters, (SELECT count(*) FROM link) AS links, (SELECT count(*) FROM crowd) AS crowds, (SELECT count(*) FROM grp) AS groups",
+        "grp",
+        P,
+    ),
+} | {f"prune_{n}": sql(f"SELECT a.cluster_id AS src, b.cluster_id AS dst {_PAIRS} WHERE {c}", "shape", P) for n, c in _RULES.items()}
