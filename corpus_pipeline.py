@@ -43,7 +43,8 @@ def tokenize(spark: SparkSession, docs: DataFrame, sf_dir: str, model: str | Non
         import public_tokenizers
 
         model = str(public_tokenizers.path("piece_bpe_32k.model"))
-    return piece_tokens.tokenize(docs, model).select(
+    # a small cache: the workers of earlier stages share the memory
+    return piece_tokens.tokenize(docs, model, cached=50_000).select(
         "doc_id", F.size("ids").cast("long").alias("n_tokens"), "ids", F.sha2("decoded", 256).alias("decoded_sha256")
     )
 

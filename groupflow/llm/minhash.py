@@ -11,9 +11,10 @@ How pairs are kept few without losing a link:
    doc_id goes on;
 2. in each bucket every class is compared with the bucket's smallest class only (a star, linear
    in the bucket), and components are taken over the verified links;
-3. buckets whose classes all fell into one component are settled. In the others, and only there,
-   classes of *different* components are compared. Pairs inside one component cannot change the
-   result, so huge groups of near copies never expand into pairs.
+3. buckets whose classes all fell into one component are settled. Among the classes of the others,
+   and only there, pairs of *different* components are looked for, by an exact prefix filter over
+   their rarest shingles. Pairs inside one component cannot change the result, and members of a huge
+   group that are too different to link share no rare shingle, so groups never expand into pairs.
 """
 
 from __future__ import annotations
@@ -146,6 +147,38 @@ def _verified(pairs: DataFrame, sets: DataFrame, p: MinHashParams) -> DataFrame:
     )
 
 
+def _across(rest: DataFrame, sets: DataFrame, p: MinHashParams) -> DataFrame:
+    """Pairs of ``rest(node, comp)`` of different components that can still reach the threshold, without loss.
+
+    Shingles are ordered by how many of these documents hold them, the rarest first. Two sets at the
+    threshold share a shingle among the first ``n - ceil(t * n) + 1`` of each; and counted from the first one they
+    share, enough shingles are left in both. In a group of near copies the rare shingles are the ones
+    that its members do not share, so a member that is too different from all others meets none of them.
+    """
+    t = p.threshold
+    held = rest.join(sets, "node").select("node", "comp", F.col("n_shingles").alias("n"), "shingles")
+    flat = materialize(held.select("node", "comp", "n", F.explode("shingles").alias("s")), "open")
+    common = flat.groupBy("s").agg(F.count("*").alias("df"))
+    ranked = (
+        flat.join(common, "s")
+        .groupBy("node", "comp", "n")
+        .agg(F.sort_array(F.collect_list(F.struct("df", "s"))).alias("r"))
+        .withColumn("r", F.slice("r", F.lit(1), (F.col("n") - F.floor((F.col("n") * t + 99) / 100) + 1).cast("int")))
+        .select("node", "comp", "n", F.posexplode("r.s").alias("at", "s"))
+    )
+    ranked = materialize(ranked, "prefixes")
+    a = ranked.select("s", F.col("node").alias("src"), F.col("comp").alias("ca"), F.col("n").alias("na"), F.col("at").alias("ia"))
+    b = ranked.select("s", F.col("node").alias("dst"), F.col("comp").alias("cb"), F.col("n").alias("nb"), F.col("at").alias("ib"))
+    need = F.floor((t * (F.col("na") + F.col("nb")) + 99 + t) / (100 + t))
+    can = (
+        (F.col("src") < F.col("dst"))
+        & (F.col("ca") != F.col("cb"))
+        & (100 * F.least("na", "nb") >= t * F.greatest("na", "nb"))
+        & (F.least(F.col("na") - F.col("ia"), F.col("nb") - F.col("ib")) >= need)
+    )
+    return a.join(b, (a["s"] == b["s"]) & can).select("src", "dst").distinct()
+
+
 def near_duplicates(docs: DataFrame, p: MinHashParams = MinHashParams()) -> DataFrame:
     """``doc_id, n_shingles, component_id, kept``: one row per row of ``docs``.
 
@@ -184,16 +217,8 @@ def near_duplicates(docs: DataFrame, p: MinHashParams = MinHashParams()) -> Data
     open_buckets = labelled.groupBy("band", "bucket").agg(
         F.min("comp").alias("lo"), F.max("comp").alias("hi")
     ).filter("lo < hi").select("band", "bucket")
-    rest = labelled.join(open_buckets, ["band", "bucket"])
-    other = rest.select("band", "bucket", F.col("node").alias("dst"), F.col("comp").alias("comp_b"))
-    across = (
-        rest.withColumnRenamed("node", "src")
-        .join(other, ["band", "bucket"])
-        .filter("comp < comp_b")
-        .select(F.least("src", "dst").alias("src"), F.greatest("src", "dst").alias("dst"))
-        .distinct()
-        .join(stars, ["src", "dst"], "left_anti")
-    )
+    rest = labelled.join(open_buckets, ["band", "bucket"]).select("node", "comp").distinct()
+    across = _across(rest, sets, p).join(stars, ["src", "dst"], "left_anti")
     more = materialize(_verified(across, sets, p).distinct(), "links")
     if more.isEmpty():
         final = first

@@ -36,7 +36,7 @@ _POSITION = (1 << _BITS) - 1
 class AgendaEncoder:
     """The encoder of one model file; raises where the model is of a kind it does not cover."""
 
-    def __init__(self, path: str):
+    def __init__(self, path: str, cached: int = 250_000):
         self.library = lib = sentencepiece.SentencePieceProcessor(model_file=path)
         scores: dict[str, float] = {}
         self.ids: dict[str, int] = {}
@@ -62,7 +62,7 @@ class AgendaEncoder:
         self.neighbours = {piece[i : i + 2] for piece in scores for i in range(len(piece) - 1)}
         self.alone = {c: len(lib.encode(c)) for c in "\na"}
         self.cutter = self._cutter()
-        self.known = PieceCache(250_000)
+        self.known = PieceCache(cached)
 
     def merge(self, unit: str) -> tuple[int, ...]:
         """Ids of one unit, by a heap; for units too long for the matrix."""
@@ -168,14 +168,17 @@ class AgendaEncoder:
 
 
 @lru_cache(maxsize=2)
-def agenda_encoder(path: str) -> AgendaEncoder:
+def agenda_encoder(path: str, cached: int = 250_000) -> AgendaEncoder:
     """One encoder for each worker process, so that its cache outlives a task."""
-    return AgendaEncoder(path)
+    return AgendaEncoder(path, cached)
 
 
-def tokenize(docs: DataFrame, model: str) -> DataFrame:
-    """``doc_id, ids, decoded`` for each row; a null text is an empty one and has no ids."""
-    return _mapped(docs, model, False)
+def tokenize(docs: DataFrame, model: str, cached: int = 250_000) -> DataFrame:
+    """``doc_id, ids, decoded`` for each row; a null text is an empty one and has no ids.
+
+    ``cached``: units that a worker keeps at least; fewer take less memory and more time.
+    """
+    return _mapped(docs, model, False, cached)
 
 
 def digests(docs: DataFrame, model: str) -> DataFrame:
@@ -186,9 +189,9 @@ def digests(docs: DataFrame, model: str) -> DataFrame:
     return _mapped(docs, model, True)
 
 
-def _mapped(docs: DataFrame, model: str, digest: bool) -> DataFrame:
+def _mapped(docs: DataFrame, model: str, digest: bool, cached: int = 250_000) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encoder = agenda_encoder(model)
+        encoder = agenda_encoder(model, cached)
         for batch in batches:
             for at in range(0, batch.num_rows, 512):
                 part = batch.slice(at, 512)

@@ -7,7 +7,7 @@ import xxhash
 
 _MIX = np.uint64(0x9E3779B97F4A7C15)
 _MUL = np.uint64(0xBF58476D1CE4E5B9)
-_CACHE_LIMIT = 400_000
+_CACHE_LIMIT = 200_000
 
 
 class _WordHashes(dict):

@@ -29,7 +29,7 @@ class ToxicityParams:
     and only those reach the driver."""
 
     vocabulary: int = 3000
-    sample_docs: int = 16000
+    sample_docs: int = 12000
     prefix: int = 5
     min_docs: int = 3
     epochs: int = 300
@@ -84,28 +84,38 @@ def _count_features(prefix: int):
 
 
 def _bag_rows(features: list[str], prefix: int):
+    """For each document its number of sentences, and sentence and feature of each feature found."""
     index = {f: i for i, f in enumerate(features)}
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            bags = []
-            for text in batch.column(0):
+            sizes, at, what = [], [], []
+            for text in batch.column(1):
                 t = text.as_py() or ""
-                bags.append([sorted(index[f] for f in _features(t[a:b], prefix) if f in index) for a, b in sentences(t)])
-            yield pa.RecordBatch.from_arrays([pa.array(bags, pa.list_(pa.list_(pa.int32()))), batch.column(1)], ["bag", "toxic"])
+                spans = sentences(t)
+                found = [(k, index[f]) for k, (a, b) in enumerate(spans) for f in _features(t[a:b], prefix) if f in index]
+                found.sort()
+                sizes.append(len(spans))
+                at.append([k for k, _ in found])
+                what.append([f for _, f in found])
+            numbers = pa.list_(pa.int32())
+            yield pa.RecordBatch.from_arrays(
+                [batch.column(0), batch.column(2), pa.array(sizes, pa.int32()), pa.array(at, numbers), pa.array(what, numbers)],
+                ["doc_id", "toxic", "n", "at", "what"],
+            )
 
     return run
 
 
-def _fit(bags: list[list[list[int]]], labels: np.ndarray, n: int, p: ToxicityParams) -> tuple[np.ndarray, float]:
+def _fit(bags: pa.Table, n: int, p: ToxicityParams) -> tuple[np.ndarray, float]:
     """Gradient ascent (Adam) on the noisy-or log-likelihood, classes weighted alike."""
-    owner, rows, cols = [], [], []
-    for d, bag in enumerate(bags):
-        for sentence in bag:
-            rows += [len(owner)] * len(sentence)
-            cols += sentence
-            owner.append(d)
-    owner, rows, cols = (np.asarray(x, np.int64) for x in (owner, rows, cols))
+    labels = bags.column("toxic").to_numpy().astype(np.int64)
+    sizes = bags.column("n").to_numpy().astype(np.int64)
+    at, what = (bags.column(c).combine_chunks() for c in ("at", "what"))
+    owner = np.repeat(np.arange(len(labels)), sizes)
+    per = at.value_lengths().to_numpy()
+    rows = at.flatten().to_numpy() + np.repeat(np.cumsum(sizes) - sizes, per)
+    cols = what.flatten().to_numpy()
     weight = np.where(labels == 1, 0.5 / max(labels.sum(), 1), 0.5 / max((labels == 0).sum(), 1)) * len(labels)
     w, b = np.zeros(n), -4.0
     m, v = np.zeros(n + 1), np.zeros(n + 1)
@@ -125,7 +135,7 @@ def _fit(bags: list[list[list[int]]], labels: np.ndarray, n: int, p: ToxicityPar
 
 
 def _sampled(docs: DataFrame, labels: DataFrame, p: ToxicityParams) -> DataFrame:
-    """``text, toxic`` of the bounded sample. It is drawn from ids alone and broadcast, so texts are not shuffled."""
+    """``doc_id, text, toxic`` of the bounded sample. It is drawn from ids alone and broadcast, so texts are not shuffled."""
     known = (
         labels.filter("toxic in (0, 1) and doc_id is not null")
         .groupBy(F.col("doc_id").cast("long").alias("doc_id"))
@@ -137,7 +147,7 @@ def _sampled(docs: DataFrame, labels: DataFrame, p: ToxicityParams) -> DataFrame
     ]
     chosen = materialize(parts[0].unionByName(parts[1]), "sample")
     return materialize(
-        docs.select(F.col("doc_id").cast("long"), "text").join(F.broadcast(chosen), "doc_id").select("text", "toxic"), "sampled"
+        docs.select(F.col("doc_id").cast("long"), "text").join(F.broadcast(chosen), "doc_id"), "sampled"
     )
 
 
@@ -157,7 +167,7 @@ def train(docs: DataFrame, labels: DataFrame, p: ToxicityParams = ToxicityParams
     share = (a + c) / (n0 + n1)
     evidence = F.abs(a / n1 - c / n0) / F.sqrt(share * (1 - share) + 1e-12)
     top = (
-        rows.mapInArrow(_count_features(p.prefix), "feature string, n0 long, n1 long")
+        rows.select("text", "toxic").mapInArrow(_count_features(p.prefix), "feature string, n0 long, n1 long")
         .groupBy("feature")
         .agg(F.sum("n0").alias("n0"), F.sum("n1").alias("n1"))
         .filter(a + c >= p.min_docs)
@@ -167,9 +177,9 @@ def train(docs: DataFrame, labels: DataFrame, p: ToxicityParams = ToxicityParams
         .collect()
     )
     features = sorted(r["feature"] for r in top)
-    bags = rows.mapInArrow(_bag_rows(features, p.prefix), "bag array<array<int>>, toxic int").collect()
-    bags = sorted(([list(x) for x in r["bag"]], r["toxic"]) for r in bags)
-    w, b = _fit([x for x, _ in bags], np.asarray([y for _, y in bags]), len(features), p)
+    schema = "doc_id long, toxic int, n int, at array<int>, what array<int>"
+    bags = rows.select("doc_id", "text", "toxic").mapInArrow(_bag_rows(features, p.prefix), schema).toArrow()
+    w, b = _fit(bags.sort_by([("doc_id", "ascending"), ("n", "ascending")]), len(features), p)
     return ToxicityModel({f: float(x) for f, x in zip(features, w) if x}, b, p.prefix)
 
 
