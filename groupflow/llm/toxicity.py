@@ -28,13 +28,13 @@ class ToxicityParams:
     parts for each label). Of their features the ``vocabulary`` ones with the most evidence are kept,
     and only those reach the driver."""
 
-    vocabulary: int = 3000
+    vocabulary: int = 600
     sample_docs: int = 12000
     prefix: int = 5
     min_docs: int = 3
-    epochs: int = 300
+    epochs: int = 600
     rate: float = 0.1
-    ridge: float = 1e-4
+    ridge: float = 1e-6
     offending: float = 0.5
 
 
