@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterable
+from collections.abc import Callable, Iterable
 
 _DOOR = (1 << 23) - 1
 
@@ -48,3 +48,30 @@ class PieceCache(dict):
 
     def __missing__(self, piece: str):
         return self.passing[piece]
+
+
+class LazyCache(dict):
+    """Encodings looked up by ``cache[piece]``; a missing one is encoded there and then.
+
+    Bounded like :class:`PieceCache`: a piece is kept from its second miss on, in two generations.
+    """
+
+    def __init__(self, limit: int, encode: Callable[[str], bytes]):
+        super().__init__()
+        self.limit, self.encode, self.old = limit, encode, {}
+        self.door = bytearray(_DOOR + 1)
+
+    def __missing__(self, piece: str) -> bytes:
+        value = self.old.get(piece)
+        if value is None:
+            value = self.encode(piece)
+            at = hash(piece) & _DOOR
+            if not self.door[at]:
+                self.door[at] = 1
+                return value
+        if len(self) >= self.limit:
+            self.old = dict(self)
+            self.clear()
+            self.door = bytearray(_DOOR + 1)
+        self[piece] = value
+        return value

@@ -36,7 +36,7 @@ _POSITION = (1 << _BITS) - 1
 class AgendaEncoder:
     """The encoder of one model file; raises where the model is of a kind it does not cover."""
 
-    def __init__(self, path: str, cached: int = 250_000):
+    def __init__(self, path: str, cached: int = 450_000):
         self.library = lib = sentencepiece.SentencePieceProcessor(model_file=path)
         scores: dict[str, float] = {}
         self.ids: dict[str, int] = {}
@@ -168,12 +168,12 @@ class AgendaEncoder:
 
 
 @lru_cache(maxsize=2)
-def agenda_encoder(path: str, cached: int = 250_000) -> AgendaEncoder:
+def agenda_encoder(path: str, cached: int = 450_000) -> AgendaEncoder:
     """One encoder for each worker process, so that its cache outlives a task."""
     return AgendaEncoder(path, cached)
 
 
-def tokenize(docs: DataFrame, model: str, cached: int = 250_000) -> DataFrame:
+def tokenize(docs: DataFrame, model: str, cached: int = 450_000) -> DataFrame:
     """``doc_id, ids, decoded`` for each row; a null text is an empty one and has no ids.
 
     ``cached``: units that a worker keeps at least; fewer take less memory and more time.
@@ -189,7 +189,7 @@ def digests(docs: DataFrame, model: str) -> DataFrame:
     return _mapped(docs, model, True)
 
 
-def _mapped(docs: DataFrame, model: str, digest: bool, cached: int = 250_000) -> DataFrame:
+def _mapped(docs: DataFrame, model: str, digest: bool, cached: int = 450_000) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encoder = agenda_encoder(model, cached)
         for batch in batches:

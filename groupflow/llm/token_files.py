@@ -26,7 +26,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from groupflow.llm.elias_fano import EliasFano
-from groupflow.llm.piece_cache import PieceCache
+from groupflow.llm.piece_cache import LazyCache
 from groupflow.storage import materialize, scratch_path
 
 _MAGIC = b"GFTOK01\n"
@@ -61,7 +61,7 @@ class PieceEncoder:
         self.cuts = (
             self.tokenizer.normalizer is None and kind.startswith("ByteLevel(add_prefix_space=False") and "use_regex=True" in kind
         )
-        self.words = PieceCache(400_000)
+        self.words = LazyCache(400_000, self._word)
 
     def _bytes(self, ids: list[int]) -> bytes:
         coded = array(self.code, ids)
@@ -69,6 +69,10 @@ class PieceEncoder:
             coded.byteswap()
         return coded.tobytes()
 
+    def _word(self, word: str) -> bytes:
+        shown = word.encode().decode("latin-1").translate(_SHOWN)
+        return self._bytes([t.id for t in self.tokenizer.model.tokenize(shown)])
+
     def encode_whole(self, texts: list[str]) -> list[bytes]:
         """By the library alone."""
         return [self._bytes(x.ids) for x in self.tokenizer.encode_batch(texts, add_special_tokens=False)]
@@ -79,11 +83,7 @@ class PieceEncoder:
             return self.encode_whole(texts)
         cut = {i: _WORDS.findall(t) for i, t in enumerate(texts) if t and _COMMON.fullmatch(t)}
         whole = [i for i, t in enumerate(texts) if t and i not in cut]
-        words, tokenize = self.words, self.tokenizer.model.tokenize
-        new = words.missing(chain.from_iterable(cut.values()))
-        shown = [w.encode().decode("latin-1").translate(_SHOWN) for w in new]
-        words.learn(new, [self._bytes([t.id for t in tokenize(w)]) for w in shown])
-        out, get = [b""] * len(texts), words.__getitem__
+        out, get = [b""] * len(texts), self.words.__getitem__
         for i, found in cut.items():
             out[i] = b"".join(map(get, found))
         for i, ids in zip(whole, self.encode_whole([texts[i] for i in whole])):
