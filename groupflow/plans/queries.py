@@ -347,7 +347,7 @@ ORACLE_SQL: dict[str, str] = {
     "rule_errors": sql(
         " UNION ALL ".join(
             f"""SELECT '{n}' AS rule, count(*) AS n, count(*) FILTER (WHERE is_link = {str(n.startswith("far")).lower()}) AS wrong
-            FROM (SELECT EXISTS (SELECT 1 FROM link l WHERE l.src = a.cluster_id AND l.dst = b.cluster_id) AS is_link {_PAIRS} WHERE {c}) GROUP BY ALL"""
+            FROM (SELECT EXISTS (SELECT 1 FROM link l WHERE l.src = a.cluster_id AND l.dst = b.cluster_id) AS is_link {_PAIRS} WHERE {c}) HAVING count(*) > 0"""
             for n, c in _RULES.items()
         ),
         "link",
