@@ -51,8 +51,6 @@ def main() -> None:
     dense = SF.rstrip("/").endswith("sf0.1")
     p = Params(eps=2.0, min_pts=6, w=8, k_c=6, m_c=6, k_p=3, m_p=3, d=4.0, m_g=0.7, k_g=4) if dense else Params()
     snap = timed("interpolate", lambda: materialize(tracks.hourly_events(spark, SF), "snap"))
-    if dense:
-        snap = materialize(snap.filter(F.col("t").between(100, 135)), "snap")
     member, shape = timed("clusters", lambda: clusters(snap, p))
     link = timed("links_box", lambda: materialize(links.build(shape, p), "link"))
     timed("links_grid", lambda: links.build(shape, p, "grid").count())
@@ -64,7 +62,7 @@ def main() -> None:
     group = timed("groups", lambda: materialize(peel.groups(windows), "group"))
     evo = timed("evolution", lambda: materialize(lineage.edges(group, p.m_g), "evo"))
     timed("evolving_groups", lambda: lineage.chains(group, evo, p.k_g, p.w).count())
-    timed("cluster_one_task_per_snapshot", lambda: density.cluster(snap, p.eps, p.min_pts, plan="snapshot").count())
+    timed("clusters_grid", lambda: density.cluster(snap, p.eps, p.min_pts, plan="grid").count())
     n = snap.agg((F.max("t") - F.min("t") + 2 - p.w).alias("n")).first()["n"]
     steps = ("clusters", "links_box", "cover", "closed_crowds", "peel", "closure", "groups", "evolution", "evolving_groups")
     whole = sum(times[s] for s in steps)

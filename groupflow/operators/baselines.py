@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from groupflow.params import Params
+from groupflow.operators.peel import bind, frequent
 from groupflow.storage import materialize
 
 
@@ -35,9 +35,8 @@ def strict_crowds(shape: DataFrame, link: DataFrame, k_c: int, max_len: int = 10
 
 
 def _valid(chain, k_p: int, m_p: int):
-    every = F.flatten(F.transform(chain, lambda c: c["objs"]))
-    real = F.filter(F.array_distinct(every), lambda o: F.size(F.filter(every, lambda z: z == o)) >= k_p)
-    return F.transform(chain, lambda c: F.size(F.array_intersect(c["objs"], real)) >= m_p)
+    real = frequent(F.flatten(F.transform(chain, lambda c: c["objs"])), k_p)
+    return bind(real, lambda r: F.transform(chain, lambda c: F.size(F.array_intersect(c["objs"], r)) >= m_p))
 
 
 def gatherings(crowd: DataFrame, shape: DataFrame, k_p: int, m_p: int) -> DataFrame:

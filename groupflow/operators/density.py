@@ -19,6 +19,7 @@ from groupflow.storage import materialize, release
 
 #: A cluster id is its timestamp and its smallest core object, 31 and 32 bits.
 ID_BASE = 1 << 32
+_ONE_TASK = 4096
 
 # offsets of cells that can hold a neighbour: all of 5 x 5 but the corners
 _AROUND = [(i, j) for i in range(-2, 3) for j in range(-2, 3) if abs(i) + abs(j) < 4]
@@ -127,14 +128,18 @@ def _one_snapshot(eps: float, min_pts: int, border: str):
     return run
 
 
-def cluster(snap: DataFrame, eps: float, min_pts: int, border: str = "min_cluster", plan: str = "grid") -> DataFrame:
+def cluster(snap: DataFrame, eps: float, min_pts: int, border: str = "min_cluster", plan: str = "auto") -> DataFrame:
     """``member(t, cluster_id, obj_id, x, y, is_core)``.
 
     ``border``: a border object belongs to the smallest of the clusters it touches, to all of them or to
-    none. ``plan='snapshot'`` clusters each snapshot in one task: fewer shuffles where a
-    snapshot has a few thousand objects at most, while ``'grid'`` holds for snapshots of any size.
+    none. ``plan='snapshot'`` clusters each snapshot in one task, in one shuffle; ``'grid'`` holds for
+    snapshots of any size. ``'auto'`` counts first and takes the former where no snapshot has more
+    than 4,096 objects.
     Object ids are from 0 to 2^32 - 1; one position for each object and t.
     """
+    if plan == "auto":
+        largest = snap.groupBy("t").count().agg(F.max("count").alias("n")).first()["n"] or 0
+        plan = "snapshot" if largest <= _ONE_TASK else "grid"
     if plan == "snapshot":
         schema = "t long, cluster_id long, obj_id long, x double, y double, is_core boolean"
         return snap.select("t", "obj_id", "x", "y").groupBy("t").applyInArrow(_one_snapshot(eps, min_pts, border), schema)

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from groupflow.params import Params
@@ -36,11 +36,23 @@ def aggregation_check(crowd: DataFrame, shape: DataFrame, p: Params) -> DataFram
     return each.groupBy("crowd_id").agg(F.min("n").alias("least")).withColumn("is_aggregation", F.col("least") >= p.m_p)
 
 
-def _keep(chain, p: Params):
+def bind(value: Column, f) -> Column:
+    """``f(value)`` with ``value`` worked out once, however often ``f`` and its lambdas use it."""
+    return F.get(F.transform(F.array(value), f), F.lit(0))
+
+
+def frequent(every: Column, k: int) -> Column:
+    """Sorted distinct elements that occur at least ``k`` times: in sorted order one equals that ``k - 1`` places on."""
+    runs = bind(
+        F.array_sort(every), lambda s: F.zip_with(s, F.slice(s, F.lit(k), F.size(s) + 1), lambda a, b: F.when(a == b, a))
+    )
+    return F.array_distinct(F.filter(runs, lambda v: v.isNotNull()))
+
+
+def _keep(chain: Column, p: Params) -> Column:
     """One round: clusters that hold ``m_p`` participators of the chain."""
-    every = F.flatten(F.transform(chain, lambda c: c["objs"]))
-    real = F.filter(F.array_distinct(every), lambda o: F.size(F.filter(every, lambda z: z == o)) >= p.k_p)
-    return F.filter(chain, lambda c: F.size(F.array_intersect(c["objs"], real)) >= p.m_p)
+    real = frequent(F.flatten(F.transform(chain, lambda c: c["objs"])), p.k_p)
+    return bind(real, lambda r: F.filter(chain, lambda c: F.size(F.array_intersect(c["objs"], r)) >= p.m_p))
 
 
 def _peel_expr(rows: DataFrame, p: Params) -> DataFrame:
@@ -69,8 +81,7 @@ def peel(crowd: DataFrame, shape: DataFrame, p: Params, impl: str = "expr") -> D
     rows = _with_members(crowd, shape)
     rows = _peel_expr(rows, p) if impl == "expr" else _peel_relational(rows, p)
     rows = rows.filter(F.size("chain") >= p.k_c)
-    every = F.flatten(F.col("chain.objs"))
-    members = F.array_sort(F.filter(F.array_distinct(every), lambda o: F.size(F.filter(every, lambda z: z == o)) >= p.k_p))
+    members = frequent(F.flatten(F.col("chain.objs")), p.k_p)
     return rows.select(
         F.concat_ws("-", F.col("chain.cluster_id").cast("array<string>")).alias("agg_id"),
         F.col("chain.cluster_id").alias("path"),

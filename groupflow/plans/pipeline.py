@@ -24,14 +24,14 @@ class Discovery:
     evo: DataFrame
 
 
-def clusters(snap: DataFrame, p: Params, plan: str = "grid") -> tuple[DataFrame, DataFrame]:
+def clusters(snap: DataFrame, p: Params, plan: str = "auto") -> tuple[DataFrame, DataFrame]:
     """Members and summaries of the clusters of at least ``m_c`` objects, both on shared storage."""
     member = materialize(density.keep_large(density.cluster(snap, p.eps, p.min_pts, plan=plan), p.m_c), "member")
     return member, materialize(shapes.summarize(member), "shape")
 
 
 def discover(
-    snap: DataFrame, p: Params, plan: str = "grid", index: str = "box", prune: bool = True, closure: str = "global"
+    snap: DataFrame, p: Params, plan: str = "auto", index: str = "box", prune: bool = True, closure: str = "global"
 ) -> Discovery:
     """Clusters, links, closed crowds, closed aggregations, groups and their evolution."""
     member, shape = clusters(snap, p, plan)

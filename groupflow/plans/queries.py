@@ -30,7 +30,7 @@ PLANTED = Params(eps=1.5, min_pts=2, w=14, k_c=10, m_c=2, k_p=8, m_p=2, d=8.0, m
 def _shared(app: str, sf_dir: str) -> dict:
     spark = SparkSession.active()
     snap = materialize(tracks.hourly_events(spark, sf_dir), "snap")
-    return {"snap": snap, "all": discover(snap, P)}
+    return {"snap": snap, "all": discover(snap, P, plan="grid")}
 
 
 def _all(spark: SparkSession, sf_dir: str) -> Discovery:
