@@ -286,6 +286,14 @@ QUERIES |= {
     "planted_recall_no_gaps": _recall(8.0, 14),
 }
 
+
+
+def smoke(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Groups with distances that suit the few objects of the smallest tables."""
+    found = discover(_snap(spark, sf_dir), Params(eps=15.0, d=15.0))
+    return found.group.select("win", "group_id", F.col("size").cast("long").alias("size"), "n_aggs")
+
+
 _ROUND = "round({0}, 6) AS {0}"
 _LIMIT = f"({P.d}::DOUBLE * (b.t - a.t))"
 _BETWEEN = "sqrt((a.mx - b.mx) ** 2 + (a.my - b.my) ** 2)"

@@ -39,7 +39,8 @@ def test_matches_sql(spark, con, name):
 def test_entry(spark):
     import __spark_entry__
 
-    assert __spark_entry__.entry(spark).columns == ["win", "group_id", "size", "n_aggs"]
+    df = __spark_entry__.entry(spark)
+    assert df.columns == ["win", "group_id", "size", "n_aggs"] and df.count() == 228
 
 
 def test_planted_recall(spark):
