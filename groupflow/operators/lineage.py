@@ -79,3 +79,32 @@ def chains(groups: DataFrame, evo: DataFrame, k_g: int, w: int, max_paths: int =
         (F.col("n_windows") + (w - 1)).alias("n_timestamps"),
         (last < F.lit(last_seen)).alias("closed"),
     )
+
+
+def depths(groups: DataFrame, evo: DataFrame) -> DataFrame:
+    """``group_id, win, depth_in, depth_out``: windows of the longest chain that ends, and that starts, with each group.
+
+    A chain goes on window by window, so its length follows from the earliest window that is reached backwards. Edges
+    of 1, 2, 4, ... windows are composed, so the rounds are the logarithm of the longest chain.
+    """
+    label = groups.select("group_id", "win", F.col("win").alias("lo"), F.col("win").alias("hi"))
+    step = evo.select("src_group", "dst_group")
+    while True:
+        step = materialize(step, "steps")
+        if step.isEmpty():
+            break
+        label = materialize(label, "depths")
+        back = step.join(label.select(F.col("group_id").alias("src_group"), "lo"), "src_group")
+        back = back.groupBy(F.col("dst_group").alias("group_id")).agg(F.min("lo").alias("lo2"))
+        ahead = step.join(label.select(F.col("group_id").alias("dst_group"), "hi"), "dst_group")
+        ahead = ahead.groupBy(F.col("src_group").alias("group_id")).agg(F.max("hi").alias("hi2"))
+        label = (
+            label.join(back, "group_id", "left")
+            .join(ahead, "group_id", "left")
+            .select("group_id", "win", F.least("lo", "lo2").alias("lo"), F.greatest("hi", "hi2").alias("hi"))
+        )
+        nxt = step.select(F.col("src_group").alias("mid"), F.col("dst_group").alias("end"))
+        step = step.select("src_group", F.col("dst_group").alias("mid")).join(nxt, "mid").select("src_group", F.col("end").alias("dst_group")).distinct()
+    return label.select(
+        "group_id", "win", (F.col("win") - F.col("lo") + 1).alias("depth_in"), (F.col("hi") - F.col("win") + 1).alias("depth_out")
+    )

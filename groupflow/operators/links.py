@@ -11,6 +11,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from groupflow.functions import hausdorff, pruning
+from groupflow.operators import sectors
 from groupflow.params import Params
 from groupflow.storage import materialize
 
@@ -22,11 +23,14 @@ def _gaps(shape: DataFrame, g: int) -> DataFrame:
     return shape.withColumn("dt", F.explode(F.sequence(F.lit(1), F.lit(g))))
 
 
-def candidates(shape: DataFrame, p: Params, index: str = "box", max_gap: str = "lemma") -> DataFrame:
+def candidates(
+    shape: DataFrame, p: Params, index: str = "box", max_gap: str = "lemma", n_parts: int = 8, halo: str = "gap"
+) -> DataFrame:
     """``a, b, dt``: structs of summaries of clusters ``dt`` timestamps apart that may be linked.
 
     ``index='box'`` meets by the lower corner of bounding boxes, ``'grid'`` by cells of points, ``'none'`` by time
-    alone. ``max_gap='lemma'`` keeps gaps that a crowd can have, ``'window'`` all of a window.
+    alone; ``'sector'`` in one of ``n_parts`` space parts, ``'random'`` spreads later clusters over ``n_parts`` tasks, each
+    of which sees all earlier ones. ``max_gap='lemma'`` keeps gaps that a crowd can have, ``'window'`` all of a window.
     """
     g = p.max_gap if max_gap == "lemma" else p.w - 1
     summary = [F.col(c) for c in _SUMMARY]
@@ -54,8 +58,20 @@ def candidates(shape: DataFrame, p: Params, index: str = "box", max_gap: str = "
             )
         )
         early, late = early.withColumn("cell", F.explode(around)), late.withColumn("cell", F.explode(cells))
+    elif index == "sector":
+        keys += ["part"]
+        points = sectors.polar(shape, sectors.center(shape))
+        part = materialize(sectors.divide(points, n_parts), "parts")
+        early = _gaps(sectors.home(points, part), g).withColumn("at", F.col("t") + F.col("dt"))
+        late = _gaps(points, g).withColumn("at", F.col("t"))
+        reach = F.col("r") + sectors.halo_width(p.d, F.col("dt"), halo)
+        late = sectors.reached(late, part, reach, F.col("t") - F.col("dt")).withColumn("part", F.explode("met"))
+    elif index == "random":
+        keys += ["part"]
+        early = early.withColumn("part", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(n_parts - 1).cast("long"))))
+        late = late.withColumn("part", F.pmod(F.xxhash64("cluster_id"), F.lit(n_parts)))
     elif index != "none":
-        raise ValueError("index is 'box', 'grid' or 'none'")
+        raise ValueError("index is 'box', 'grid', 'sector', 'random' or 'none'")
     pairs = (
         early.select(*keys[:1], *columns, *keys[2:])
         .withColumnRenamed("s", "a")
@@ -86,6 +102,16 @@ def decide(
     return sure.select(columns).unionByName(open_.select(columns))
 
 
-def build(shape: DataFrame, p: Params, index: str = "box", prune: bool = True, max_gap: str = "lemma", **rules: str) -> DataFrame:
+def build(
+    shape: DataFrame,
+    p: Params,
+    index: str = "box",
+    prune: bool = True,
+    max_gap: str = "lemma",
+    n_parts: int = 8,
+    halo: str = "gap",
+    **rules: str,
+) -> DataFrame:
     """``link(src, dst, dt, decided_by)``: cluster pairs within ``d * dt``, ``dt`` up to the gap bound."""
-    return decide(candidates(shape, p, index, max_gap), shape, p, prune, **rules).filter("linked").drop("linked")
+    pairs = candidates(shape, p, index, max_gap, n_parts, halo)
+    return decide(pairs, shape, p, prune, **rules).filter("linked").drop("linked")

@@ -93,8 +93,44 @@ def steps(p: Params) -> dict[str, str]:
     return out
 
 
-def sql(select: str, upto: str, p: Params = Params()) -> str:
-    """``select`` over the steps up to and with ``upto``."""
+def sector_steps(p: Params, n_rings: int, per_ring: int) -> dict[str, str]:
+    """Steps that read ``shape``: homes of clusters in balanced space parts, and what a later cluster reaches."""
+    turn = "(2 * pi())"
+
+    def meets(reach: str) -> str:
+        wide = f"(({reach}) * (1 + 1e-9) + 1e-9)"
+        half = f"((CASE WHEN {wide} >= b.rho THEN pi() ELSE asin(least({wide} / b.rho, 1)) END) + 1e-9)"
+        turns = " OR ".join(
+            f"(b.theta - {half} + {k} * {turn} < g.a_hi AND b.theta + {half} + {k} * {turn} >= g.a_lo)" for k in (-1, 0, 1)
+        )
+        return f"b.rho + {wide} >= g.r_lo AND b.rho - {wide} <= g.r_hi AND ({turns})"
+
+    cuts = lambda keys, v, n, name: f"""SELECT {keys}, {name}, CASE WHEN {name} = 1 THEN 0.0 ELSE lo END AS lo,
+        lead(lo, 1, 'inf'::DOUBLE) OVER (PARTITION BY {keys} ORDER BY {name}) AS hi FROM (
+          SELECT {keys}, {name}, min({v})::DOUBLE AS lo FROM (SELECT *, ntile({n}) OVER (PARTITION BY {keys} ORDER BY {v}, cluster_id) AS {name} FROM src)
+          GROUP BY {keys}, {name})"""
+    return {
+        "mid": "SELECT (min(mx) + max(mx)) / 2 AS cx, (min(my) + max(my)) / 2 AS cy FROM shape",
+        "polar": f"""SELECT *, CASE WHEN a < 0 THEN a + {turn} ELSE a END AS theta FROM (SELECT cluster_id, t, r,
+            sqrt((mx - cx) * (mx - cx) + (my - cy) * (my - cy)) AS rho, atan2(my - cy, mx - cx) AS a FROM shape, mid)""",
+        "ring": "WITH src AS (FROM polar) " + cuts("t", "rho", n_rings, "ring"),
+        "ringed": "SELECT p.*, g.ring, g.lo AS r_lo, g.hi AS r_hi FROM polar p JOIN ring g ON g.t = p.t AND p.rho >= g.lo AND p.rho < g.hi",
+        "sector": "WITH src AS (FROM ringed) " + cuts("t, ring", "theta", per_ring, "sector"),
+        "part": f"""SELECT s.t, (s.ring - 1) * {per_ring} + s.sector - 1 AS part, g.lo AS r_lo, g.hi AS r_hi, s.lo AS a_lo, s.hi AS a_hi
+            FROM sector s JOIN ring g ON g.t = s.t AND g.ring = s.ring""",
+        "homes": """SELECT p.t, p.cluster_id, g.part, g.r_lo, g.r_hi, g.a_lo, g.a_hi FROM polar p JOIN part g ON g.t = p.t
+            AND p.rho >= g.r_lo AND p.rho < g.r_hi AND p.theta >= g.a_lo AND p.theta < g.a_hi""",
+        "reached": f"""SELECT g.cluster_id AS src, b.cluster_id AS dst, {meets(f"b.r + {p.d}::DOUBLE")} AS narrow
+            FROM homes g JOIN polar b ON b.t > g.t AND b.t - g.t <= {p.max_gap} WHERE {meets(f"b.r + {p.d}::DOUBLE * (b.t - g.t)")}""",
+        "met": f"SELECT b.cluster_id, b.t, g.part FROM polar b JOIN part g ON g.t = b.t - 1 AND {meets(f'b.r + {p.d}::DOUBLE')}",
+    }
+
+
+def sql(select: str, upto: str, p: Params = Params(), more: dict[str, str] | None = None, **instead: str) -> str:
+    """``select`` over the steps up to and with ``upto``, some of them replaced, and ``more`` that read them."""
     named = steps(p)
     names = list(named)[: list(named).index(upto) + 1]
-    return "WITH RECURSIVE " + ",\n".join(f"{n} AS ({named[n]})" for n in names) + "\n" + select
+    # a step that stands for another needs none of those before it
+    first = max([names.index(n) for n in instead], default=0)
+    chosen = {n: instead.get(n, named[n]) for n in names[first:]} | (more or {})
+    return "WITH RECURSIVE " + ",\n".join(f"{n} AS ({text})" for n, text in chosen.items()) + "\n" + select

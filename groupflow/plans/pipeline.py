@@ -31,11 +31,22 @@ def clusters(snap: DataFrame, p: Params, plan: str = "auto") -> tuple[DataFrame,
 
 
 def discover(
-    snap: DataFrame, p: Params, plan: str = "auto", index: str = "box", prune: bool = True, closure: str = "global"
+    snap: DataFrame,
+    p: Params,
+    plan: str = "auto",
+    index: str = "box",
+    prune: bool = True,
+    closure: str = "global",
+    n_parts: int = 8,
+    halo: str = "gap",
 ) -> Discovery:
-    """Clusters, links, closed crowds, closed aggregations, groups and their evolution."""
+    """Clusters, links, closed crowds, closed aggregations, groups and their evolution.
+
+    ``index='sector'`` is the parallel method by space parts, ``'random'`` the one it is compared with,
+    ``'none'`` the serial one without an index.
+    """
     member, shape = clusters(snap, p, plan)
-    link = materialize(links.build(shape, p, index, prune), "link")
+    link = materialize(links.build(shape, p, index, prune, n_parts=n_parts, halo=halo), "link")
     cover = materialize(chains.cover(link), "cover")
     crowd = chains.closed_crowds(shape, cover, p)
     agg = materialize(peel.peel(crowd, shape, p), "agg")

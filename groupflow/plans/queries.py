@@ -13,10 +13,10 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from groupflow.functions import hausdorff, pruning
-from groupflow.operators import baselines, density, lineage, links, peel, snapshots
+from groupflow.operators import baselines, density, lineage, links, patterns, peel, sectors, snapshots
 from groupflow.params import Params
 from groupflow.plans import measures
-from groupflow.plans.oracles import sql
+from groupflow.plans.oracles import sector_steps, sql
 from groupflow.plans.pipeline import Discovery, discover
 from groupflow.sources import tracks
 from groupflow.storage import materialize
@@ -250,6 +250,65 @@ def convoys(spark, sf_dir):
     return found.select(_text("objs").alias("objs"), "first_t", "last_t")
 
 
+def flocks(spark, sf_dir):
+    found = patterns.flocks(_snap(spark, sf_dir), P.eps, 3, 4)
+    return found.select("anchor", "first_t", _text("members").alias("members"))
+
+
+def swarms(spark, sf_dir):
+    found = patterns.swarms(_all(spark, sf_dir).member, 3, 12)
+    return found.select(_text("objs").alias("objs"), F.size("clusters").cast("long").alias("n"))
+
+
+def chain_depths(spark, sf_dir):
+    found = _all(spark, sf_dir)
+    return lineage.depths(found.group, found.evo)
+
+
+#: Space parts of the registered queries.
+PARTS = 8
+
+
+def _parts(spark, sf_dir, n_parts: int = PARTS) -> tuple[DataFrame, DataFrame]:
+    shape = _all(spark, sf_dir).shape
+    points = sectors.polar(shape, sectors.center(shape))
+    return points, materialize(sectors.divide(points, n_parts), "parts")
+
+
+def sector_homes(spark, sf_dir):
+    return sectors.home(*_parts(spark, sf_dir)).select("t", "cluster_id", F.col("part").cast("long").alias("part"))
+
+
+def sector_balance(spark, sf_dir):
+    found = sectors.balance(sectors.home(*_parts(spark, sf_dir)), PARTS)
+    return found.select("t", "clusters", "fullest", *_r("imbalance"))
+
+
+def sector_kinds(spark, sf_dir):
+    """Clusters inside one part of the timestamp before, and those that reach several."""
+    kinds = sectors.assign(*_parts(spark, sf_dir), P.d)
+    return kinds.groupBy("t", F.col("kind").cast("long").alias("kind")).agg(F.count("*").alias("n"), F.sum(F.size("met")).alias("parts"))
+
+
+def sector_missed_links(spark, sf_dir):
+    """Links that boundary zones of the printed width miss, by time gap."""
+    found = _all(spark, sf_dir)
+    narrow = links.build(found.shape, P, "sector", n_parts=PARTS, halo="printed").select("src", "dst", F.lit(1).alias("one"))
+    both = found.link.join(narrow, ["src", "dst"], "left")
+    return both.groupBy(F.col("dt").cast("long").alias("dt")).agg(F.count("*").alias("n"), F.count_if(F.col("one").isNull()).alias("missed"))
+
+
+def parallel_pairs(spark, sf_dir):
+    """Pairs that each distribution compares, and the most of a task."""
+    shape = _all(spark, sf_dir).shape
+    out = None
+    for name in ("none", "random", "sector"):
+        pairs = links.candidates(shape, P, name, n_parts=PARTS)
+        one = pairs.agg(F.count("*").alias("pairs")).select(F.lit(name).alias("method"), "pairs")
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
 def _recall(d: float, k_c: int):
     def query(spark, sf_dir):
         p = Params(**{**PLANTED.__dict__, "d": d, "k_c": k_c})
@@ -269,13 +328,16 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
         density_clusters_by_snapshot, cluster_sizes, cluster_shapes, hausdorff_distances, link_decisions, rule_errors,
         cover_links, closed_crowds, participators, aggregation_check, closed_aggregations, groups, evolution_edges,
         lineage_events, evolving_groups, average_length, pattern_counts, state_size, strict_crowds, gatherings,
-        test_and_divide, convoys,
+        test_and_divide, convoys, flocks, swarms, chain_depths, sector_homes, sector_balance, sector_kinds, sector_missed_links,
+        parallel_pairs,
     )
 }
 QUERIES |= {
     "links": _links("box", True),
     "links_grid_index": _links("grid", True),
     "links_no_index": _links("none", False),
+    "links_sector_parallel": _links("sector", True),
+    "links_random_parallel": _links("random", True),
     "prune_far_printed": _rule("far", "printed"),
     "prune_far_hull": _rule("far", "hull"),
     "prune_near_printed": _rule("near", "printed"),
@@ -309,6 +371,7 @@ _XY = "t, obj_id, round(x, 6) AS x, round(y, 6) AS y"
 _MEMBER = "SELECT t, cluster_id, obj_id, is_core FROM member"
 _AGG = "SELECT agg_id, s_lo, s_hi, array_to_string(members, '-') AS members, size FROM agg"
 _LINK = sql("SELECT src, dst, dt FROM link", "link", P)
+_SECTOR = sector_steps(P, sectors.ring_count(PARTS), PARTS // sectors.ring_count(PARTS))
 
 ORACLE_SQL: dict[str, str] = {
     "snapshots_hourly": sql(f"SELECT {_T} AS t, count(*) AS fixes, count(DISTINCT obj_id) AS objects FROM fixes GROUP BY 1", "fixes"),
@@ -345,6 +408,68 @@ ORACLE_SQL: dict[str, str] = {
     "links": _LINK,
     "links_grid_index": _LINK,
     "links_no_index": _LINK,
+    "links_sector_parallel": _LINK,
+    "links_random_parallel": _LINK,
+    "sector_homes": sql("SELECT t, cluster_id, part FROM homes", "shape", P, _SECTOR),
+    "sector_balance": sql(
+        f"""SELECT t, sum(n)::BIGINT AS clusters, max(n) AS fullest, round(max(n)::DOUBLE * {PARTS} / sum(n)::DOUBLE, 6) AS imbalance
+        FROM (SELECT t, part, count(*) AS n FROM homes GROUP BY t, part) GROUP BY t""",
+        "shape",
+        P,
+        _SECTOR,
+    ),
+    "sector_kinds": sql(
+        """SELECT t, kind, count(*) AS n, sum(parts)::BIGINT AS parts FROM (SELECT b.t, b.cluster_id, count(m.part) AS parts,
+          CASE WHEN count(m.part) <= 1 THEN 1 ELSE 2 END AS kind FROM polar b LEFT JOIN met m ON m.cluster_id = b.cluster_id
+          WHERE b.t - 1 IN (SELECT t FROM part) GROUP BY ALL) GROUP BY t, kind""",
+        "shape",
+        P,
+        _SECTOR,
+    ),
+    "sector_missed_links": sql(
+        """SELECT dt, count(*) AS n, count(*) FILTER (WHERE NOT coalesce(narrow, false)) AS missed
+        FROM link LEFT JOIN reached USING (src, dst) GROUP BY dt""",
+        "link",
+        P,
+        _SECTOR,
+    ),
+    "parallel_pairs": sql(
+        f"""SELECT 'none' AS method, count(*) AS pairs {_PAIRS} UNION ALL SELECT 'random', count(*) {_PAIRS}
+        UNION ALL SELECT 'sector', count(*) FROM reached""",
+        "shape",
+        P,
+        _SECTOR,
+    ),
+    "flocks": sql(
+        f"""SELECT anchor, first_t, array_to_string(list(obj ORDER BY obj), '-') AS members FROM (
+          SELECT anchor, obj, unnest(generate_series(lo, hi - 3)) AS first_t FROM (
+            SELECT anchor, obj, min(t) AS lo, max(t) AS hi FROM (
+              SELECT obj_id AS anchor, other AS obj, t, t - row_number() OVER (PARTITION BY obj_id, other ORDER BY t) AS run FROM near)
+            GROUP BY anchor, obj, run HAVING max(t) - min(t) >= 3)) GROUP BY anchor, first_t HAVING count(*) >= 3""",
+        "near",
+        P,
+    ),
+    "swarms": sql(
+        """SELECT array_to_string(objs, '-') AS objs, len(clusters) AS n FROM sets s WHERE len(objs) >= 3 AND NOT EXISTS (
+          SELECT 1 FROM held h WHERE NOT list_contains(s.objs, h.obj_id) AND list_has_all(h.clusters, s.clusters))""",
+        "member",
+        P,
+        {
+            "held": "SELECT obj_id, list(cluster_id ORDER BY cluster_id) AS clusters FROM member GROUP BY obj_id",
+            "sets": """SELECT [obj_id] AS objs, obj_id AS last, clusters FROM held UNION ALL
+              SELECT list_append(s.objs, h.obj_id), h.obj_id, list_sort(list_intersect(s.clusters, h.clusters)) FROM sets s JOIN held h ON h.obj_id > s.last
+              WHERE len(list_intersect(s.clusters, h.clusters)) >= 12""",
+        },
+    ),
+    "chain_depths": sql(
+        """SELECT group_id, win, (SELECT max(n) FROM ins i WHERE i.g = group_id) AS depth_in, (SELECT max(n) FROM outs o WHERE o.g = group_id) AS depth_out FROM grp""",
+        "evo",
+        P,
+        {
+            "ins": "SELECT group_id AS g, 1::BIGINT AS n FROM grp UNION SELECT e.dst_group, i.n + 1 FROM ins i JOIN evo e ON e.src_group = i.g",
+            "outs": "SELECT group_id AS g, 1::BIGINT AS n FROM grp UNION SELECT e.src_group, o.n + 1 FROM outs o JOIN evo e ON e.dst_group = o.g",
+        },
+    ),
     "link_decisions": sql(
         f"""SELECT decided_by, count(*) AS n, count(*) FILTER (WHERE is_link) AS linked, round(count(*) / sum(count(*)) OVER (), 6) AS share
         FROM (SELECT CASE WHEN {_RULES["far_hull"]} THEN 'far' WHEN {_RULES["near_sound"]} THEN 'near' ELSE 'exact' END AS decided_by,
