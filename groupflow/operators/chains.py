@@ -26,10 +26,12 @@ def cover(link: DataFrame) -> DataFrame:
     return link.join(first.join(second, "mid").select("src", "dst"), ["src", "dst"], "left_anti")
 
 
-def closed_crowds(shape: DataFrame, cover_links: DataFrame, p: Params, max_paths: int = 50_000_000) -> DataFrame:
+def closed_crowds(
+    shape: DataFrame, cover_links: DataFrame, p: Params, max_paths: int = 50_000_000, span: tuple[int, int] | None = None
+) -> DataFrame:
     """``crowd(crowd_id, path, times, len, s_lo, s_hi)``: closed in every window that starts in ``[s_lo, s_hi]``.
 
-    Windows lie inside the time range of ``shape``. Each round extends all chains by one cluster, at most
+    Windows lie inside ``span``, first and last timestamp, or else the time range of ``shape``. Each round extends all chains by one cluster, at most
     ``w - 1`` times; chains that can no longer reach ``k_c`` clusters inside a window are dropped. The number
     of chains is known before a round is run, and more than ``max_paths`` raise an error.
     """
@@ -38,6 +40,7 @@ def closed_crowds(shape: DataFrame, cover_links: DataFrame, p: Params, max_paths
     empty = shape.sparkSession.createDataFrame([], "crowd_id string, path array<long>, times array<long>, len int, s_lo long, s_hi long")
     if ends["lo"] is None:
         return empty
+    first, last = span or (ends["lo"], ends["hi"])
     links = cover_links.select("src", "dst", time_of(F.col("src")).alias("src_t"), time_of(F.col("dst")).alias("dst_t"))
     links = materialize(links, "cover")
     pred = links.groupBy(F.col("dst").alias("cluster_id")).agg(F.max("src_t").alias("last_pred"))
@@ -57,8 +60,8 @@ def closed_crowds(shape: DataFrame, cover_links: DataFrame, p: Params, max_paths
     for n in range(1, p.w + 1):
         paths = materialize(paths, "paths")
         held.append(paths)
-        lo = F.greatest(F.col("tail_t") - p.w + 1, F.col("last_pred") + 1, F.lit(ends["lo"]))
-        hi = F.least(F.col("first_t"), F.col("first_succ") - p.w, F.lit(ends["hi"] - p.w + 1))
+        lo = F.greatest(F.col("tail_t") - p.w + 1, F.col("last_pred") + 1, F.lit(first))
+        hi = F.least(F.col("first_t"), F.col("first_succ") - p.w, F.lit(last - p.w + 1))
         if n >= p.k_c:
             whole = paths.select("path", "times", F.lit(n).alias("len"), lo.alias("s_lo"), hi.alias("s_hi"))
             found.append(whole.filter("s_lo <= s_hi"))

@@ -49,7 +49,7 @@ def frequent(every: Column, k: int) -> Column:
     return F.array_distinct(F.filter(runs, lambda v: v.isNotNull()))
 
 
-def _keep(chain: Column, p: Params) -> Column:
+def keep_valid(chain: Column, p: Params) -> Column:
     """One round: clusters that hold ``m_p`` participators of the chain."""
     real = frequent(F.flatten(F.transform(chain, lambda c: c["objs"])), p.k_p)
     return bind(real, lambda r: F.filter(chain, lambda c: F.size(F.array_intersect(c["objs"], r)) >= p.m_p))
@@ -58,7 +58,7 @@ def _keep(chain: Column, p: Params) -> Column:
 def _peel_expr(rows: DataFrame, p: Params) -> DataFrame:
     # each round but the last drops a cluster, so w - k_c + 1 rounds reach the fixpoint or too few clusters
     rounds = F.sequence(F.lit(1), F.lit(p.w - p.k_c + 1))
-    return rows.withColumn("chain", F.aggregate(rounds, F.col("chain"), lambda s, _: _keep(s, p)))
+    return rows.withColumn("chain", F.aggregate(rounds, F.col("chain"), lambda s, _: keep_valid(s, p)))
 
 
 def _peel_relational(rows: DataFrame, p: Params) -> DataFrame:

@@ -13,16 +13,18 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from groupflow.functions import hausdorff, pruning
-from groupflow.operators import baselines, density, lineage, links, patterns, peel, sectors, snapshots
+from groupflow.operators import baselines, density, incremental, lineage, links, patterns, peel, sectors, snapshots
 from groupflow.params import Params
 from groupflow.plans import measures
 from groupflow.plans.oracles import sector_steps, sql
-from groupflow.plans.pipeline import Discovery, discover
+from groupflow.plans.pipeline import Discovery, clusters, discover
 from groupflow.sources import tracks
-from groupflow.storage import materialize
+from groupflow.storage import materialize, scratch_path
+from groupflow.streaming import engine
 
 P = Params()
 #: Planted walks: the published setting but for ``d``, which fits the walks' speed.
+PLANTED_SMALL = Params(eps=1.5, min_pts=2, w=6, k_c=5, m_c=2, k_p=4, m_p=2, d=5.0, m_g=1.0, k_g=14)
 PLANTED = Params(eps=1.5, min_pts=2, w=14, k_c=10, m_c=2, k_p=8, m_p=2, d=8.0, m_g=1.0, k_g=14)
 
 
@@ -309,6 +311,37 @@ def parallel_pairs(spark, sf_dir):
     return out
 
 
+@lru_cache(maxsize=4)
+def _streamed(app: str, sf_dir: str) -> engine.GroupStream:
+    spark = SparkSession.active()
+    sink = engine.GroupStream(scratch_path(spark, "stream"), P)
+    engine.run(engine.replay(_snap(spark, sf_dir), 6), sink)
+    return sink
+
+
+def stream_groups(spark, sf_dir):
+    """The groups of all windows, from the stream."""
+    found = _streamed(spark.sparkContext.applicationId, sf_dir).groups(spark)
+    return found.select("win", "group_id", F.col("size").cast("long").alias("size"), "n_aggs")
+
+
+def stream_evolution_edges(spark, sf_dir):
+    found = _streamed(spark.sparkContext.applicationId, sf_dir).evolution(spark)
+    return found.select("win", "src_group", "dst_group", "common", *_r("ratio"))
+
+
+def incremental_crowds_planted(spark, sf_dir):
+    """Closed crowds of each window of the planted walks, timestamp by timestamp."""
+    _, shape = clusters(tracks.planted_walks(spark, sf_dir), PLANTED_SMALL, "snapshot")
+    times = [r["t"] for r in shape.select("t").distinct().orderBy("t").collect()]  # one number for each snapshot
+    state, out = None, None
+    for t in range(times[0], times[-1] + 1) if times else ():
+        state, _ = incremental.crowd_step(state, shape.filter(F.col("t") == t), t, PLANTED_SMALL)
+        one = materialize(incremental.crowds(state, PLANTED_SMALL).select("win", "crowd_id"), "crowds")
+        out = one if out is None else out.unionByName(one)
+    return out if out is not None else spark.createDataFrame([], "win long, crowd_id string")
+
+
 def _recall(d: float, k_c: int):
     def query(spark, sf_dir):
         p = Params(**{**PLANTED.__dict__, "d": d, "k_c": k_c})
@@ -329,7 +362,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
         cover_links, closed_crowds, participators, aggregation_check, closed_aggregations, groups, evolution_edges,
         lineage_events, evolving_groups, average_length, pattern_counts, state_size, strict_crowds, gatherings,
         test_and_divide, convoys, flocks, swarms, chain_depths, sector_homes, sector_balance, sector_kinds, sector_missed_links,
-        parallel_pairs,
+        parallel_pairs, stream_groups, stream_evolution_edges, incremental_crowds_planted,
     )
 }
 QUERIES |= {
@@ -371,6 +404,13 @@ _XY = "t, obj_id, round(x, 6) AS x, round(y, 6) AS y"
 _MEMBER = "SELECT t, cluster_id, obj_id, is_core FROM member"
 _AGG = "SELECT agg_id, s_lo, s_hi, array_to_string(members, '-') AS members, size FROM agg"
 _LINK = sql("SELECT src, dst, dt FROM link", "link", P)
+_GROUPS = sql("SELECT win, group_id, size, n_aggs FROM grp", "grp", P)
+_EDGES = sql("SELECT win, src_group, dst_group, common, round(ratio, 6) AS ratio FROM evo", "evo", P)
+_WALKS = """SELECT t, k AS obj_id, abs((377 * a + (a % 5 + 1) * t) % 600 - 300) + s * ((k % 4) * 0.6::DOUBLE - 0.9::DOUBLE) AS x,
+          abs((911 * a + (a % 7 + 1) * t) % 600 - 300) + s * ((k * 7 + t) % 3 * 0.2::DOUBLE) AS y
+        FROM (SELECT *, CASE WHEN g % 3 = 1 AND (t + g) % 9 = 4 THEN 20.0::DOUBLE ELSE 1.0::DOUBLE END AS s FROM (
+          SELECT *, CASE WHEN g % 3 <> 2 THEN g ELSE 1000 + k END AS a, unnest(range(42)) AS t FROM (
+            SELECT c_custkey AS k, c_custkey // 4 AS g FROM customer WHERE c_custkey < 120)))"""
 _SECTOR = sector_steps(P, sectors.ring_count(PARTS), PARTS // sectors.ring_count(PARTS))
 
 ORACLE_SQL: dict[str, str] = {
@@ -499,8 +539,11 @@ ORACLE_SQL: dict[str, str] = {
     "aggregations_per_crowd": sql(_AGG, "agg", P),
     "aggregations_relational": sql(_AGG, "agg", P),
     "closed_aggregations": sql("SELECT win, agg_id, array_to_string(members, '-') AS members FROM closed", "closed", P),
-    "groups": sql("SELECT win, group_id, size, n_aggs FROM grp", "grp", P),
-    "evolution_edges": sql("SELECT win, src_group, dst_group, common, round(ratio, 6) AS ratio FROM evo", "evo", P),
+    "groups": _GROUPS,
+    "evolution_edges": _EDGES,
+    "stream_groups": _GROUPS,
+    "stream_evolution_edges": _EDGES,
+    "incremental_crowds_planted": sql("SELECT unnest(generate_series(s_lo, s_hi)) AS win, crowd_id FROM crowd", "crowd", PLANTED_SMALL, snap=_WALKS),
     "lineage_events": sql(
         """SELECT group_id, win, size, n_in, n_out, n_in = 0 AS starts, n_out = 0 AS ends, n_out > 1 AS splits, n_in > 1 AS merges
         FROM (SELECT *, (SELECT count(*) FROM evo WHERE src_group = group_id) AS n_out, (SELECT count(*) FROM evo WHERE dst_group = group_id) AS n_in FROM grp)""",
