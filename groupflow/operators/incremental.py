@@ -58,7 +58,6 @@ def crowd_step(state: Window | None, new: DataFrame, t: int, p: Params) -> tuple
     kept = state.candidate.select(cut.alias("c")).filter(F.size("c") > 0).select(F.col("c.path").alias("path"), F.col("c.times").alias("times")).distinct()
     old = link.filter(time_of(F.col("dst")) < t)
     kept = kept.join(old.select(F.col("dst").alias("h")).distinct(), F.element_at("path", 1) == F.col("h"), "left_anti")
-    kept = materialize(kept, "kept")
     now = link.filter(time_of(F.col("dst")) == t).select("src", "dst")
     between = old.select("src", F.col("dst").alias("mid")).join(now.select(F.col("src").alias("mid"), "dst"), "mid")
     cover = materialize(now.join(between.select("src", "dst"), ["src", "dst"], "left_anti"), "cover")
@@ -76,11 +75,15 @@ def crowd_step(state: Window | None, new: DataFrame, t: int, p: Params) -> tuple
     everyone = unmatched.unionByName(grown).unionByName(alone)
     candidate = materialize(everyone.filter(_useful(p, t)), "candidates")
     status = kept.select(tail.alias("tail")).distinct().join(matched.withColumn("status", F.lit("match")), "tail", "left")
-    status = materialize(status.select("tail", F.coalesce("status", F.lit("unmatched")).alias("status")), "status")
-    release(kept, cover, state.shape, state.link, state.candidate)
+    status = status.select("tail", F.coalesce("status", F.lit("unmatched")).alias("status"))
     return Window(t, state.start, shape, link, candidate), status
 
 
+def forget(state: Window) -> None:
+    """Delete what an earlier state holds, once no plan reads it any more."""
+    release(state.shape, state.link, state.candidate)
+
+
 def _useful(p: Params, t: int):
     """Long enough, or able to get so from some head on: clusters from there on and timestamps left in its window."""
     n = F.size("path")

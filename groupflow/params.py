@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 
 
 @dataclass(frozen=True)
@@ -40,3 +40,7 @@ class Params:
     def max_gap(self) -> int:
         """The longest time gap of a link: a crowd misses at most ``w - k_c`` timestamps of its window."""
         return self.w - self.k_c + 1
+
+    def but(self, **other: float) -> Params:
+        """These parameters with some others."""
+        return replace(self, **other)

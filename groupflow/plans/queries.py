@@ -15,7 +15,7 @@ from pyspark.sql import functions as F
 from groupflow.functions import hausdorff, pruning
 from groupflow.operators import baselines, density, incremental, lineage, links, patterns, peel, sectors, snapshots
 from groupflow.params import Params
-from groupflow.plans import measures
+from groupflow.plans import measures, surface, sweeps
 from groupflow.plans.oracles import sector_steps, sql
 from groupflow.plans.pipeline import Discovery, clusters, discover
 from groupflow.sources import tracks
@@ -315,7 +315,7 @@ def parallel_pairs(spark, sf_dir):
 def _streamed(app: str, sf_dir: str) -> engine.GroupStream:
     spark = SparkSession.active()
     sink = engine.GroupStream(scratch_path(spark, "stream"), P)
-    engine.run(engine.replay(_snap(spark, sf_dir), 6), sink)
+    engine.run(engine.replay(_snap(spark, sf_dir), 3), sink)
     return sink
 
 
@@ -337,11 +337,57 @@ def incremental_crowds_planted(spark, sf_dir):
     state, out = None, None
     for t in range(times[0], times[-1] + 1) if times else ():
         state, _ = incremental.crowd_step(state, shape.filter(F.col("t") == t), t, PLANTED_SMALL)
-        one = materialize(incremental.crowds(state, PLANTED_SMALL).select("win", "crowd_id"), "crowds")
+        one = incremental.crowds(state, PLANTED_SMALL).select("win", "crowd_id")
         out = one if out is None else out.unionByName(one)
     return out if out is not None else spark.createDataFrame([], "win long, crowd_id string")
 
 
+def sql_hausdorff(spark, sf_dir):
+    """Distances of linked clusters by the functions and views that a user of SQL sees."""
+    surface.register(spark, _snap(spark, sf_dir), _all(spark, sf_dir))
+    return spark.sql(
+        """SELECT l.src, l.dst, round(hausdorff(a.pts, b.pts), 6) AS distance FROM links l
+        JOIN shapes a ON a.cluster_id = l.src JOIN shapes b ON b.cluster_id = l.dst WHERE hausdorff_within(a.pts, b.pts, {d} * l.dt)""".format(d=P.d)
+    )
+
+
+def sweep_d(spark, sf_dir):
+    """Candidate pairs and links for growing distances."""
+    return sweeps.distances(_all(spark, sf_dir).shape, P, (2.0, 3.0, 4.0, 5.0))
+
+
+def sweep_k_p(spark, sf_dir):
+    """Aggregations for growing participation, over the same crowds."""
+    found = _all(spark, sf_dir)
+    return sweeps.verification(found.crowd, found.shape, [P.but(k_p=k) for k in (2, 3, 4, 5)])
+
+
+def sweep_m_p(spark, sf_dir):
+    found = _all(spark, sf_dir)
+    return sweeps.verification(found.crowd, found.shape, [P.but(m_p=m) for m in (2, 3, 4, 5)])
+
+
+def sweep_k_c(spark, sf_dir):
+    """Closed crowds for growing least lengths in windows of ``w``."""
+    found = _all(spark, sf_dir)
+    return sweeps.crowds(found.shape, found.link, [P.but(k_c=k) for k in (5, 6)])
+
+
+def sweep_m_c(spark, sf_dir):
+    found = _all(spark, sf_dir)
+    return sweeps.sizes(found.shape, found.link, [P.but(m_c=m) for m in (3, 4, 5)])
+
+
+def sweep_objects(spark, sf_dir):
+    """Clusters for growing parts of the objects, a fifth to all of them."""
+    return sweeps.objects(_snap(spark, sf_dir), P, 5)
+
+
+def ablation(spark, sf_dir):
+    """Pairs that are compared point by point with each device switched off; the links are the same."""
+    return sweeps.ablation(_all(spark, sf_dir).shape, P)
+
+
 def _recall(d: float, k_c: int):
     def query(spark, sf_dir):
         p = Params(**{**PLANTED.__dict__, "d": d, "k_c": k_c})
@@ -362,7 +408,8 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
         cover_links, closed_crowds, participators, aggregation_check, closed_aggregations, groups, evolution_edges,
         lineage_events, evolving_groups, average_length, pattern_counts, state_size, strict_crowds, gatherings,
         test_and_divide, convoys, flocks, swarms, chain_depths, sector_homes, sector_balance, sector_kinds, sector_missed_links,
-        parallel_pairs, stream_groups, stream_evolution_edges, incremental_crowds_planted,
+        parallel_pairs, stream_groups, stream_evolution_edges, incremental_crowds_planted, sql_hausdorff,
+        sweep_d, sweep_k_p, sweep_m_p, sweep_k_c, sweep_m_c, sweep_objects, ablation,
     )
 }
 QUERIES |= {
@@ -413,6 +460,19 @@ _WALKS = """SELECT t, k AS obj_id, abs((377 * a + (a % 5 + 1) * t) % 600 - 300)
             SELECT c_custkey AS k, c_custkey // 4 AS g FROM customer WHERE c_custkey < 120)))"""
 _SECTOR = sector_steps(P, sectors.ring_count(PARTS), PARTS // sectors.ring_count(PARTS))
 
+
+
+def _union(selects: list[str], inner: list[str]) -> str:
+    return " UNION ALL ".join(s.format(i) for s, i in zip(selects, inner, strict=True))
+
+
+def _sweep(name: str, values: tuple[int, ...]) -> str:
+    return _union(
+        [f"SELECT {v} AS {name}, count(*) AS aggregations, coalesce(sum(size), 0)::BIGINT AS members FROM ({{}})" for v in values],
+        [sql("SELECT DISTINCT agg_id, size FROM agg", "agg", P.but(**{name: v})) for v in values],
+    )
+
+
 ORACLE_SQL: dict[str, str] = {
     "snapshots_hourly": sql(f"SELECT {_T} AS t, count(*) AS fixes, count(DISTINCT obj_id) AS objects FROM fixes GROUP BY 1", "fixes"),
     "snapshots_last_position": sql(
@@ -527,6 +587,18 @@ ORACLE_SQL: dict[str, str] = {
         P,
     ),
     "cover_links": sql("SELECT src, dst, dt FROM cover", "cover", P),
+    "sql_hausdorff": sql("SELECT src, dst, round(sqrt(q), 6) AS distance FROM hausdorff JOIN link USING (src, dst)", "link", P),
+    "sweep_d": sql(
+        f"SELECT d, count(*) AS pairs, count(*) FILTER (WHERE q <= (d * dt) ** 2) AS linked FROM hausdorff, (VALUES (2.0::DOUBLE), (3.0), (4.0), (5.0)) v(d) GROUP BY d",
+        "hausdorff",
+        P,
+    ),
+    "sweep_k_p": _sweep("k_p", (2, 3, 4, 5)),
+    "sweep_m_p": _sweep("m_p", (2, 3, 4, 5)),
+    "sweep_k_c": _union([f"SELECT {k} AS k_c, count(*) AS crowds, coalesce(sum(s_hi - s_lo + 1), 0)::BIGINT AS windows FROM ({{}})" for k in (5, 6)],
+        [sql("SELECT s_lo, s_hi FROM crowd", "crowd", P.but(k_c=k)) for k in (5, 6)]),
+    "sweep_m_c": _union([f"SELECT {m} AS m_c, (SELECT count(*) FROM ({{}})) AS links" for m in (3, 4, 5)],
+        [sql("SELECT 1 FROM link", "link", P.but(m_c=m)) for m in (3, 4, 5)]),
     "closed_crowds": sql("SELECT crowd_id, len, s_lo, s_hi FROM crowd", "crowd", P),
     "participators": sql("SELECT crowd_id, obj_id, cnt FROM real0", "real0", P),
     "aggregation_check": sql(
