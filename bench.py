@@ -54,6 +54,8 @@ def main() -> None:
     member, shape = timed("clusters", lambda: clusters(snap, p))
     link = timed("links_box", lambda: materialize(links.build(shape, p), "link"))
     timed("links_grid", lambda: links.build(shape, p, "grid").count())
+    timed("links_sector", lambda: links.build(shape, p, "sector", n_parts=int(CPUS)).count())
+    timed("links_random", lambda: links.build(shape, p, "random", n_parts=int(CPUS)).count())
     timed("links_none", lambda: links.build(shape, p, "none", False).count())
     cover = timed("cover", lambda: materialize(chains.cover(link), "cover"))
     crowd = timed("closed_crowds", lambda: chains.closed_crowds(shape, cover, p))
