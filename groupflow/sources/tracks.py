@@ -28,10 +28,11 @@ def hourly_events(spark: SparkSession, sf_dir: str) -> DataFrame:
     return snapshots.interpolate(event_fixes(spark, sf_dir), HOUR, EVENT_ORIGIN)
 
 
-def lineitem_fixes(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Parts seen at the place of their supplier on ship dates of two years; sightings of one instant averaged."""
+def lineitem_fixes(spark: SparkSession, sf_dir: str, whole: bool = True) -> DataFrame:
+    """Parts seen at the place of their supplier on their ship dates, of all years or of 1996 and 1997; sightings of one instant averaged."""
     lines = load(spark, sf_dir, "lineitem").select("l_partkey", "l_suppkey", F.col("l_shipdate").cast("timestamp").alias("ts"))
-    lines = lines.filter("ts >= timestamp'1996-01-01' and ts < timestamp'1998-01-01'")
+    if not whole:
+        lines = lines.filter("ts >= timestamp'1996-01-01' and ts < timestamp'1998-01-01'")
     places = load(spark, sf_dir, "supplier").select(
         F.col("s_suppkey").alias("l_suppkey"),
         (F.col("s_acctbal").cast("double") / 100).alias("px"),
@@ -47,7 +48,7 @@ def lineitem_fixes(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def weekly_lineitems(spark: SparkSession, sf_dir: str, first: int = 30, last: int = 81) -> DataFrame:
     """Weekly interpolated positions of parts, in the weeks in which most parts have been seen."""
-    fixes = lineitem_fixes(spark, sf_dir)
+    fixes = lineitem_fixes(spark, sf_dir, whole=False)
     low = fixes.agg(F.min(F.unix_micros("ts")).alias("low")).first()["low"] or 0
     return snapshots.interpolate(fixes, WEEK, low // WEEK * WEEK).filter(F.col("t").between(first, last))
 
@@ -56,10 +57,16 @@ def _triangle(v):
     return F.abs(v % 600 - 300)
 
 
-def planted_walks(spark: SparkSession, sf_dir: str, n: int = 120, length: int = 42) -> DataFrame:
-    """Walks of customers in planted groups of four; two of three groups walk together, some with brief separations."""
+def _customers(spark: SparkSession, sf_dir: str, n: int | None) -> DataFrame:
+    customers = load(spark, sf_dir, "customer")
+    return customers if n is None else customers.filter(F.col("c_custkey") < n)
+
+
+def planted_walks(spark: SparkSession, sf_dir: str, n: int | None = None, length: int = 42) -> DataFrame:
+    """Walks of all customers, or of those below ``n``, in planted groups of four; two of three groups walk
+    together, some with brief separations."""
     k = F.col("c_custkey")
-    base = load(spark, sf_dir, "customer").filter(k < n).select(k.alias("obj_id"), (k / 4).cast("long").alias("g"))
+    base = _customers(spark, sf_dir, n).select(k.alias("obj_id"), (k / 4).cast("long").alias("g"))
     base = base.withColumn("a", F.when(F.col("g") % 3 != 2, F.col("g")).otherwise(F.col("obj_id") + 1000))
     rows = base.withColumn("t", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(length - 1).cast("long"))))
     a, t, o = F.col("a"), F.col("t"), F.col("obj_id")
@@ -72,12 +79,11 @@ def planted_walks(spark: SparkSession, sf_dir: str, n: int = 120, length: int =
     )
 
 
-def planted_truth(spark: SparkSession, sf_dir: str, n: int = 120) -> DataFrame:
+def planted_truth(spark: SparkSession, sf_dir: str, n: int | None = None) -> DataFrame:
     """``group_id, members`` of the planted groups that walk together."""
     k = F.col("c_custkey")
     return (
-        load(spark, sf_dir, "customer")
-        .filter(k < n)
+        _customers(spark, sf_dir, n)
         .groupBy((k / 4).cast("long").alias("group_id"))
         .agg(F.sort_array(F.collect_list(k)).alias("members"))
         .filter("group_id % 3 <> 2")
