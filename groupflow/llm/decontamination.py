@@ -1,11 +1,12 @@
 """Benchmark decontamination by q-gram filtering and banded alignment.
 
-Benchmark items are cut into overlapping patterns. Two strings of length m within k edits share at
-least ``m + 1 - q * (k + 1)`` q-grams, and those lie within ``k`` diagonals of one another. So the
-q-grams that a text shares with a pattern are counted in overlapping bands of diagonals; only
-bands that meet the bound are aligned, in the band, and a pattern within its edit budget is a leak.
+Every run of ``short + stride - 1`` characters of an item holds one of its overlapping patterns whole. Two strings of length m within k edits share at
+least ``m + 1 - q * (k + 1)`` q-grams, and those lie within ``k`` diagonals of one another. The
+q-grams of whole items are indexed once. Where a text shares enough of them with an item for one pattern,
+they are counted for each pattern in overlapping bands of diagonals; only bands that meet the bound are
+aligned, in the band, and a pattern within its edit budget is a leak. Patterns without an edit need no alignment.
 
-The patterns' index is broadcast in blocks of bounded size, one pass over the texts for each block; the
+The items' index is broadcast in blocks of bounded size, one pass over the texts for each block; the
 texts are scanned as code-point arrays and never shuffled.
 """
 
@@ -26,12 +27,15 @@ _A = 0x9E3779B97F4A7C15
 
 @dataclass(frozen=True)
 class DecontaminationParams:
-    """``window``/``stride``: patterns of an item, in normalised characters. ``edits``: the budget, as a share of
-    the pattern. ``block_chars``: patterns indexed at once, which bounds what is broadcast."""
+    """``window``, ``short``, ``stride``: patterns of an item, in normalised characters, of two widths: a copied
+    passage of ``short + stride - 1`` (99) characters is found wherever it starts in the item, and the wider
+    patterns hold more edits. ``edits``: the budget, as a share of the pattern.
+    ``block_chars``: characters of items indexed at once, which bounds what is broadcast."""
 
     q: int = 12
     window: int = 128
-    stride: int = 64
+    short: int = 92
+    stride: int = 8
     edits: float = 0.05
     block_chars: int = 4_000_000
 
@@ -71,12 +75,19 @@ def _grams(codes: np.ndarray, q: int) -> np.ndarray:
 
 @dataclass
 class _Patterns:
-    """An index of patterns: sorted distinct q-gram hashes and where each one stands."""
+    """An index of items, one entry for each width of its patterns: sorted distinct q-gram hashes and where each
+    one stands. Patterns are numbered entry by entry."""
 
     item: list[int]
-    codes: list[np.ndarray]
+    same: np.ndarray  # one number for the entries of an item
+    codes: np.ndarray  # of all entries, one after another
+    begin: np.ndarray  # of each entry in codes
+    width: np.ndarray  # of each entry's patterns
     budget: np.ndarray
     least: np.ndarray
+    first: np.ndarray  # number of each entry's first pattern, and of all patterns
+    starts: np.ndarray  # of each pattern in its item
+    of: np.ndarray  # the entry of each pattern
     hashes: np.ndarray
     offsets: np.ndarray
     owner: np.ndarray
@@ -86,23 +97,24 @@ class _Patterns:
 
 def build(items: list[tuple[int, str | None]], p: DecontaminationParams) -> _Patterns:
     """Patterns of whole items. An item shorter than a q-gram is not searched: it is no evidence of a leak."""
-    item, codes, budget, least, grams = [], [], [], [], []
-    for item_id, text in items:
+    item, same, codes, width, budget, least, starts, grams = [], [], [], [], [], [], [], []
+    for number, (item_id, text) in enumerate(items):
         c = _codes(normalise(text))
         n = len(c)
         if n < p.q:
             continue
-        starts = [0] if n <= p.window else [*range(0, n - p.window, p.stride), n - p.window]
-        for s in starts:
-            part = c[s : s + p.window]
-            k = int(p.edits * len(part))
-            while k and len(part) + 1 - p.q * (k + 1) < 1:
+        for m in sorted({min(n, p.window), min(n, p.short)}):
+            k = int(p.edits * m)
+            while k and m + 1 - p.q * (k + 1) < 1:
                 k -= 1
             item.append(item_id)
-            codes.append(part)
+            same.append(number)
+            codes.append(c)
+            width.append(m)
             budget.append(k)
-            least.append(len(part) + 1 - p.q * (k + 1))
-            grams.append(_grams(part, p.q))
+            least.append(m + 1 - p.q * (k + 1))
+            starts.append(np.array([*range(0, n - m, p.stride), n - m]))
+            grams.append(_grams(c, p.q))
     lengths = [len(g) for g in grams]
     every = np.concatenate(grams) if grams else np.empty(0, np.uint64)
     owner = np.repeat(np.arange(len(grams)), lengths)
@@ -111,16 +123,20 @@ def build(items: list[tuple[int, str | None]], p: DecontaminationParams) -> _Pat
     hashes, first = np.unique(every[order], return_index=True)
     table = np.zeros(1 << 22, np.bool_)
     table[hashes >> np.uint64(42)] = True
+    sizes = [len(c) for c in codes]
+    many = [len(x) for x in starts]
+    whole = lambda parts: np.concatenate(parts) if parts else np.empty(0, np.int64)
     return _Patterns(
-        item, codes, np.array(budget, np.int64), np.array(least, np.int64),
+        item, np.array(same, np.int64), whole(codes), np.cumsum([0, *sizes]), np.array(width, np.int64), np.array(budget, np.int64), np.array(least, np.int64),
+        np.cumsum([0, *many]), whole(starts), np.repeat(np.arange(len(many)), many),
         hashes, np.append(first, len(every)), owner[order], place[order], table,
     )
 
 
 def _aligned(text: np.ndarray, pattern: np.ndarray, low: np.ndarray, width: int) -> np.ndarray:
-    """Least edits of ``pattern`` against a part of ``text``, for each band ``[low, low + width)`` of diagonals.
+    """Least edits of a pattern against a part of ``text``, for each band ``[low, low + width)`` of diagonals.
 
-    Rows of the alignment are the pattern's characters; a row holds the band's diagonals for all candidates at
+    ``pattern`` is one for all bands, or has a row for each band. Rows of the alignment are the pattern's characters; a row holds the band's diagonals for all candidates at
     once. Insertions run along a row, which a running minimum resolves.
     """
     steps = np.arange(width)
@@ -128,7 +144,7 @@ def _aligned(text: np.ndarray, pattern: np.ndarray, low: np.ndarray, width: int)
     cost = np.zeros(at.shape, np.int32)
     edge = np.full((len(low), 1), 1 << 20, np.int32)
     n = len(text)
-    for j, c in enumerate(pattern):
+    for j, c in enumerate(pattern if pattern.ndim == 1 else pattern.T[:, :, None]):
         where = at + j
         inside = (where >= 0) & (where < n)
         same = inside & (text[np.clip(where, 0, max(n - 1, 0))] == c)
@@ -139,6 +155,11 @@ def _aligned(text: np.ndarray, pattern: np.ndarray, low: np.ndarray, width: int)
     return cost.min(axis=1)
 
 
+def _counted(a: np.ndarray, b: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray]:
+    """Distinct pairs with ``-n <= b < n``, as ``a * 2n + b + n``, and how often each one stands."""
+    return np.unique(a * (2 * n) + b + n, return_counts=True)
+
+
 def _leaks(texts: list[str | None], index: _Patterns, p: DecontaminationParams) -> dict[int, dict[int, tuple[int, int]]]:
     """For each number of a text with leaks: item -> (least edits, start in the normalised text)."""
     parts = [_codes(normalise(t)) for t in texts]
@@ -158,30 +179,64 @@ def _leaks(texts: list[str | None], index: _Patterns, p: DecontaminationParams)
     rank = np.arange(counts.sum()) - np.repeat(np.cumsum(counts) - counts, counts)
     posting = np.repeat(index.offsets[near], counts) + rank
     at = np.repeat(at, counts)
-    owner, diagonal = index.owner[posting], at - index.place[posting]
+    owner, place = index.owner[posting], index.place[posting]
     doc = np.searchsorted(ends, at, side="right")
-    # no band of a pair of text and pattern can meet the bound when all its diagonals together do not
+    # no pattern of a pair of text and item can meet the bound when all the pair's q-grams together do not
     pair = doc * len(index.item) + owner
     _, inverse, total = np.unique(pair, return_inverse=True, return_counts=True)
     keep = total[inverse] >= index.least[owner]
-    owner, diagonal, doc = owner[keep], diagonal[keep], doc[keep]
+    owner, place, at, doc = owner[keep], place[keep], at[keep], doc[keep]
     if not len(owner):
         return {}
-    span = 2 * index.budget[owner] + 1
-    band = np.concatenate([diagonal // span, diagonal // span - 1])  # each band is two spans wide
-    owner, doc = np.tile(owner, 2), np.tile(doc, 2)
-    key, count = np.unique(np.stack([doc, owner, band]), axis=1, return_counts=True)
-    key = key[:, count >= index.least[key[1]]]
+    # from items to their patterns: those that hold the q-gram whole, starts on a grid and one at the item's end
+    low, last = index.first[owner], index.first[owner + 1] - 1
+    since = np.maximum(place - (index.width[owner] - p.q), 0)
+    begin = np.minimum(low - (-since // p.stride), last)
+    end = np.minimum(low + place // p.stride + 1, last)
+    end += index.starts[last] <= place
+    counts = np.maximum(end - begin, 0)
+    rank = np.arange(counts.sum()) - np.repeat(np.cumsum(counts) - counts, counts)
+    pattern = np.repeat(begin, counts) + rank
+    at, doc = np.repeat(at, counts), np.repeat(doc, counts)
+    diagonal = at - np.repeat(place, counts) + index.starts[pattern]
     found: dict[int, dict[int, tuple[int, int]]] = {}
-    for i in np.unique(key[1]):
-        docs, bands = key[0, key[1] == i], key[2, key[1] == i]
-        span, k = int(2 * index.budget[i] + 1), int(index.budget[i])
-        edits = _aligned(joined, index.codes[i], bands * span, 2 * span)
-        for d, b, e in zip(docs.tolist(), bands.tolist(), edits.tolist()):
-            if e <= k:
-                item, start = index.item[i], max(b * span - int(begins[d]), 0)
-                old = found.setdefault(d, {}).get(item)
-                found[d][item] = (e, start) if old is None else min(old, (e, start))
+
+    def note(docs: np.ndarray, items: np.ndarray, edits: np.ndarray, starts: np.ndarray) -> None:
+        for d, i, e, x in zip(docs.tolist(), items.tolist(), edits.tolist(), starts.tolist()):
+            new = (e, max(x - int(begins[d]), 0))
+            old = found.setdefault(d, {}).get(index.item[i])
+            found[d][index.item[i]] = new if old is None else min(old, new)
+
+    # all q-grams of a pattern on one diagonal: a copy without edits, and the pair is settled
+    reach = len(joined) + max(p.window, p.short)  # above every diagonal and band, of either sign
+    key, count = _counted(pattern, diagonal, reach)
+    one, here = key // (2 * reach), key % (2 * reach) - reach
+    item = index.of[one]
+    full = count == index.width[item] - p.q + 1
+    one, here, item = one[full], here[full], item[full]
+    where = np.searchsorted(ends, here, side="right")
+    note(where, item, np.zeros(len(one), np.int64), here)
+    settled = np.unique(where * len(index.item) + index.same[item])
+    keep = ~np.isin(doc * len(index.item) + index.same[index.of[pattern]], settled)
+    pattern, diagonal, doc = pattern[keep], diagonal[keep], doc[keep]
+    span = 2 * index.budget[index.of[pattern]] + 1
+    band = np.concatenate([diagonal // span, diagonal // span - 1])  # each band is two spans wide
+    pattern, doc = np.tile(pattern, 2), np.tile(doc, 2)
+    key, count = _counted(doc * len(index.of) + pattern, band, reach)
+    one = key // (2 * reach)
+    key = np.stack([one // len(index.of), one % len(index.of), key % (2 * reach) - reach])
+    key = key[:, count >= index.least[index.of[key[1]]]]
+    item = index.of[key[1]]
+    for m in np.unique(index.width[item]):
+        rows = np.flatnonzero(index.width[item] == m)
+        k = int(index.budget[item[rows[0]]])
+        span = 2 * k + 1
+        for some in np.array_split(rows, -(-len(rows) // 4096)):
+            docs, patterns, bands = key[:, some]
+            begin = index.begin[item[some]] + index.starts[patterns]
+            edits = _aligned(joined, index.codes[begin[:, None] + np.arange(m)], bands * span, 2 * span)
+            near = edits <= k
+            note(docs[near], item[some][near], edits[near], bands[near] * span)
     return found
 
 
@@ -198,7 +253,8 @@ def _blocks(benchmark: DataFrame, p: DecontaminationParams) -> Iterator[_Pattern
 
 
 def find_leaks(docs: DataFrame, benchmark: DataFrame, p: DecontaminationParams = DecontaminationParams()) -> DataFrame:
-    """``doc_id, item_id, edits, start``: one row for each row of ``docs`` and item with a leaked pattern.
+    """``doc_id, item_id, edits, start``: one row for each row of ``docs`` and item with a leaked pattern, so for
+    any copied passage of ``short + stride - 1`` normalised characters or an item shorter than a pattern.
 
     ``edits`` is the least over the item's patterns, ``start`` about where it stands in the normalised
     text. Null and empty texts have no leak; null and too short items (less than ``q`` normalised

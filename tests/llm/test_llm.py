@@ -182,6 +182,25 @@ def test_decontamination(spark):
     assert decontamination.drop_leaks(docs_of(spark, texts), bench).count() == len(texts) - 4
 
 
+def test_copied_passages_at_every_offset():
+    rng = random.Random(13)
+    words = lambda letters, n: " ".join("".join(rng.choice(letters) for _ in range(rng.randint(2, 8))) for _ in range(n))
+    p = decontamination.DecontaminationParams()
+    item = words("abcdefghij", 90)[:383] + "x"
+    index = decontamination.build([(4, words("uvwxyz", 60)), (5, item), (6, item[:110])], p)
+    for n in (100, 128, 150, 170, 190):
+        passages = [item[s : s + n] for s in range(len(item) - n + 1)]
+        found = decontamination._leaks([f"{words('klmnopqrst', 20)} {x} {words('klmnopqrst', 20)}" for x in passages], index, p)
+        assert [i for i in range(len(passages)) if found.get(i, {}).get(5, (9,))[0] != 0] == []
+        slips = ["".join("z" if k % 30 == 7 else c for k, c in enumerate(x)) for x in passages]
+        found = decontamination._leaks([f"{words('klmnopqrst', 20)} {x} {words('klmnopqrst', 20)}" for x in slips], index, p)
+        assert [i for i in range(len(slips)) if not 0 < found.get(i, {}).get(5, (0,))[0] <= 4] == []
+    assert decontamination._leaks([item[200:280], words("klmnopqrst", 300), item[110:]], index, p).keys() == {2}
+    # six edits in 128 characters, more than any 92 of them may have
+    slips = "".join("z" if k in (40, 50, 60, 70, 80, 90) else c for k, c in enumerate(item[128:256]))
+    assert decontamination._leaks([slips], index, p)[0][5][0] == 6
+
+
 def test_banded_alignment():
     rng = random.Random(10)
     for _ in range(60):
