@@ -8,7 +8,6 @@ of the original text it came from, so a secret found in any layer is reported in
 
 from __future__ import annotations
 
-import base64
 import binascii
 import hashlib
 import re
@@ -34,7 +33,20 @@ _LONG_HEX = re.compile(r"[0-9a-f]{24,}")
 
 _PERCENT = re.compile(r"(?:%[0-9A-Fa-f]{2})+")
 _ESCAPE = re.compile(r"(?:\\u[0-9A-Fa-f]{4})+|\\x[0-9A-Fa-f]{2}|&#[0-9]{1,7};|&#[xX][0-9A-Fa-f]{1,6};")
-_BASE64 = re.compile(r"[A-Za-z0-9+/_-]{20,}={0,2}")
+# the shortest match has 12 bytes, so 16 characters of base64
+_BASE64 = re.compile(r"[A-Za-z0-9+/_-]{16,}={0,2}")
+_STRETCH = re.compile(
+    rb"(?:[\t\n\r\x20-\x7e]|[\xc2-\xdf][\x80-\xbf]|[\xe0-\xef][\x80-\xbf]{2}|[\xf0-\xf4][\x80-\xbf]{3}){12,}"
+)
+# where gzip or zlib data may begin, in a run that has other characters before them
+_PACKED = re.compile(
+    b"\x1f\x8b\x08|"
+    + b"|".join(
+        re.escape(bytes([c])) + b"[" + b"".join(re.escape(bytes([f])) for f in range(256) if (c << 8 | f) % 31 == 0 and not f & 32) + b"]"
+        for c in range(8, 128, 16)
+    ),
+    re.DOTALL,
+)
 
 
 @dataclass(frozen=True)
@@ -111,10 +123,8 @@ def _escape(code: str) -> str | None:
     return units.decode("utf-16-be", "replace")
 
 
-def _unpacked(data: bytes, limit: int) -> tuple[bytes, bool] | None:
+def _unpacked(data: memoryview, limit: int) -> tuple[bytes, bool] | None:
     """Decompressed zlib or gzip data, and whether the limit cut it."""
-    if not (data[:2] == b"\x1f\x8b" or (len(data) > 2 and data[0] & 15 == 8 and (data[0] << 8 | data[1]) % 31 == 0)):
-        return None
     try:
         worker = zlib.decompressobj(47)
         out = worker.decompress(data, limit)
@@ -133,30 +143,32 @@ def _readable(data: bytes) -> str | None:
 
 
 def _packed(layer: _Layer, limit: int) -> Iterator[tuple[_Layer, bool]]:
-    """Layers that stand in base64 runs."""
+    """Layers that stand in base64 runs, or in parts of them: a run is decoded from each of its first four characters,
+    and where that is not readable as a whole, its readable stretches are layers."""
     for m in _BASE64.finditer(layer.text):
-        run = m.group()
-        tail = run[1:]
-        if tail.islower() or run.isupper() or (tail.isalpha() and (tail.islower() or tail.isupper())):
-            continue  # a word
-        core = run.rstrip("=").replace("-", "+").replace("_", "/")
-        if len(core) % 4 == 1:
-            core = core[:-1]
-        try:
-            data = base64.b64decode(core + "=" * (-len(core) % 4))
-        except (binascii.Error, ValueError):
-            continue
-        a, b = layer.original(*m.span())
-        if (unpacked := _unpacked(data, limit)) is not None:
-            text = unpacked[0].decode("utf-8", "replace")
-            yield _Layer(text, np.full(len(text), a), np.full(len(text), b)), unpacked[1]
-        elif (text := _readable(data)) is not None:
-            width = np.array([len(c.encode()) for c in text])
-            last = np.cumsum(width)
-            first = last - width
-            i = m.start() + first * 4 // 3
-            j = np.minimum(m.start() + (last * 4 + 2) // 3, m.end())
-            yield _Layer(text, *layer.spans(i, j)), False
+        core = m.group().rstrip("=").replace("-", "+").replace("_", "/")
+        for phase in range(4):
+            part = core[phase:]
+            if len(part) % 4 == 1:
+                part = part[:-1]
+            if len(part) < 16:
+                break
+            data = binascii.a2b_base64(part + "=" * (-len(part) % 4))
+            for x in _PACKED.finditer(data):
+                if (unpacked := _unpacked(memoryview(data)[x.start() :], limit)) is not None:
+                    a, b = layer.original(*m.span())
+                    text = unpacked[0].decode("utf-8", "replace")
+                    yield _Layer(text, np.full(len(text), a), np.full(len(text), b)), unpacked[1]
+            whole = _readable(data)
+            for at, text in [(0, whole)] if whole is not None else ((x.start(), _readable(x.group())) for x in _STRETCH.finditer(data)):
+                if text is None:
+                    continue
+                width = np.array([len(c.encode()) for c in text])
+                last = at + np.cumsum(width)
+                first = last - width
+                i = m.start() + phase + first * 4 // 3
+                j = np.minimum(m.start() + phase + (last * 4 + 2) // 3, m.end())
+                yield _Layer(text, *layer.spans(i, j)), False
 
 
 def find(text: str | None, p: SecretParams = SecretParams()) -> tuple[list, list, bool]:

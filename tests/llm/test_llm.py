@@ -257,6 +257,19 @@ def test_secrets(spark):
     assert {r["doc_id"]: r["n_chars"] for r in secrets.redact(rows).collect()} == {1: len(secrets.redact_text(plain)), 2: 5}
 
 
+def test_short_and_glued_base64():
+    short = [base64.b64encode(x).decode() for x in (b"token=abc123", b"secret=hunter2", b"password=hunter22")]
+    packed = base64.b64encode(zlib.compress(b"api_key=sw0rdfish1; x")).decode()
+    for blob in (*short, packed):
+        for before in ("", "path/", "a_", "a-b", "xyz", "Q" * 21 + "/", "dir/sub_dir/"):
+            for after in ("", "/", "/tail_of-path/x"):
+                text = f"go {before}{blob}{after} on"
+                spans = secrets.find(text)[1]
+                assert any(b - a >= 12 for a, _, b in spans), text
+                assert blob not in secrets.redact_text(text)
+    assert secrets.find("a/plain/path/of/words_and-names/ABCdefGHI")[1] == []
+
+
 # -- toxicity
 
 
