@@ -9,10 +9,10 @@ of the original text it came from, so a secret found in any layer is reported in
 from __future__ import annotations
 
 import binascii
+import codecs
 import hashlib
 import re
 import zlib
-from collections import deque
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -47,12 +47,19 @@ _PACKED = re.compile(
     ),
     re.DOTALL,
 )
+# where a text may be cut: after a character that no pattern here has, or after a word in spaces that no match begins with
+_CUT = re.compile(
+    r"""[^A-Za-z0-9+/_.=\-"':\x20%\\&\#;]|(?<=\x20)[A-Za-z0-9+/_.-]+"""
+    r"""(?<!password)(?<!passwd)(?<!secret)(?<!token)(?<!api_key)(?<!apikey)\x20(?!\x20)""",
+    re.ASCII | re.IGNORECASE,
+)
+_STEP = 1 << 20
 
 
 @dataclass(frozen=True)
 class SecretParams:
-    """``max_layer``: a decompressed layer of more characters is scanned as far as this and the row is
-    marked ``bounded``; it guards against compression bombs and is far above any real layer."""
+    """``max_layer``: decompressed data are taken in steps of at most so many bytes (and of a MiB at most) and
+    scanned in pieces, so that compression bombs are scanned to their end without being held in memory."""
 
     max_layer: int = 16_000_000
 
@@ -123,14 +130,46 @@ def _escape(code: str) -> str | None:
     return units.decode("utf-16-be", "replace")
 
 
-def _unpacked(data: memoryview, limit: int) -> tuple[bytes, bool] | None:
-    """Decompressed zlib or gzip data, and whether the limit cut it."""
-    try:
+def _unpacked(data: memoryview, step: int) -> Iterator[bytes]:
+    """Decompressed zlib or gzip data with all members, in steps; ends where the data are damaged."""
+    while len(data) and _PACKED.match(data):
         worker = zlib.decompressobj(47)
-        out = worker.decompress(data, limit)
-        return (out, bool(worker.unconsumed_tail)) if out else None
-    except zlib.error:
-        return None
+        try:
+            while not worker.eof and (len(data) or worker.unconsumed_tail):
+                out = worker.decompress(worker.unconsumed_tail or data, step)
+                data = data[:0]
+                if out:
+                    yield out
+                elif not worker.unconsumed_tail:
+                    break
+        except zlib.error:
+            return
+        data = worker.unused_data.lstrip(b"\0")  # the next member; gzip allows zeros between
+
+
+def _pieces(steps: Iterator[bytes]) -> Iterator[str]:
+    """The text of ``steps``, cut only where no match and nothing encoded can stand across, so that the pieces
+    hold together what the whole text holds. A stretch without such a place is one piece, however long."""
+    decoder = codecs.getincrementaldecoder("utf-8")("replace")
+    parts: list[str] = []
+    for out in steps:
+        text = decoder.decode(out)
+        edge = parts[-1][-256:] if parts else ""
+        at = None
+        for size in (4096, 65_536, len(edge) + len(text)):
+            tail = (edge + text)[-size:]
+            for m in _CUT.finditer(tail):
+                at = m.end() - len(tail)
+            if at is not None:
+                break
+        if at is None:
+            parts.append(text)
+            continue
+        whole = "".join(parts) + text
+        yield whole[: len(whole) + at]
+        parts = [whole[len(whole) + at :]]
+    if last := "".join(parts) + decoder.decode(b"", True):
+        yield last
 
 
 def _readable(data: bytes) -> str | None:
@@ -142,7 +181,7 @@ def _readable(data: bytes) -> str | None:
     return text if text and odd * 20 <= len(text) else None
 
 
-def _packed(layer: _Layer, limit: int) -> Iterator[tuple[_Layer, bool]]:
+def _packed(layer: _Layer, step: int) -> Iterator[_Layer]:
     """Layers that stand in base64 runs, or in parts of them: a run is decoded from each of its first four characters,
     and where that is not readable as a whole, its readable stretches are layers."""
     for m in _BASE64.finditer(layer.text):
@@ -155,10 +194,9 @@ def _packed(layer: _Layer, limit: int) -> Iterator[tuple[_Layer, bool]]:
                 break
             data = binascii.a2b_base64(part + "=" * (-len(part) % 4))
             for x in _PACKED.finditer(data):
-                if (unpacked := _unpacked(memoryview(data)[x.start() :], limit)) is not None:
-                    a, b = layer.original(*m.span())
-                    text = unpacked[0].decode("utf-8", "replace")
-                    yield _Layer(text, np.full(len(text), a), np.full(len(text), b)), unpacked[1]
+                a, b = layer.original(*m.span())
+                for text in _pieces(_unpacked(memoryview(data)[x.start() :], step)):
+                    yield _Layer(text, np.broadcast_to(a, len(text)), np.broadcast_to(b, len(text)))
             whole = _readable(data)
             for at, text in [(0, whole)] if whole is not None else ((x.start(), _readable(x.group())) for x in _STRETCH.finditer(data)):
                 if text is None:
@@ -168,39 +206,46 @@ def _packed(layer: _Layer, limit: int) -> Iterator[tuple[_Layer, bool]]:
                 first = last - width
                 i = m.start() + phase + first * 4 // 3
                 j = np.minimum(m.start() + phase + (last * 4 + 2) // 3, m.end())
-                yield _Layer(text, *layer.spans(i, j)), False
+                yield _Layer(text, *layer.spans(i, j))
+
+
+def _wrapped(layer: _Layer, step: int) -> Iterator[_Layer | None]:
+    """The layers that a layer wraps, one at a time."""
+    if "%" in layer.text:
+        yield _substituted(layer, _PERCENT, _percent)
+    if "\\" in layer.text or "&#" in layer.text:
+        yield _substituted(layer, _ESCAPE, _escape)
+    yield from _packed(layer, step)
+
+
+def _key(layer: _Layer) -> tuple[bytes, int, int]:
+    digest = hashlib.blake2b(layer.text.encode("utf-8", "surrogatepass"), digest_size=16).digest()
+    return digest, int(layer.start[0]), int(layer.end[-1])
 
 
 def find(text: str | None, p: SecretParams = SecretParams()) -> tuple[list, list, bool]:
-    """Base spans, all spans (both sorted ``(start, kind number, end)``) and whether a bound was met."""
+    """Base spans, all spans (both sorted ``(start, kind number, end)``) and whether a bound was met: none is, every
+    layer is scanned to its end."""
     if not text:
         return [], [], False
     base = scan(text)
-    every, bounded = set(base), False
-    first = _Layer(text, None, None)
-    work = deque([first])
-    seen = {(text, 0, len(text))}
+    every = set(base)
+    step = max(1, min(p.max_layer, _STEP))
+    work = [_wrapped(_Layer(text, None, None), step)]
+    seen: set[tuple[bytes, int, int]] = set()
     while work:
-        layer = work.popleft()
-        if layer is not first:
-            for a, kind, b in scan(layer.text):
-                lo, hi = layer.original(a, b)
-                every.add((lo, kind, hi))
-        new = []
-        if "%" in layer.text:
-            new.append((_substituted(layer, _PERCENT, _percent), False))
-        if "\\" in layer.text or "&#" in layer.text:
-            new.append((_substituted(layer, _ESCAPE, _escape), False))
-        new += _packed(layer, p.max_layer)
-        for x, cut in new:
-            if x is None:
-                continue
-            bounded |= cut
-            key = (x.text, int(x.start[0]), int(x.end[-1]))
-            if key not in seen:  # a layer that leads back to a seen one is not entered again
-                seen.add(key)
-                work.append(x)
-    return base, sorted(every), bounded
+        layer = next(work[-1], work)
+        if layer is work:
+            work.pop()
+            continue
+        if layer is None or (key := _key(layer)) in seen:  # a layer that leads back to a seen one is not entered again
+            continue
+        seen.add(key)
+        for a, kind, b in scan(layer.text):
+            lo, hi = layer.original(a, b)
+            every.add((lo, kind, hi))
+        work.append(_wrapped(layer, step))
+    return base, sorted(every), False
 
 
 def _joined(spans: list[tuple[int, int, int]]) -> str:

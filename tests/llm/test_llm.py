@@ -270,6 +270,23 @@ def test_short_and_glued_base64():
     assert secrets.find("a/plain/path/of/words_and-names/ABCdefGHI")[1] == []
 
 
+def test_compressed_to_the_end():
+    rng = random.Random(15)
+    filler = "".join(f"line {i} of words, and more\n" for i in range(700_000))
+    blob = base64.b64encode(gzip.compress((filler + "password=hunter22\n").encode())).decode()
+    assert len(filler) > 16_000_000 and [k for _, k, _ in secrets.find(f"x {blob} y")[1]] == [0]
+    assert blob not in secrets.redact_text(f"x {blob} y") and not secrets.find(f"x {blob} y")[2]
+    members = gzip.compress(b"first member, clean") + gzip.compress(b"second") + b"\0\0" + gzip.compress(b"token=abc123")
+    assert [k for _, k, _ in secrets.find(base64.b64encode(members).decode())[1]] == [0]
+    hidden = ["password   =  'hunter22'", "AKIA" + "AB12" * 20, "0123456789abcdef" * 9, urllib.parse.quote("secret = hunter22", safe=""), base64.b64encode(b"x" * 90 + b" token=abc123 " + b"y" * 90).decode(), "\\u0070assword=hunter22"]
+    for step in (1, 3, 7, 50, 4000):
+        for h in hidden:
+            text = "".join(rng.choice(["word ", "plain words here ", "\n", "é, ", "token "]) for _ in range(60)) + h + " the end of it all"
+            blob = base64.b64encode(zlib.compress(text.encode())).decode()
+            got = secrets.find(blob, secrets.SecretParams(max_layer=step))[1]
+            assert got and got == secrets.find(blob)[1] and {k for _, k, _ in got} == {k for _, k, _ in secrets.find(text)[1]}
+
+
 # -- toxicity
 
 
