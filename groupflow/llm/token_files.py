@@ -45,7 +45,7 @@ class PieceEncoder:
 
     A byte-level pre-tokenizer cuts a text into words that the model encodes one by one. Texts of
     common characters are cut here by the same rule, and only new words are given to the library's
-    model; other texts, and any text under another pre-tokenizer, are encoded whole.
+    model; other texts, texts that hold an added token, and any text under another pre-tokenizer, are encoded whole.
     """
 
     def __init__(self, path: str):
@@ -53,7 +53,6 @@ class PieceEncoder:
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
-        self.tokenizer.encode_special_tokens = True
         self.width = 2 if self.tokenizer.get_vocab_size() <= 65536 else 4
         self.dtype = np.dtype(f"<u{self.width}")
         self.code = "H" if self.width == 2 else "I"
@@ -61,6 +60,8 @@ class PieceEncoder:
         self.cuts = (
             self.tokenizer.normalizer is None and kind.startswith("ByteLevel(add_prefix_space=False") and "use_regex=True" in kind
         )
+        added = [t.content for t in self.tokenizer.get_added_tokens_decoder().values() if t.content]
+        self.added = re.compile("|".join(map(re.escape, added)) or "(?!)")
         self.words = LazyCache(400_000, self._word)
 
     def _bytes(self, ids: list[int]) -> bytes:
@@ -81,7 +82,7 @@ class PieceEncoder:
         """Little-endian ids of each text."""
         if not self.cuts:
             return self.encode_whole(texts)
-        cut = {i: _WORDS.findall(t) for i, t in enumerate(texts) if t and _COMMON.fullmatch(t)}
+        cut = {i: _WORDS.findall(t) for i, t in enumerate(texts) if t and _COMMON.fullmatch(t) and not self.added.search(t)}
         whole = [i for i, t in enumerate(texts) if t and i not in cut]
         out, get = [b""] * len(texts), self.words.__getitem__
         for i, found in cut.items():

@@ -98,6 +98,17 @@ def test_token_files(spark, tmp_path):
     assert token_files.read(token_files.write(docs.limit(0), BPE)).count() == 0
 
 
+def test_token_ids_are_those_of_the_unaltered_library():
+    from tokenizers import Tokenizer
+
+    library = Tokenizer.from_file(BPE)
+    encoder = token_files.PieceEncoder(BPE)
+    texts = [t or "" for t in ODD] + ["x <|endoftext|> a", "<|endoftext|>", "a<|endoftext|><|endoftext|>b", "<|endoftext|", "é <|endoftext|>", "<|ENDOFTEXT|>"]
+    got = [np.frombuffer(x, encoder.dtype).tolist() for x in encoder.encode(texts)]
+    assert got == [library.encode(t, add_special_tokens=False).ids for t in texts]
+    assert got[len(ODD)] == [87, 220, 50256, 257]
+
+
 def test_caches_change_nothing():
     words = [f"w{i % 50}" for i in range(400)]
     lazy = LazyCache(8, lambda w: w.encode())
