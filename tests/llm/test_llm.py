@@ -70,6 +70,29 @@ def test_vectors_brute_force(spark):
     assert audit["recall"] >= 0.9
 
 
+def test_vectors_that_repeat_an_id(spark):
+    rows = [(1, [1.0, 0.0, 0.0]), (1, [0.0, 1.0, 0.0]), (2, [1.0, 0.01, 0.0]), (3, [0.0, 1.0, 0.01])]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>")
+    got = sorted((r["vec_id"], r["n_links"], r["component_id"], r["kept"]) for r in vector_graph.near_duplicates(df).collect())
+    assert got == [(1, 1, 1, True), (1, 1, 1, True), (2, 1, 1, False), (3, 1, 1, False)]
+    assert vector_graph.near_duplicates(df.limit(0)).count() == 0
+
+
+def test_divided_and_dense_shards(spark):
+    rng = np.random.default_rng(2)
+    centre = rng.normal(size=16)
+    dense = [centre + rng.normal(size=16) * 0.05 for _ in range(500)]
+    pairs = [v + rng.normal(size=16) * s for v in rng.normal(size=(250, 16)) for s in (0, 0.05)]
+    x = np.array(dense + pairs)
+    df = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<double>")
+    u = x / np.linalg.norm(x, axis=1)[:, None]
+    true = (u @ u.T >= 0.95).sum(axis=1) - 1
+    p = vector_graph.VectorGraphParams(block=150, shard=100, max_shards=4, sample=300)
+    got = {r["vec_id"]: r["n_links"] for r in vector_graph.near_duplicates(df, p).collect()}
+    found = np.array([got[i] for i in range(len(x))])
+    assert (found <= true).all() and found[:500].sum() >= 0.98 * true[:500].sum() and found[500:].sum() >= 0.9 * true[500:].sum()
+
+
 # -- token files
 
 
