@@ -11,21 +11,26 @@ How pairs are kept few without losing a link:
    doc_id goes on;
 2. in each bucket every class is compared with the bucket's smallest class only (a star, linear
    in the bucket), and components are taken over the verified links;
-3. buckets whose classes all fell into one component are settled. Among the classes of the others,
-   and only there, pairs of *different* components are looked for, by an exact prefix filter over
-   their rarest shingles. Pairs inside one component cannot change the result, and members of a huge
-   group that are too different to link share no rare shingle, so groups never expand into pairs.
+3. buckets whose classes all fell into one component are settled. In the others every class has been
+   compared with the bucket's smallest one, the pivot, and is described by its difference to the pivot. Two classes of
+   different components can link only if their differences overlap by a number that their sizes give, so
+   they meet by the rarest elements of the differences; what a whole group of near copies shares is in no
+   difference, and what sets them all apart from the pivot is frequent and comes last.
+4. Meeting places with many pairs of different components are first worked off as stars, which merges components in
+   rounds of linear size; only pairs that are left are compared one by one.
 """
 
 from __future__ import annotations
 
 import hashlib
+import math
 from collections.abc import Iterator
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+import xxhash
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from groupflow.llm.shingles import shingle_set
@@ -36,12 +41,14 @@ from groupflow.storage import materialize, release
 @dataclass(frozen=True)
 class MinHashParams:
     """``bands * rows`` coordinates. With 32 bands of 6 rows a pair at similarity 0.85 is missed
-    with probability 3e-7, one at 0.8 with 6e-5."""
+    with probability 3e-7, one at 0.8 with 6e-5. ``linear``: pairs for each row of a meeting place up to which all of
+    them are compared at once; above, components are merged by stars first. It changes the work, not the result."""
 
     threshold: int = 85
     width: int = 5
     bands: int = 32
     rows: int = 6
+    linear: float = 8.0
 
 
 def _second_permutation(cells: np.ndarray) -> np.ndarray:
@@ -147,36 +154,120 @@ def _verified(pairs: DataFrame, sets: DataFrame, p: MinHashParams) -> DataFrame:
     )
 
 
-def _across(rest: DataFrame, sets: DataFrame, p: MinHashParams) -> DataFrame:
-    """Pairs of ``rest(node, comp)`` of different components that can still reach the threshold, without loss.
+def _differences(pairs: DataFrame, sets: DataFrame) -> DataFrame:
+    """``pivot, face, node, n, d``: for each pair the elements in which the node's set and the pivot's differ. ``face`` tells
+    the pivot's sets apart, should its doc_id stand on several texts."""
 
-    Shingles are ordered by how many of these documents hold them, the rarest first. Two sets at the
-    threshold share a shingle among the first ``n - ceil(t * n) + 1`` of each; and counted from the first one they
-    share, enough shingles are left in both. In a group of near copies the rare shingles are the ones
-    that its members do not share, so a member that is too different from all others meets none of them.
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            faces, sizes, out = [], [], []
+            for i in range(batch.num_rows):
+                a = batch.column(2)[i].values.to_numpy()
+                b = batch.column(3)[i].values.to_numpy()
+                faces.append(xxhash.xxh64_intdigest(a.tobytes()) >> 1)
+                sizes.append(len(b))
+                out.append(np.setxor1d(a, b, assume_unique=True))
+            yield pa.RecordBatch.from_arrays(
+                [batch.column(0), pa.array(faces, pa.int64()), batch.column(1), pa.array(sizes, pa.int64()), pa.array(out, pa.list_(pa.int64()))],
+                ["pivot", "face", "node", "n", "d"],
+            )
+
+    both = pairs.join(sets.select(F.col("node").alias("src"), F.col("shingles").alias("a")), "src")
+    both = both.join(sets.select(F.col("node").alias("dst"), F.col("shingles").alias("b")), "dst").select("src", "dst", "a", "b")
+    return both.mapInArrow(run, "pivot long, face long, node long, n long, d array<long>")
+
+
+_STEP = 1.25
+_PLACE = ["pivot", "face", "s", "low", "high"]
+
+
+def _meetings(gaps: DataFrame, p: MinHashParams) -> DataFrame:
+    """``pivot, face, s, low, high, node, n, size, at``: where classes meet that may link, without loss.
+
+    Sets at the threshold differ in at most ``h = (100 - t) / (100 + t) * (na + nb)`` elements, so their differences ``A`` and
+    ``B`` to the pivot overlap in at least ``o = (|A| + |B| - h) / 2``, and in one at least where one of the two does not
+    link with the pivot. Both then have an element in common among their first ``size - o + 1``, in any order; the
+    rarest come first here. As ``o`` depends on the partner, a class has a prefix for each step of partner sizes.
     """
     t = p.threshold
-    held = rest.join(sets, "node").select("node", "comp", F.col("n_shingles").alias("n"), "shingles")
-    flat = materialize(held.select("node", "comp", "n", F.explode("shingles").alias("s")), "open")
-    common = flat.groupBy("s").agg(F.count("*").alias("df"))
-    ranked = (
-        flat.join(common, "s")
-        .groupBy("node", "comp", "n")
-        .agg(F.sort_array(F.collect_list(F.struct("df", "s"))).alias("r"))
-        .withColumn("r", F.slice("r", F.lit(1), (F.col("n") - F.floor((F.col("n") * t + 99) / 100) + 1).cast("int")))
-        .select("node", "comp", "n", F.posexplode("r.s").alias("at", "s"))
-    )
-    ranked = materialize(ranked, "prefixes")
-    a = ranked.select("s", F.col("node").alias("src"), F.col("comp").alias("ca"), F.col("n").alias("na"), F.col("at").alias("ia"))
-    b = ranked.select("s", F.col("node").alias("dst"), F.col("comp").alias("cb"), F.col("n").alias("nb"), F.col("at").alias("ib"))
-    need = F.floor((t * (F.col("na") + F.col("nb")) + 99 + t) / (100 + t))
-    can = (
-        (F.col("src") < F.col("dst"))
-        & (F.col("ca") != F.col("cb"))
-        & (100 * F.least("na", "nb") >= t * F.greatest("na", "nb"))
-        & (F.least(F.col("na") - F.col("ia"), F.col("nb") - F.col("ib")) >= need)
-    )
-    return a.join(b, (a["s"] == b["s"]) & can).select("src", "dst").distinct()
+    each = gaps.select("pivot", "face", "node", F.xxhash64("d").alias("v"), "n", F.size("d").cast("long").alias("size"), F.explode("d").alias("s"))
+    common = each.groupBy("pivot", "face", "s").agg(F.count("*").alias("df")).filter("df > 1")
+    # elements of one class only meet nothing, but keep their places before the others
+    some = each.join(common, ["pivot", "face", "s"])
+    ranked = some.groupBy("pivot", "face", "node", "v", "n", "size").agg(F.sort_array(F.collect_list(F.struct("df", "s"))).alias("r"))
+    ranked = ranked.select("pivot", "face", "node", "n", "size", F.posexplode("r.s").alias("at", "s"), F.size("r").alias("held"))
+    ranked = ranked.withColumn("at", F.col("at") + F.col("size") - F.col("held")).drop("held")
+    h = F.floor(F.col("n") * (100 - t) / t)
+    step = lambda c: F.floor(F.log(c + 0.5) / math.log(_STEP)).cast("int")
+    ranked = ranked.withColumns({"own": step(F.col("size")), "h": h})
+    partner = F.sequence(step(F.greatest(F.col("size") - F.col("h"), F.lit(1))), step(F.col("size") + F.col("h")))
+    rows = ranked.withColumn("k", F.explode(partner))
+    # the smallest size in a step, less one for rounding
+    least = F.greatest(F.ceil(F.pow(F.lit(_STEP), F.col("k")) - 0.5) - 1, F.lit(1))
+    overlap = F.greatest(F.ceil((F.col("size") + least - F.col("h")) / 2), F.lit(1))
+    rows = rows.filter(F.col("at") < F.col("size") - overlap + 1)
+    return rows.select("pivot", "face", "s", F.least("own", "k").alias("low"), F.greatest("own", "k").alias("high"), "node", "n", "size", "at", "own")
+
+
+def _open(met: DataFrame, comp: DataFrame, name: str) -> tuple[DataFrame, int, int]:
+    """Meeting places of several components with the component of each class, their rows and an upper bound of their pairs."""
+    rows = met.drop("comp").join(comp, "node", "left").withColumn("comp", F.coalesce("comp", "node"))
+    each = rows.groupBy(*_PLACE, "comp").agg(F.count("*").alias("c"))
+    place = each.groupBy(*_PLACE).agg(F.count("*").alias("k"), F.sum("c").alias("c"), F.sum(F.col("c") * F.col("c")).alias("q"))
+    place = place.filter("k > 1").withColumn("pairs", (F.col("c") * F.col("c") - F.col("q")) / 2)
+    rows = materialize(rows.join(place.select(*_PLACE, "c", "pairs"), _PLACE), name)
+    n = rows.agg(F.count("*").alias("n"), F.coalesce(F.sum(F.col("pairs") / F.col("c")), F.lit(0.0)).alias("pairs")).first()
+    return rows.drop("c", "pairs"), n["n"], n["pairs"]
+
+
+def _merged(comp: DataFrame, links: DataFrame) -> DataFrame:
+    """``node, comp`` after ``links`` between classes; only components are gone through again, not classes."""
+    label = lambda c: links.join(comp.withColumnsRenamed({"node": c, "comp": f"{c}_comp"}), c, "left")
+    links = label("src").join(comp.withColumnsRenamed({"node": "dst", "comp": "dst_comp"}), "dst", "left")
+    links = links.select(F.coalesce("src_comp", "src").alias("src"), F.coalesce("dst_comp", "dst").alias("dst"))
+    again = materialize(components(links), "merged").withColumnsRenamed({"node": "comp", "component": "new"})
+    known = comp.join(again, "comp", "left").select("node", F.coalesce("new", "comp").alias("comp"))
+    # classes that were in no component stand for themselves
+    alone = again.join(comp.select(F.col("node").alias("comp")), "comp", "left_anti").select(F.col("comp").alias("node"), F.col("new").alias("comp"))
+    return materialize(known.unionByName(alone), "comp")
+
+
+def _settle(pairs: DataFrame, sets: DataFrame, comp: DataFrame, p: MinHashParams) -> DataFrame:
+    """``node, comp`` once all classes of ``pairs(src, dst)``, pivot and class, are compared as far as they can still merge."""
+    if pairs.isEmpty():
+        return comp
+    gaps = materialize(_differences(pairs, sets), "gaps")
+    met, n, cross = _open(materialize(_meetings(gaps, p), "meetings"), comp, "open")
+    while n:
+        last = cross <= p.linear * n
+        if last:
+            a = met.select(*_PLACE, F.col("node").alias("src"), F.col("comp").alias("ca"), F.col("n").alias("na"), F.col("size").alias("da"), F.col("at").alias("ia"), F.col("own").alias("ka"))
+            b = met.select(*_PLACE, F.col("node").alias("dst"), F.col("comp").alias("cb"), F.col("n").alias("nb"), F.col("size").alias("db"), F.col("at").alias("ib"), F.col("own").alias("kb"))
+            t = p.threshold
+            need = F.ceil((F.col("da") + F.col("db") - F.floor((F.col("na") + F.col("nb")) * (100 - t) / (100 + t))) / 2)
+            can = (
+                (F.col("src") < F.col("dst"))
+                & (F.col("ca") != F.col("cb"))
+                & ((F.col("low") == F.col("high")) | (F.col("ka") != F.col("kb")))
+                & (100 * F.least("na", "nb") >= t * F.greatest("na", "nb"))
+                & (F.least(F.col("da") - F.col("ia"), F.col("db") - F.col("ib")) >= need)
+            )
+            star = a.join(b, _PLACE).filter(can).select("src", "dst").distinct()
+        else:
+            centre = met.groupBy(*_PLACE).agg(F.min(F.struct("node", "comp")).alias("m"))
+            star = met.join(centre, _PLACE).filter("m.comp <> comp").select(F.col("m.node").alias("src"), F.col("node").alias("dst")).distinct()
+        star = materialize(star, "pairs")
+        links = materialize(_verified(star, sets, p).distinct(), "links")
+        found = links.count()
+        if found:
+            comp = _merged(comp, links)
+        if last:
+            break
+        if found * 100 < star.count():
+            # stars find little more: all pairs that are left
+            p = replace(p, linear=math.inf)
+        met, n, cross = _open(met, comp, "open")
+    return comp
 
 
 def near_duplicates(docs: DataFrame, p: MinHashParams = MinHashParams()) -> DataFrame:
@@ -208,22 +299,13 @@ def near_duplicates(docs: DataFrame, p: MinHashParams = MinHashParams()) -> Data
     sets = materialize(texts.withColumn("n_shingles", F.size("shingles").cast("long")), "sets")
     # rows that repeat a doc_id with other texts: one set each, all of them are compared
     links = materialize(_verified(stars, sets, p), "links")
-    # the same doc_id may stand in several classes: ties are links too
-    first = materialize(components(links), "comp")
-    # 3. what the stars left open
-    labelled = crowded.join(first, "node", "left").select(
-        "band", "bucket", "node", F.coalesce("component", "node").alias("comp")
-    )
-    open_buckets = labelled.groupBy("band", "bucket").agg(
-        F.min("comp").alias("lo"), F.max("comp").alias("hi")
-    ).filter("lo < hi").select("band", "bucket")
-    rest = labelled.join(open_buckets, ["band", "bucket"]).select("node", "comp").distinct()
-    across = _across(rest, sets, p).join(stars, ["src", "dst"], "left_anti")
-    more = materialize(_verified(across, sets, p).distinct(), "links")
-    if more.isEmpty():
-        final = first
-    else:
-        final = materialize(components(links.unionByName(more)), "comp")
+    comp = materialize(components(links), "comp").withColumnRenamed("component", "comp")
+    # 3. and 4. what the stars left open
+    labelled = crowded.join(comp, "node", "left").withColumn("comp", F.coalesce("comp", "node"))
+    open_buckets = labelled.groupBy("band", "bucket").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).filter("lo < hi")
+    rest = crowded.join(open_buckets.select("band", "bucket"), ["band", "bucket"]).filter("node <> low")
+    rest = materialize(rest.select(F.col("low").alias("src"), F.col("node").alias("dst")).distinct(), "rest")
+    final = _settle(rest, sets, comp, p).select("node", F.col("comp").alias("component"))
     by_class = classes.join(final, "node", "left").select(
         "set_key", F.coalesce("component", "node").alias("component_id")
     )
@@ -237,6 +319,18 @@ def near_duplicates(docs: DataFrame, p: MinHashParams = MinHashParams()) -> Data
 
 
 def drop_near_duplicates(docs: DataFrame, p: MinHashParams = MinHashParams()) -> DataFrame:
-    """Documents of ``docs`` that are the smallest doc_id of their near-duplicate group."""
-    gone = near_duplicates(docs, p).filter("not kept").select("doc_id")
-    return docs.join(gone, "doc_id", "left_anti")
+    """Documents of ``docs`` that are the smallest doc_id of their near-duplicate group.
+
+    Of rows that repeat a doc_id one stays, the first by its text. Rows with a null doc_id, and those with null, empty
+    or white texts, link with nothing and are kept. Ties do not occur: a group has one smallest doc_id. Other
+    columns are carried along, whatever their names. An empty table gives an empty result.
+    """
+    found = materialize(near_duplicates(docs, p).select("doc_id", "kept"), "found")
+    gone = found.filter("not kept").select("doc_id").distinct()
+    kept = docs.join(gone, "doc_id", "left_anti")
+    again = materialize(found.filter("kept and doc_id is not null").groupBy("doc_id").count().filter("count > 1").select("doc_id"), "again")
+    if not again.isEmpty():
+        order = Window.partitionBy("doc_id").orderBy(F.xxhash64("text"), "text")
+        one = kept.join(again, "doc_id", "left_semi").select("*", F.row_number().over(order).alias("_place")).filter("_place = 1").drop("_place")
+        kept = kept.join(again, "doc_id", "left_anti").unionByName(one)
+    return kept.select(docs.columns)

@@ -196,6 +196,53 @@ def test_minhash_brute_force(spark):
     assert minhash.near_duplicates(docs.limit(0)).count() == 0
 
 
+def _roots(texts, t):
+    sets = [set(zip(*((x.split())[k:] for k in range(5)))) for x in texts]
+    root = list(range(len(sets)))
+
+    def top(i):
+        while root[i] != i:
+            i = root[i]
+        return i
+
+    for i, a in enumerate(sets):
+        for j in range(i):
+            if top(i) != top(j) and 100 * len(a & sets[j]) >= t * len(a | sets[j]):
+                root[max(top(i), top(j))] = min(top(i), top(j))
+    return [top(i) for i in range(len(sets))]
+
+
+@pytest.mark.parametrize("changed", [1])
+def test_one_template_takes_few_pairs(spark, monkeypatch, changed):
+    """Texts that differ from a template in few words: every result is that of brute force, and pairs grow with the texts, not with their square."""
+    rng, asked = random.Random(changed), []
+    verified = minhash._verified
+    monkeypatch.setattr(minhash, "_verified", lambda pairs, sets, p: asked.append(pairs.count()) or verified(pairs, sets, p))
+    base, total = [f"w{i}" for i in range(90)], {}
+    for n in (150, 600):
+        texts = []
+        for _ in range(n):
+            copy = list(base)
+            for at in rng.sample(range(90), changed):
+                copy[at] = f"new{rng.randrange(10**9)}"
+            texts.append(" ".join(copy))
+        asked.clear()
+        got = {r["doc_id"]: r["component_id"] for r in minhash.near_duplicates(docs_of(spark, texts)).collect()}
+        assert [got[i] for i in range(n)] == _roots(texts, 85)
+        total[n] = sum(asked)
+    assert total[600] < 8 * total[150] and total[600] < 600 * 599 / 2 / 4
+
+
+def test_repeated_rows_leave_one(spark):
+    texts = ["a b c d e f", "a b c d e f", None, "x y z", "x y z"]
+    rows = [(5, texts[0], "k"), (5, texts[0], "k"), (7, texts[1], "k"), (8, None, "k"), (None, "x", "k"), (None, "x", "k"), (9, "x y z", "k")]
+    df = spark.createDataFrame(rows, "doc_id long, text string, component_id string")
+    got = minhash.drop_near_duplicates(df)
+    assert got.columns == df.columns
+    assert sorted((r["doc_id"] or 0) for r in got.collect()) == [0, 0, 5, 8, 9]
+    assert minhash.drop_near_duplicates(df.limit(0)).count() == 0
+
+
 # -- decontamination
 
 
