@@ -132,7 +132,7 @@ def _writer(tokenizer: str, folder: str, end_id: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encoder, out = piece_encoder(tokenizer), None
         tail = np.array([end_id], encoder.dtype).tobytes()
-        doc_ids: list[int] = []
+        doc_ids: list[np.ndarray] = []
         lengths: list[np.ndarray] = []
         n_null = 0
         path = f"{folder}/{uuid.uuid4().hex}.tok"
@@ -149,18 +149,25 @@ def _writer(tokenizer: str, folder: str, end_id: int):
                 lengths.append(np.array([len(x) // encoder.width + 1 for x in coded], np.uint64))
                 known = part.column(0).drop_null()
                 n_null += part.num_rows - len(known)
-                doc_ids += known.to_pylist()
+                doc_ids.append(known.to_numpy(zero_copy_only=False))
         if out is None:
             return
         ends = np.cumsum(np.concatenate(lengths), dtype=np.uint64)
-        ids = np.array(doc_ids, np.int64)
-        first = int(ids[0]) if len(ids) else 0
+        ids = np.concatenate(doc_ids).astype(np.int64)
+        first, last = (int(ids[0]), int(ids[-1])) if len(ids) else (0, 0)
         foot = struct.pack(_FOOT, encoder.width, len(ends), n_null, first, int(ends[-1]))
         foot += EliasFano.build((ids - first).astype(np.uint64)).to_bytes() + EliasFano.build(ends).to_bytes()
         out.write(foot + struct.pack("<Q", len(foot)) + _MAGIC)
         out.close()
         yield pa.RecordBatch.from_pydict(
-            {"path": [path], "has_null": [n_null > 0], "first_id": [first], "n_docs": [len(ends)], "n_ids": [int(ends[-1])]}
+            {
+                "path": [path],
+                "n_null": [n_null],
+                "first_id": pa.array([first if len(ids) else None], pa.int64()),
+                "last_id": pa.array([last if len(ids) else None], pa.int64()),
+                "n_docs": [len(ends)],
+                "n_ids": [int(ends[-1])],
+            }
         )
 
     return run
@@ -169,8 +176,8 @@ def _writer(tokenizer: str, folder: str, end_id: int):
 def write(docs: DataFrame, tokenizer: str, folder: str | None = None, end_id: int = 0) -> DataFrame:
     """Encode ``docs(doc_id, text)`` into files in ascending doc_id order; returns the manifest.
 
-    One range partition makes one file (null ids first, equal ids together, told apart by a hash of
-    the text), streamed, so memory is bounded by a batch. The manifest has one row for each file with
+    One range partition makes one file (null ids first; rows of one id are ordered by a hash of the text, and may go
+    to several files), streamed, so memory is bounded by a batch and the file's boundaries. The manifest has one row for each file with
     ``start``, the ids in all files before it; files that a lost attempt left are not in it.
     ``folder`` must be one that all executors share; by default it is in shared scratch storage.
     A null text is an empty one. An empty table gives an empty manifest.
@@ -178,43 +185,44 @@ def write(docs: DataFrame, tokenizer: str, folder: str | None = None, end_id: in
     folder = folder or scratch_path(docs.sparkSession, "tokens")
     ordered = (
         docs.select(F.col("doc_id").cast("long"), "text")
-        .repartitionByRange("doc_id")
-        .sortWithinPartitions("doc_id", F.xxhash64("text"))
+        .withColumn("mix", F.xxhash64("text"))
+        .repartitionByRange("doc_id", "mix")
+        .sortWithinPartitions("doc_id", "mix")
+        .drop("mix")
     )
     files = ordered.mapInArrow(
-        _writer(tokenizer, folder, end_id), "path string, has_null boolean, first_id long, n_docs long, n_ids long"
+        _writer(tokenizer, folder, end_id), "path string, n_null long, first_id long, last_id long, n_docs long, n_ids long"
     )
     done = materialize(files, "manifest")
     # one row for each file, so this window is small beside the ids
-    before = Window.orderBy(F.desc("has_null"), "first_id", "path").rowsBetween(Window.unboundedPreceding, -1)
+    order = [F.desc(F.col("n_null") > 0), F.asc_nulls_first("first_id"), F.asc_nulls_first("last_id"), F.col("path")]
+    before = Window.orderBy(*order).rowsBetween(Window.unboundedPreceding, -1)
     return done.withColumn("start", F.coalesce(F.sum("n_ids").over(before), F.lit(0)))
 
 
 def read(manifest: DataFrame) -> DataFrame:
-    """``doc_id, start, n_tokens, ids_crc32`` of every document, from the files."""
+    """``doc_id, start, n_tokens, ids_crc32`` of every document, from the files: each run of documents is found by selects.
+
+    An empty manifest gives an empty result; repeated documents are separate rows.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for path, start in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
-                file = TokenFile(path)
-                ids = [None] * file.n_null + (file.doc_ids.decode().astype(np.int64) + file.first_id).tolist()
-                ends = file.ends.decode().astype(np.int64)
-                begins = np.append(0, ends[:-1])
+                file, lo = TokenFile(path), 0
                 for at in range(0, file.n_docs, 2048):
                     to = min(at + 2048, file.n_docs)
-                    raw = file.file.read_at(int(ends[to - 1] - begins[at]) * file.width, int(begins[at]) * file.width)
+                    ends = file.ends.values(at, to)
+                    begins = np.append(lo, ends[:-1])
+                    raw = file.file.read_at(int(ends[-1] - lo) * file.width, lo * file.width)
                     wide = np.frombuffer(raw, f"<u{file.width}").astype("<u4")
-                    cuts = ends[at:to] - begins[at]
-                    sums = [zlib.crc32(x) for x in np.split(wide, cuts[:-1])]
-                    yield pa.RecordBatch.from_arrays(
-                        [
-                            pa.array(ids[at:to], pa.int64()),
-                            pa.array(begins[at:to] + start),
-                            pa.array(ends[at:to] - begins[at:to]),
-                            pa.array(sums, pa.int64()),
-                        ],
-                        ["doc_id", "start", "n_tokens", "ids_crc32"],
-                    )
+                    sums = [zlib.crc32(x) for x in np.split(wide, ends[:-1] - lo)]
+                    lo = int(ends[-1])
+                    nulls = min(max(file.n_null - at, 0), to - at)
+                    known = file.doc_ids.values(at + nulls - file.n_null, to - file.n_null) + file.first_id if nulls < to - at else []
+                    ids = pa.concat_arrays([pa.nulls(nulls, pa.int64()), pa.array(known, pa.int64())])
+                    columns = [ids, pa.array(begins + start), pa.array(ends - begins), pa.array(sums, pa.int64())]
+                    yield pa.RecordBatch.from_arrays(columns, ["doc_id", "start", "n_tokens", "ids_crc32"])
                 file.close()
 
     n = manifest.sparkSession.conf.get("spark.sql.shuffle.partitions")
