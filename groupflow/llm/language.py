@@ -7,6 +7,7 @@ wins. The relative gap to the runner-up is the margin; a narrow one marks the pr
 
 from __future__ import annotations
 
+import zlib
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -18,43 +19,61 @@ from pyspark.sql import functions as F
 
 @dataclass(frozen=True)
 class LanguageParams:
-    """``docs_per_language`` texts at most are sampled (the smallest hashes of doc_id) and cut into
-    pieces that fill ``dictionary_bytes`` for each language; that bounds what reaches the driver.
+    """``docs_per_language`` texts at most are sampled (the smallest hashes of doc_id) and cut to
+    pieces that fill ``dictionary_bytes`` for each language; with ``max_languages`` that bounds what reaches the driver.
     ``chunk_bytes``: a text is encoded in pieces of this size, so that a long text does not become
     its own dictionary. ``min_margin``: a smaller relative gap is a rejection."""
 
     docs_per_language: int = 600
     dictionary_bytes: int = 96 * 1024
     chunk_bytes: int = 1024
-    level: int = 12
+    level: int = 6
     min_margin: float = 0.01
     max_languages: int = 200
 
 
+def _filled(pieces: list[str], size: int) -> bytes:
+    """A dictionary of ``size`` bytes at most: each piece has an equal share of what shorter ones leave, cut between characters."""
+    left, cut = size, {}
+    order = sorted(range(len(pieces)), key=lambda i: (len(pieces[i].encode("utf-8", "replace")), pieces[i]))
+    for n, i in enumerate(order):
+        share = max(left // (len(order) - n) - 1, 0)
+        cut[i] = pieces[i].encode("utf-8", "replace")[:share].decode("utf-8", "ignore").encode()
+        left -= len(cut[i]) + 1
+    return b"\n".join(cut[i] for i in range(len(pieces)) if cut[i])
+
+
 def train(labelled: DataFrame, p: LanguageParams = LanguageParams()) -> dict[str, bytes]:
     """Dictionary contents by language from ``labelled(doc_id, text, lang)``.
 
-    Rows with a null text, doc_id or lang are skipped. The sample is chosen on ids alone; only the chosen
-    rows' texts are fetched.
+    Rows with a null text, doc_id or lang are skipped; of rows that repeat a doc_id one counts. The sample is chosen on
+    ids alone, from the rows whose hash is small, so that no language gathers in a task; only the chosen
+    rows' texts are fetched. More than ``max_languages`` languages raise an error. Without rows there is no dictionary.
     """
     known = labelled.filter("lang is not null and text is not null and doc_id is not null")
+    count = known.groupBy("lang").agg(F.count("*").alias("n"))
+    if count.count() > p.max_languages:
+        raise ValueError(f"more than {p.max_languages} languages")
+    share = F.pmod(F.xxhash64("doc_id"), F.lit(1 << 30)) / (1 << 30)
+    # so few rows that the window holds about twice the sample
+    few = known.select("doc_id", "lang").join(F.broadcast(count), "lang").filter(share < 2.0 * p.docs_per_language / F.col("n"))
     rank = F.row_number().over(Window.partitionBy("lang").orderBy(F.xxhash64("doc_id"), "doc_id"))
-    chosen = known.select("doc_id", "lang").withColumn("rank", rank).filter(F.col("rank") <= p.docs_per_language)
-    size = p.dictionary_bytes // p.docs_per_language * 2
+    chosen = few.select("doc_id", "lang").distinct().withColumn("rank", rank).filter(F.col("rank") <= p.docs_per_language)
+    # room for the shares that short texts leave
+    size = 4 * p.dictionary_bytes // p.docs_per_language
     # the piece of each sampled text is a bounded sample of it: chosen by the document's hash, not its beginning
     start = F.pmod(F.xxhash64("doc_id", F.lit(7)), F.greatest(F.length("text") - size, F.lit(1))) + 1
     pieces = (
         known.join(F.broadcast(chosen.select("doc_id", "lang")), ["doc_id", "lang"], "left_semi")
-        .select("lang", "doc_id", F.substring(F.col("text"), start.cast("int"), F.lit(size)).alias("piece"))
-        .limit(p.max_languages * p.docs_per_language)
+        .groupBy("lang", "doc_id")
+        .agg(F.min(F.substring(F.col("text"), start.cast("int"), F.lit(size))).alias("piece"))
         .collect()
     )
     by_language: dict[str, list[str]] = {}
-    for row in sorted(pieces, key=lambda r: (r["lang"], r["doc_id"], r["piece"])):
+    # in the order of a hash, so that a dictionary's end, which is cheapest to refer to, is no special part of the corpus
+    for row in sorted(pieces, key=lambda r: (r["lang"], zlib.crc32(str(r["doc_id"]).encode()), r["doc_id"])):
         by_language.setdefault(row["lang"], []).append(row["piece"])
-    if len(by_language) > p.max_languages:
-        raise ValueError(f"more than {p.max_languages} languages")
-    return {lang: "\n".join(x).encode("utf-8", "replace")[-p.dictionary_bytes :] for lang, x in by_language.items()}
+    return {lang: _filled(x, p.dictionary_bytes) for lang, x in by_language.items()}
 
 
 def _sizes(data: bytes, encoders: list, chunk: int) -> list[int]:

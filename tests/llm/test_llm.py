@@ -11,6 +11,7 @@ import zlib
 import numpy as np
 import public_tokenizers
 import pytest
+import zstandard
 from pyspark.sql import functions as F
 
 from groupflow.llm import decontamination, language, minhash, secrets, sharding, token_files, toxicity, url_filter, vector_graph
@@ -44,6 +45,33 @@ def test_language(spark):
     assert [r["lang_pred"] for r in odd[:4]] == ["und"] * 4 and odd[-1]["lang_pred"] == "und"
     assert all(0 <= r["score"] <= 1 for r in odd)
     assert language.identify(docs.limit(0), model).count() == 0
+    # each decision is that of compressing every chunk with every dictionary
+    p, names = language.LanguageParams(), sorted(model)
+    texts = {r["doc_id"]: (r["text"], r["lang_pred"], r["score"]) for r in language.identify(docs, model).join(docs.select("doc_id", "text"), "doc_id").limit(60).collect()}
+    for text, pred, margin in texts.values():
+        data, sizes = (text or "").encode(), []
+        cuts = list(range(0, len(data), p.chunk_bytes)) or [0]
+        if len(cuts) > 1 and len(data) - cuts[-1] < p.chunk_bytes // 2:
+            cuts.pop()
+        for name in names:
+            d = zstandard.ZstdCompressionDict(model[name], dict_type=zstandard.DICT_TYPE_RAWCONTENT)
+            one = zstandard.ZstdCompressor(level=p.level, dict_data=d, write_checksum=False, write_content_size=False)
+            sizes.append(sum(len(one.compress(data[a:b])) for a, b in zip(cuts, [*cuts[1:], len(data)])))
+        low = sorted(sizes)
+        if any(map(str.isalpha, text or "")):
+            assert pred == names[sizes.index(low[0])] and margin == pytest.approx((low[1] - low[0]) / low[1])
+
+
+def test_dictionaries_are_filled(spark):
+    full = language._filled(["é" * 300, "ab", "x" * 5000, "y" * 5000], 1000)
+    assert 980 <= len(full) <= 1000 and full.decode() and b"ab" in full
+    rows = [(1, "uno dos tres", "es", 0.5)] * 3 + [(2, "one two three", "en", 0.5), (3, None, "en", 0.5), (None, "x", "en", 0.5), (4, "y", None, 0.5)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, lang string, score double")
+    model = language.train(df)
+    assert model == {"es": b"uno dos tres", "en": b"one two three"}
+    with pytest.raises(ValueError):
+        language.train(df, language.LanguageParams(max_languages=1))
+    assert language.train(df.limit(0)) == {} and language.identify(df, {}).filter("lang_pred <> 'und'").count() == 0
 
 
 # -- vectors
@@ -98,10 +126,14 @@ def test_divided_and_dense_shards(spark):
 
 def test_elias_fano():
     rng = random.Random(4)
-    for n, top in ((0, 1), (1, 5), (7, 3), (900, 50), (3000, 10**11)):
+    for n, top in ((0, 1), (1, 5), (7, 3), (900, 50), (3000, 10**11), (70_000, 10**6)):
         values = np.sort(np.array([rng.randrange(top) for _ in range(n)], np.uint64))
         coded, end = EliasFano.from_bytes(EliasFano.build(values).to_bytes())
-        assert (coded.decode() == values).all() and [coded.select(i) for i in range(n)] == values.tolist()
+        assert [coded.select(i) for i in range(0, n, max(1, n // 3000))] == values[:: max(1, n // 3000)].tolist()
+        for lo, hi in ((0, n), (n // 3, n // 2), (n, n)):
+            assert coded.values(lo, hi).tolist() == values[lo:hi].tolist()
+        # near the bound of the structure, with the directory of one count for each 512 bits
+        assert len(coded.low) + len(coded.high) <= n * (2 + max(0, (coded.universe // max(n, 1)).bit_length())) / 8 + 2
 
 
 def test_token_files(spark, tmp_path):
