@@ -7,13 +7,14 @@ moves the blame to the sentences that explain a label, which are then reported a
 
 from __future__ import annotations
 
+import math
 import re
 from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from groupflow.storage import materialize
@@ -25,11 +26,15 @@ _WORD = re.compile(r"[^\W_]+")
 @dataclass(frozen=True)
 class ToxicityParams:
     """The model is fitted on ``sample_docs`` labelled rows at most (smallest hashes of doc_id, in equal
-    parts for each label). Of their features the ``vocabulary`` ones with the most evidence are kept,
-    and only those reach the driver."""
+    parts for each label), which have ``sample_chars`` characters at most together. Of their features the
+    ``vocabulary`` ones with the most evidence are kept, if their document shares in the two labels differ by
+    ``evidence`` standard errors, so that a small sample has few features; only those reach the driver: less than one
+    number for every two characters of the sample."""
 
-    vocabulary: int = 600
+    vocabulary: int = 1200
+    evidence: float = 3.0
     sample_docs: int = 12000
+    sample_chars: int = 60_000_000
     prefix: int = 5
     min_docs: int = 3
     epochs: int = 600
@@ -146,9 +151,13 @@ def _sampled(docs: DataFrame, labels: DataFrame, p: ToxicityParams) -> DataFrame
         for label in (0, 1)
     ]
     chosen = materialize(parts[0].unionByName(parts[1]), "sample")
-    return materialize(
-        docs.select(F.col("doc_id").cast("long"), "text").join(F.broadcast(chosen), "doc_id"), "sampled"
-    )
+    rows = materialize(docs.select(F.col("doc_id").cast("long"), "text").join(F.broadcast(chosen), "doc_id"), "sampled")
+    # as many whole texts as the bound allows, in the order of the sample; the window holds the sample only
+    order = Window.partitionBy("toxic").orderBy(F.xxhash64("doc_id"), "doc_id", F.xxhash64("text"))
+    if (rows.agg(F.sum(F.length("text")).alias("n")).first()["n"] or 0) <= p.sample_chars:
+        return rows
+    chars = F.sum(F.coalesce(F.length("text"), F.lit(0)).cast("long")).over(order)
+    return rows.withColumn("all", chars).filter(F.col("all") <= p.sample_chars // 2).drop("all")
 
 
 def train(docs: DataFrame, labels: DataFrame, p: ToxicityParams = ToxicityParams()) -> ToxicityModel:
@@ -163,7 +172,7 @@ def train(docs: DataFrame, labels: DataFrame, p: ToxicityParams = ToxicityParams
         return ToxicityModel({}, -30.0, p.prefix)
     a, c = F.col("n1"), F.col("n0")
     n0, n1 = totals[0], totals[1]
-    # difference of the two document shares in units of its spread
+    # difference of the two document shares in units of its standard error
     share = (a + c) / (n0 + n1)
     evidence = F.abs(a / n1 - c / n0) / F.sqrt(share * (1 - share) + 1e-12)
     top = (
@@ -171,7 +180,8 @@ def train(docs: DataFrame, labels: DataFrame, p: ToxicityParams = ToxicityParams
         .groupBy("feature")
         .agg(F.sum("n0").alias("n0"), F.sum("n1").alias("n1"))
         .filter(a + c >= p.min_docs)
-        .withColumn("evidence", evidence)
+        .withColumn("evidence", evidence * math.sqrt(n0 * n1 / (n0 + n1)))
+        .filter(F.col("evidence") >= p.evidence)
         .orderBy(F.desc("evidence"), "feature")
         .limit(p.vocabulary)
         .collect()
