@@ -14,7 +14,7 @@ from __future__ import annotations
 
 import re
 from collections.abc import Iterator
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 
 import numpy as np
 import pyarrow as pa
@@ -27,17 +27,20 @@ _A = 0x9E3779B97F4A7C15
 
 @dataclass(frozen=True)
 class DecontaminationParams:
-    """``window``, ``short``, ``stride``: patterns of an item, in normalised characters, of two widths: a copied
+    """``q``: length of the q-grams, ``little``: that for items too short for the bound of ``edits`` at
+    ``q``. ``least``: shorter items, in normalised characters, stand in texts by chance and are not searched. ``window``, ``short``, ``stride``: patterns of an item, in normalised characters, of two widths: a copied
     passage of ``short + stride - 1`` (99) characters is found wherever it starts in the item, and the wider
     patterns hold more edits. ``edits``: the budget, as a share of the pattern.
-    ``block_chars``: characters of items indexed at once, which bounds what is broadcast."""
+    ``block_chars``: characters of items indexed at once, which bounds what is broadcast: 40 bytes for each."""
 
     q: int = 12
+    little: int = 6
+    least: int = 12
     window: int = 128
     short: int = 92
     stride: int = 8
     edits: float = 0.05
-    block_chars: int = 4_000_000
+    block_chars: int = 2_000_000
 
 
 def normalise(text: str | None) -> str:
@@ -119,6 +122,7 @@ def build(items: list[tuple[int, str | None]], p: DecontaminationParams) -> _Pat
     every = np.concatenate(grams) if grams else np.empty(0, np.uint64)
     owner = np.repeat(np.arange(len(grams)), lengths)
     place = np.concatenate([np.arange(n) for n in lengths]) if grams else np.empty(0, np.int64)
+    owner, place = owner.astype(np.int32), place.astype(np.int32)
     order = np.argsort(every, kind="stable")
     hashes, first = np.unique(every[order], return_index=True)
     table = np.zeros(1 << 22, np.bool_)
@@ -179,7 +183,7 @@ def _leaks(texts: list[str | None], index: _Patterns, p: DecontaminationParams)
     rank = np.arange(counts.sum()) - np.repeat(np.cumsum(counts) - counts, counts)
     posting = np.repeat(index.offsets[near], counts) + rank
     at = np.repeat(at, counts)
-    owner, place = index.owner[posting], index.place[posting]
+    owner, place = index.owner[posting].astype(np.int64), index.place[posting].astype(np.int64)
     doc = np.searchsorted(ends, at, side="right")
     # no pattern of a pair of text and item can meet the bound when all the pair's q-grams together do not
     pair = doc * len(index.item) + owner
@@ -240,16 +244,41 @@ def _leaks(texts: list[str | None], index: _Patterns, p: DecontaminationParams)
     return found
 
 
-def _blocks(benchmark: DataFrame, p: DecontaminationParams) -> Iterator[_Patterns]:
-    """Indexes over parts of the benchmark, each of bounded size."""
+def _searched(n: int, p: DecontaminationParams) -> bool:
+    """Whether an item of ``n`` characters keeps its edit budget with q-grams of length ``q``."""
+    k = int(p.edits * min(n, p.short))
+    return n >= p.q and n + 1 - p.q * (k + 1) >= 1
+
+
+def unsearchable(benchmark: DataFrame, p: DecontaminationParams = DecontaminationParams()) -> list[int]:
+    """Ids of items that are no evidence of a leak: null ones and those of less than ``least`` normalised characters."""
+    items = benchmark.select(F.col("item_id").cast("long").alias("item_id"), "text").filter("item_id is not null")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            few = pa.array([len(normalise(t.as_py())) < p.least for t in batch.column(1)], pa.bool_())
+            yield batch.select([0]).filter(few)
+
+    return sorted(r["item_id"] for r in items.mapInArrow(run, "item_id long").collect())
+
+
+def _blocks(benchmark: DataFrame, p: DecontaminationParams) -> Iterator[tuple[_Patterns, DecontaminationParams]]:
+    """Indexes over parts of the benchmark, each of bounded size; those of short items apart, with shorter q-grams."""
     items = benchmark.select(F.col("item_id").cast("long"), "text").filter("item_id is not null and text is not null")
     total = items.agg(F.sum(F.length("text")).alias("n")).first()["n"] or 0
     n = max(1, -(-total // p.block_chars))
     for k in range(n):
         rows = items.filter(F.pmod(F.xxhash64("item_id"), F.lit(n)) == k).collect()
-        index = build([(r["item_id"], r["text"]) for r in sorted(rows, key=lambda r: (r["item_id"], r["text"]))], p)
-        if index.item:
-            yield index
+        whole: list[tuple[int, str]] = []
+        short: list[tuple[int, str]] = []
+        for r in sorted(rows, key=lambda r: (r["item_id"], r["text"])):
+            size = len(normalise(r["text"]))
+            if size >= p.least:
+                (whole if _searched(size, p) else short).append((r["item_id"], r["text"]))
+        for some, one in ((whole, p), (short, replace(p, q=p.little))):
+            index = build(some, one)
+            if index.item:
+                yield index, one
 
 
 def find_leaks(docs: DataFrame, benchmark: DataFrame, p: DecontaminationParams = DecontaminationParams()) -> DataFrame:
@@ -257,16 +286,16 @@ def find_leaks(docs: DataFrame, benchmark: DataFrame, p: DecontaminationParams =
     any copied passage of ``short + stride - 1`` normalised characters or an item shorter than a pattern.
 
     ``edits`` is the least over the item's patterns, ``start`` about where it stands in the normalised
-    text. Null and empty texts have no leak; null and too short items (less than ``q`` normalised
-    characters) leak nowhere. Repeated documents give repeated rows. Other columns are not read.
+    text. Null and empty texts have no leak; null and too short items (less than ``least`` normalised
+    characters, see :func:`unsearchable`) leak nowhere. Equal items leak each for itself. Repeated documents give repeated rows. Other columns are not read.
     """
     rows = docs.select(F.col("doc_id").cast("long"), "text")
     schema = "doc_id long, item_id long, edits int, start long"
     out = None
-    for index in _blocks(benchmark, p):
+    for index, one in _blocks(benchmark, p):
         shared = docs.sparkSession.sparkContext.broadcast(index)
 
-        def run(batches: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
+        def run(batches: Iterator[pa.RecordBatch], shared=shared, p=one) -> Iterator[pa.RecordBatch]:
             for batch in batches:
                 at = 0
                 texts = batch.column(1).to_pylist()
