@@ -16,29 +16,46 @@ from groupflow.storage import materialize
 
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that the toxicity model, trained on the labelled training fold, does not reject."""
+    """Documents that the toxicity model, trained on the labelled training fold, does not reject.
+
+    Null and empty texts have no sentence, score 0 and stay. Rows that repeat are judged each for itself. A score of
+    just 0.5 rejects. Without labels of both kinds, or without rows, nothing is rejected.
+    """
     labels = spark.read.parquet(f"{sf_dir}/labels.parquet")
     model = toxicity.train(docs, labels.filter(~held_out()))
     return toxicity.keep_clean(docs, model)
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The smallest doc_id of each group of documents linked at a shingle similarity of 0.8 or more."""
+    """The smallest doc_id of each group of documents linked at a shingle similarity of 0.8 or more.
+
+    Null, empty and white texts and rows with a null doc_id stay; of rows that repeat a doc_id one stays. No rows, no result.
+    """
     return minhash.drop_near_duplicates(docs, minhash.MinHashParams(threshold=80))
 
 
 def drop_benchmark_leaks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents without a passage of the benchmark."""
+    """Documents without a passage of the benchmark.
+
+    Null and empty texts, and rows with a null doc_id, stay. Rows that repeat a doc_id go or stay together. Without
+    benchmark items, or with none but short ones, all stay.
+    """
     return decontamination.drop_leaks(docs, spark.read.parquet(f"{sf_dir}/benchmark.parquet"))
 
 
 def redact_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """All documents, secrets in their texts replaced."""
+    """All documents, secrets in their texts replaced, overlapping ones together.
+
+    A null or empty text stays as it is. Repeated rows are changed alike.
+    """
     return secrets.redact(docs)
 
 
 def tokenize(spark: SparkSession, docs: DataFrame, sf_dir: str, model: str | None = None) -> DataFrame:
-    """``doc_id, n_tokens, ids, decoded_sha256``: ids of each document and a digest of their decoding."""
+    """``doc_id, n_tokens, ids, decoded_sha256``: ids of each document and a digest of their decoding.
+
+    A null text is an empty one and has no ids. Repeated rows give repeated results, no rows none.
+    """
     if model is None:
         import public_tokenizers
 
@@ -57,7 +74,7 @@ STAGES = [
     ("tokens", tokenize),
 ]
 
-#: Learned models and tokenizers have no SQL; the tests hold each stage against a brute-force version.
+#: Learned models and tokenizers have no SQL; tests/llm holds each stage against a brute-force version on the smallest tables.
 ORACLE_SQL = None
 
 
