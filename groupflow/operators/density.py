@@ -8,6 +8,7 @@ points of thinner cells look around. Components are taken over cells, not over p
 from __future__ import annotations
 
 import math
+from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -19,7 +20,9 @@ from groupflow.storage import materialize, release
 
 #: A cluster id is its timestamp and its smallest core object, 31 and 32 bits.
 ID_BASE = 1 << 32
-_ONE_TASK = 4096
+_ONE_TASK = 1_000_000
+_PART = 1 << 20  # pairs looked at at once
+_ROWS = 50_000
 
 # offsets of cells that can hold a neighbour: all of 5 x 5 but the corners
 _AROUND = [(i, j) for i in range(-2, 3) for j in range(-2, 3) if abs(i) + abs(j) < 4]
@@ -93,60 +96,205 @@ def _grid(snap: DataFrame, eps: float, min_pts: int, border: str) -> DataFrame:
     return member.unionByName(edge.select("t", "cluster_id", "obj_id", "x", "y", F.lit(False).alias("is_core")))
 
 
-def _one_snapshot(eps: float, min_pts: int, border: str):
-    def run(table: pa.Table) -> pa.Table:
-        table = table.sort_by("obj_id")
-        obj, x, y = (table.column(c).to_numpy() for c in ("obj_id", "x", "y"))
-        t = int(table.column("t")[0].as_py())
-        near = (x[:, None] - x) ** 2 + (y[:, None] - y) ** 2 <= eps * eps
-        core = near.sum(axis=1) >= min_pts
-        label = np.where(core, obj, np.iinfo(np.int64).max)
-        linked = near & core[:, None] & core
+def _pairs(a_begin: np.ndarray, a_n: np.ndarray, b_begin: np.ndarray, b_n: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
+    """All places ``(row, i, j)`` of the products of runs ``a`` and ``b``, in parts of bounded size; a long run is taken in pieces."""
+    total = a_n * b_n
+    large = total > _PART
+    for k in np.flatnonzero(large):
+        width = max(1, _PART // int(b_n[k]))
+        for at in range(0, int(a_n[k]), width):
+            i = np.arange(at, min(at + width, int(a_n[k])))
+            for to in range(0, int(b_n[k]), _PART):
+                j = np.arange(to, min(to + _PART, int(b_n[k])))
+                yield np.full(len(i) * len(j), k), np.repeat(a_begin[k] + i, len(j)), np.tile(b_begin[k] + j, len(i))
+    rows = np.flatnonzero(~large & (total > 0))
+    ends = np.cumsum(total[rows])
+    at = 0
+    while at < len(rows):
+        to = max(at + 1, int(np.searchsorted(ends, (ends[at - 1] if at else 0) + _PART, side="right")))
+        some = rows[at:to]
+        n = total[some]
+        row = np.repeat(some, n)
+        place = np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
+        yield row, a_begin[row] + place // b_n[row], b_begin[row] + place % b_n[row]
+        at = to
+
+
+def roots(n: int, a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """The smallest node that each of ``n`` nodes is connected with, by hooking roots and halving paths."""
+    label = np.arange(n)
+    while True:
+        x, y = label[a], label[b]
+        low, high = np.minimum(x, y), np.maximum(x, y)
+        apart = low < high
+        if not apart.any():
+            return label
+        np.minimum.at(label, high[apart], low[apart])
         while True:
-            low = np.where(linked, label, np.iinfo(np.int64).max).min(axis=1, initial=np.iinfo(np.int64).max)
-            new = np.where(core, np.minimum(label, low), label)
-            if (new == label).all():
+            up = label[label]
+            if (up == label).all():
                 break
-            label = new
-        rows = [(i, label[i], True) for i in np.flatnonzero(core)]
-        if border != "none":
-            for i in np.flatnonzero(~core):
-                found = sorted(set(label[near[i] & core].tolist()))
-                rows += [(i, c, False) for c in (found if border == "all" else found[:1])]
-        at = np.array([r[0] for r in rows], np.int64)
-        return pa.table(
-            {
-                "t": pa.array([t] * len(rows), pa.int64()),
-                "cluster_id": pa.array([t * ID_BASE + int(r[1]) for r in rows], pa.int64()),
-                "obj_id": pa.array(obj[at] if len(rows) else [], pa.int64()),
-                "x": pa.array(x[at] if len(rows) else [], pa.float64()),
-                "y": pa.array(y[at] if len(rows) else [], pa.float64()),
-                "is_core": pa.array([r[2] for r in rows], pa.bool_()),
-            }
-        )
+            label = up
+
+
+def _clustered(t: np.ndarray, obj: np.ndarray, x: np.ndarray, y: np.ndarray, eps: float, min_pts: int, border: str, least: int) -> pa.RecordBatch:
+    """Clusters of whole snapshots, any number of them at once. Work grows with the pairs in neighbouring cells that cells leave open."""
+    side = eps / math.sqrt(2) * (1 - 1e-12)
+    cx, cy = np.floor(x / side).astype(np.int64), np.floor(y / side).astype(np.int64)
+    order = np.lexsort((obj, cy, cx, t))
+    t, obj, x, y, cx, cy = (v[order] for v in (t, obj, x, y, cx, cy))
+    # cells are numbered in the order of (t, cx, cy), and neighbours found by one search in a joint code
+    new = np.ones(len(t), np.bool_)
+    new[1:] = (t[1:] != t[:-1]) | (cx[1:] != cx[:-1]) | (cy[1:] != cy[:-1])
+    begin = np.flatnonzero(new)
+    size = np.diff(np.append(begin, len(t)))
+    cell = np.cumsum(new) - 1
+    fresh = np.ones(len(begin), np.bool_)
+    fresh[1:] = (t[begin[1:]] != t[begin[:-1]]) | (cx[begin[1:]] != cx[begin[:-1]])
+    columns, of = np.stack([t[begin], cx[begin]])[:, fresh], np.cumsum(fresh) - 1
+    low_y = int(cy.min(initial=0)) - 2
+    span = int(cy.max(initial=0)) - low_y + 3
+    if columns.shape[1] * span >= 1 << 62:
+        raise ValueError("positions are too far apart for eps")
+    code = of * span + (cy[begin] - low_y)
+    # columns are sorted by (t, cx), so one at most two further in x stands at most two places away
+    column_of = {0: np.arange(columns.shape[1])}
+    for i in (-2, -1, 1, 2):
+        column_of[i] = np.full(columns.shape[1], -1)
+        for step in range(1, abs(i) + 1):
+            here = np.arange(max(0, -i // abs(i) * step), columns.shape[1] - max(0, i // abs(i) * step))
+            there = here + i // abs(i) * step
+            same = (columns[0][there] == columns[0][here]) & (columns[1][there] == columns[1][here] + i)
+            column_of[i][here[same]] = there[same]
+
+    def neighbours(cells: np.ndarray, i: int, j: int) -> tuple[np.ndarray, np.ndarray]:
+        """Those of ``cells`` with a cell at the offset, and that cell."""
+        there = column_of[i][of[cells]]
+        want = there * span + (cy[begin[cells]] - low_y + j)
+        at = np.minimum(np.searchsorted(code, want), len(code) - 1)
+        ok = (there >= 0) & (code[at] == want)
+        return cells[ok], at[ok]
+
+    def close(i: np.ndarray, j: np.ndarray) -> np.ndarray:
+        dx, dy = x[i] - x[j], y[i] - y[j]
+        return dx * dx + dy * dy <= eps * eps
+
+    dense = size >= min_pts
+    count = np.where(dense[cell], min_pts, 0)
+    thin = np.flatnonzero(~dense)
+    for i, j in _AROUND:
+        a, b = neighbours(thin, i, j)
+        for _, p, q in _pairs(begin[a], size[a], begin[b], size[b]):
+            count += np.bincount(p[close(p, q)], minlength=len(count))
+    core = count >= min_pts
+    # core points stand first in their cell from here on
+    order = np.lexsort((obj, ~core, cell))
+    t, obj, x, y, core = (v[order] for v in (t, obj, x, y, core))
+    n_core = np.add.reduceat(core.astype(np.int64), begin) if len(begin) else size
+    some = np.flatnonzero(n_core)
+    src, dst = [], []
+    for i, j in _FORWARD:
+        a, b = neighbours(some, i, j)
+        a, b = a[n_core[b] > 0], b[n_core[b] > 0]
+        linked = np.zeros(len(a), np.bool_)
+        large = n_core[a] * n_core[b] > _PART
+        for k in np.flatnonzero(large):
+            # two crowded cells: mostly the first pairs tell
+            for _, p, q in _pairs(begin[a[k : k + 1]], n_core[a[k : k + 1]], begin[b[k : k + 1]], n_core[b[k : k + 1]]):
+                if close(p, q).any():
+                    linked[k] = True
+                    break
+        rest = np.flatnonzero(~large)
+        for row, p, q in _pairs(begin[a[rest]], n_core[a[rest]], begin[b[rest]], n_core[b[rest]]):
+            linked[rest[row[close(p, q)]]] = True
+        src.append(a[linked])
+        dst.append(b[linked])
+    label = roots(len(begin), np.concatenate(src), np.concatenate(dst)) if len(begin) else begin
+    lowest = np.full(len(begin), np.iinfo(np.int64).max)
+    np.minimum.at(lowest, label[cell[core]], obj[core])
+    name = lowest[label]  # of each cell with core points: the smallest core object of its cluster
+    at, ids = [np.flatnonzero(core)], [name[cell[core]]]
+    if border != "none":
+        look_at, look_id = [at[0][:0]], [ids[0][:0]]
+        for i, j in _AROUND:
+            a, b = neighbours(np.arange(len(begin)), i, j)
+            ok = (n_core[b] > 0) & (size[a] > n_core[a])
+            a, b = a[ok], b[ok]
+            for row, p, q in _pairs(begin[a] + n_core[a], size[a] - n_core[a], begin[b], n_core[b]):
+                near = close(p, q)
+                both = np.unique(np.stack([p[near], name[b[row[near]]]]), axis=1)
+                look_at.append(both[0])
+                look_id.append(both[1])
+        both = np.unique(np.stack([np.concatenate(look_at), np.concatenate(look_id)]), axis=1)
+        if border == "min_cluster":
+            both = both[:, np.unique(both[0], return_index=True)[1]]
+        elif border != "all":
+            raise ValueError("border is 'min_cluster', 'all' or 'none'")
+        at.append(both[0])
+        ids.append(both[1])
+    at, ids = np.concatenate(at), np.concatenate(ids)
+    cluster = t[at] * ID_BASE + ids
+    if least > 1:
+        _, back, n = np.unique(cluster, return_inverse=True, return_counts=True)
+        keep = n[back] >= least
+        at, cluster = at[keep], cluster[keep]
+    return pa.RecordBatch.from_arrays(
+        [pa.array(t[at]), pa.array(cluster), pa.array(obj[at]), pa.array(x[at]), pa.array(y[at]), pa.array(core[at])],
+        ["t", "cluster_id", "obj_id", "x", "y", "is_core"],
+    )
+
+
+def _snapshots(eps: float, min_pts: int, border: str, least: int):
+    """Rows come in order of t: snapshots are clustered some thousands of points at a time, whole ones only."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[np.ndarray] = []
+
+        def cluster_all(rows: np.ndarray) -> pa.RecordBatch:
+            t, obj = rows[0].view(np.int64), rows[1].view(np.int64)
+            return _clustered(t, obj, rows[2], rows[3], eps, min_pts, border, least)
+
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            kinds = (np.int64, np.int64, np.float64, np.float64)
+            held.append(np.stack([batch.column(i).to_numpy().astype(k).view(np.float64) for i, k in enumerate(kinds)]))
+            if sum(h.shape[1] for h in held) >= _ROWS and held[-1][0].view(np.int64)[-1] != held[0][0].view(np.int64)[0]:
+                rows = np.concatenate(held, axis=1)
+                t = rows[0].view(np.int64)
+                end = int(np.searchsorted(t, t[-1]))
+                yield cluster_all(np.ascontiguousarray(rows[:, :end]))
+                held = [rows[:, end:].copy()]
+        if held:
+            yield cluster_all(np.concatenate(held, axis=1))
 
     return run
 
 
-def cluster(snap: DataFrame, eps: float, min_pts: int, border: str = "min_cluster", plan: str = "auto") -> DataFrame:
-    """``member(t, cluster_id, obj_id, x, y, is_core)``.
+def cluster(snap: DataFrame, eps: float, min_pts: int, border: str = "min_cluster", plan: str = "auto", least: int = 1) -> DataFrame:
+    """``member(t, cluster_id, obj_id, x, y, is_core)`` of clusters with at least ``least`` objects.
 
     ``border``: a border object belongs to the smallest of the clusters it touches, to all of them or to
-    none. ``plan='snapshot'`` clusters each snapshot in one task, in one shuffle; ``'grid'`` holds for
-    snapshots of any size. ``'auto'`` counts first and takes the former where no snapshot has more
-    than 4,096 objects.
-    Object ids are from 0 to 2^32 - 1; one position for each object and t.
+    none. ``plan='snapshot'`` clusters whole snapshots inside tasks, in one shuffle; ``'grid'`` holds for
+    snapshots that no task can hold. ``'auto'`` counts first and takes the former where no snapshot has more
+    than a million objects. Both go by cells and give the same rows.
+    Object ids are from 0 to 2^32 - 1, timestamps from 0 to 2^31 - 1, others raise an error; one position for each object and t.
     """
+    good = F.col("obj_id").between(0, ID_BASE - 1) & F.col("t").between(0, (1 << 31) - 1)
+    wrong = F.raise_error(F.concat(F.lit("object ids are from 0 to 2^32 - 1 and timestamps from 0 to 2^31 - 1, not "), F.struct("obj_id", "t").cast("string")))
+    snap = snap.select(F.when(good, F.col("t")).otherwise(wrong.cast("long")).alias("t"), "obj_id", "x", "y")
     if plan == "auto":
         largest = snap.groupBy("t").count().agg(F.max("count").alias("n")).first()["n"] or 0
         plan = "snapshot" if largest <= _ONE_TASK else "grid"
     if plan == "snapshot":
         schema = "t long, cluster_id long, obj_id long, x double, y double, is_core boolean"
-        return snap.select("t", "obj_id", "x", "y").groupBy("t").applyInArrow(_one_snapshot(eps, min_pts, border), schema)
-    return _grid(snap, eps, min_pts, border)
+        rows = snap.select(F.col("t").cast("long"), F.col("obj_id").cast("long"), F.col("x").cast("double"), F.col("y").cast("double"))
+        return rows.repartition("t").sortWithinPartitions("t").mapInArrow(_snapshots(eps, min_pts, border, least), schema)
+    member = _grid(snap, eps, min_pts, border)
+    return keep_large(member, least) if least > 1 else member
 
 
 def keep_large(member: DataFrame, m_c: int) -> DataFrame:
     """Members of clusters with at least ``m_c`` objects."""
     large = member.groupBy("cluster_id").agg(F.count("*").alias("n")).filter(F.col("n") >= m_c).select("cluster_id")
-    return member.join(large, "cluster_id", "left_semi")
+    return member.join(large, "cluster_id", "left_semi").select(member.columns)

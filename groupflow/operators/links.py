@@ -114,4 +114,7 @@ def build(
 ) -> DataFrame:
     """``link(src, dst, dt, decided_by)``: cluster pairs within ``d * dt``, ``dt`` up to the gap bound."""
     pairs = candidates(shape, p, index, max_gap, n_parts, halo)
+    if prune:
+        # most pairs are far apart: they go before anything is written
+        pairs = pairs.filter(~pruning.far("a", "b", F.lit(p.d) * F.col("dt"), rules.get("far_rule", "hull")))
     return decide(pairs, shape, p, prune, **rules).filter("linked").drop("linked")

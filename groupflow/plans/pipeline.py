@@ -26,7 +26,7 @@ class Discovery:
 
 def clusters(snap: DataFrame, p: Params, plan: str = "auto") -> tuple[DataFrame, DataFrame]:
     """Members and summaries of the clusters of at least ``m_c`` objects, both on shared storage."""
-    member = materialize(density.keep_large(density.cluster(snap, p.eps, p.min_pts, plan=plan), p.m_c), "member")
+    member = materialize(density.cluster(snap, p.eps, p.min_pts, plan=plan, least=p.m_c), "member")
     return member, materialize(shapes.summarize(member), "shape")
 
 
