@@ -57,7 +57,7 @@ def chains_with_members(crowd: DataFrame, shape: DataFrame) -> DataFrame:
     )
 
 
-def test_and_divide(crowd: DataFrame, shape: DataFrame, k_c: int, k_p: int, m_p: int, max_rounds: int = 10_000) -> DataFrame:
+def cut_at_invalid(crowd: DataFrame, shape: DataFrame, k_c: int, k_p: int, m_p: int, max_rounds: int = 10_000) -> DataFrame:
     """Closed gatherings: a crowd with invalid clusters is cut at them, and the runs of at least ``k_c`` clusters are
     tested again, until all that is left is a gathering."""
     now = chains_with_members(crowd, shape).select("chain").withColumn("n", F.size("chain"))

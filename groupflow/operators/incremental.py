@@ -31,11 +31,6 @@ class Window:
     candidate: DataFrame
 
 
-def _pairs(new: DataFrame, before: DataFrame, p: Params) -> DataFrame:
-    """Links from clusters of the window to new ones. Both sides go through the candidate join of the batch plan."""
-    return links.build(before.unionByName(new), p)
-
-
 def crowd_step(state: Window | None, new: DataFrame, t: int, p: Params) -> tuple[Window, DataFrame]:
     """The state after the clusters ``new`` of timestamp ``t``, and the status of each end: match or unmatched.
 
@@ -51,7 +46,8 @@ def crowd_step(state: Window | None, new: DataFrame, t: int, p: Params) -> tuple
         return Window(t, t, materialize(new, "shape"), none, first), status
     lo = t - p.w + 1
     shape = materialize(state.shape.filter(F.col("t") >= lo).unionByName(new), "shape")
-    fresh = _pairs(new, state.shape.filter(F.col("t") >= max(lo, t - p.max_gap)), p).filter(time_of(F.col("dst")) == t)
+    # new clusters against ending ones only
+    fresh = links.build(state.shape.filter(F.col("t") >= max(lo, t - p.max_gap)).unionByName(new), p, since=t)
     link = materialize(state.link.filter(time_of(F.col("src")) >= lo).unionByName(fresh), "link")
     # cut expired heads; what is left starts with a cluster that follows none in the window, or another candidate holds it
     cut = F.filter(F.arrays_zip("path", "times"), lambda c: c["times"] >= lo)
@@ -138,3 +134,20 @@ def peel_step(crowd: DataFrame, before: DataFrame, p: Params) -> DataFrame:
 def lineage_step(before: DataFrame, now: DataFrame, m_g: float) -> DataFrame:
     """``evo`` from the groups of the last window seen to those of later ones."""
     return lineage.edges(before.unionByName(now), m_g)
+
+
+def chain_step(before: DataFrame, now: DataFrame, evo: DataFrame, k_g: int, last: int) -> tuple[DataFrame, DataFrame]:
+    """Open chains after new windows, and the chains that they close.
+
+    ``before(win, group_id, since)``: the groups of the last window seen, with the first window of the longest chain
+    that ends with each. ``open``: the same for window ``last``. ``closed(group_id, first_win, last_win, n_windows)``:
+    groups of earlier windows that nothing continues and on which a chain of at least ``k_g`` windows ends. Of the chains
+    that end with a group the longest is kept, so the state has one row for each group.
+    """
+    every = before.select("win", "group_id", "since").unionByName(now.select("win", "group_id", F.lit(None).cast("long").alias("since")))
+    deep = materialize(lineage.depths(every, evo), "deep")
+    since = (F.col("win") - F.col("depth_in") + 1).alias("since")
+    open_ = deep.filter(F.col("win") == last).select("win", "group_id", since)
+    over = deep.filter((F.col("win") < last) & (F.col("depth_out") == 1) & (F.col("depth_in") >= k_g))
+    closed = over.select("group_id", since.alias("first_win"), F.col("win").alias("last_win"), F.col("depth_in").cast("long").alias("n_windows"))
+    return open_, closed

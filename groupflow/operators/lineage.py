@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from groupflow.operators.graph import components
 from groupflow.storage import materialize
 
 
@@ -83,11 +84,13 @@ def chains(groups: DataFrame, evo: DataFrame, k_g: int, w: int, max_paths: int =
 
 def depths(groups: DataFrame, evo: DataFrame) -> DataFrame:
     """``group_id, win, depth_in, depth_out``: windows of the longest chain that ends, and that starts, with each group.
+    Where ``groups`` has a column ``since``, the first window of the longest chain that is known to end with a group, depths count from there.
 
     A chain goes on window by window, so its length follows from the earliest window that is reached backwards. Edges
     of 1, 2, 4, ... windows are composed, so the rounds are the logarithm of the longest chain.
     """
-    label = groups.select("group_id", "win", F.col("win").alias("lo"), F.col("win").alias("hi"))
+    first = F.coalesce("since", "win") if "since" in groups.columns else F.col("win")
+    label = groups.select("group_id", "win", first.alias("lo"), F.col("win").alias("hi"))
     step = evo.select("src_group", "dst_group")
     while True:
         step = materialize(step, "steps")
@@ -108,3 +111,33 @@ def depths(groups: DataFrame, evo: DataFrame) -> DataFrame:
     return label.select(
         "group_id", "win", (F.col("win") - F.col("lo") + 1).alias("depth_in"), (F.col("hi") - F.col("win") + 1).alias("depth_out")
     )
+
+
+def long_lived(groups: DataFrame, evo: DataFrame, k_g: int) -> DataFrame:
+    """``group_id, win, n_windows``: groups on a chain of at least ``k_g`` windows, with the longest one's. No chain is listed."""
+    n = F.col("depth_in") + F.col("depth_out") - 1
+    return depths(groups, evo).select("group_id", "win", n.alias("n_windows")).filter(n >= k_g)
+
+
+def families(groups: DataFrame, evo: DataFrame, k_g: int, w: int) -> DataFrame:
+    """``family, n_groups, first_win, last_win, n_windows, n_timestamps, closed``: groups that chains of at least ``k_g``
+    windows connect, whatever they split and merge on the way; ``n_windows`` of the longest chain.
+
+    Chains of a family multiply with splits and merges, families do not. One is closed when no chain of it is in the last window.
+    """
+    kept = materialize(long_lived(groups, evo, k_g), "long")
+    name = kept.select("group_id", "win", "n_windows", F.monotonically_increasing_id().alias("node"))
+    name = materialize(name, "named")
+    end = lambda c: name.select(F.col("group_id").alias(f"{c}_group"), F.col("node").alias(c))
+    label = components(evo.join(end("src"), "src_group").join(end("dst"), "dst_group").select("src", "dst"))
+    last = groups.agg(F.max("win").alias("last_seen"))
+    found = name.join(label, "node", "left").groupBy(F.coalesce("component", "node").alias("c")).agg(
+        F.min("group_id").alias("family"),
+        F.count("*").alias("n_groups"),
+        F.min("win").alias("first_win"),
+        F.max("win").alias("last_win"),
+        F.max("n_windows").alias("n_windows"),
+    )
+    return found.crossJoin(F.broadcast(last)).select(
+        "family", "n_groups", "first_win", "last_win", "n_windows", (F.col("n_windows") + (w - 1)).alias("n_timestamps"), (F.col("last_win") < F.col("last_seen")).alias("closed")
+    )

@@ -24,13 +24,14 @@ def _gaps(shape: DataFrame, g: int) -> DataFrame:
 
 
 def candidates(
-    shape: DataFrame, p: Params, index: str = "box", max_gap: str = "lemma", n_parts: int = 8, halo: str = "gap"
+    shape: DataFrame, p: Params, index: str = "box", max_gap: str = "lemma", n_parts: int = 8, halo: str = "gap", since: int | None = None
 ) -> DataFrame:
     """``a, b, dt``: structs of summaries of clusters ``dt`` timestamps apart that may be linked.
 
     ``index='box'`` meets by the lower corner of bounding boxes, ``'grid'`` by cells of points, ``'none'`` by time
     alone; ``'sector'`` in one of ``n_parts`` space parts, ``'random'`` spreads later clusters over ``n_parts`` tasks, each
     of which sees all earlier ones. ``max_gap='lemma'`` keeps gaps that a crowd can have, ``'window'`` all of a window.
+    ``since``: only pairs whose later cluster is of this timestamp or after it, for links of new clusters.
     """
     g = p.max_gap if max_gap == "lemma" else p.w - 1
     summary = [F.col(c) for c in _SUMMARY]
@@ -72,6 +73,8 @@ def candidates(
         late = late.withColumn("part", F.pmod(F.xxhash64("cluster_id"), F.lit(n_parts)))
     elif index != "none":
         raise ValueError("index is 'box', 'grid', 'sector', 'random' or 'none'")
+    if since is not None:
+        early, late = early.filter(F.col("at") >= since), late.filter(F.col("at") >= since)
     pairs = (
         early.select(*keys[:1], *columns, *keys[2:])
         .withColumnRenamed("s", "a")
@@ -110,10 +113,12 @@ def build(
     max_gap: str = "lemma",
     n_parts: int = 8,
     halo: str = "gap",
+    since: int | None = None,
     **rules: str,
 ) -> DataFrame:
-    """``link(src, dst, dt, decided_by)``: cluster pairs within ``d * dt``, ``dt`` up to the gap bound."""
-    pairs = candidates(shape, p, index, max_gap, n_parts, halo)
+    """``link(src, dst, dt, decided_by)``: cluster pairs within ``d * dt``, ``dt`` up to the gap bound;
+    with ``since`` those of later clusters only."""
+    pairs = candidates(shape, p, index, max_gap, n_parts, halo, since)
     if prune:
         # most pairs are far apart: they go before anything is written
         pairs = pairs.filter(~pruning.far("a", "b", F.lit(p.d) * F.col("dt"), rules.get("far_rule", "hull")))

@@ -8,22 +8,38 @@ from pyspark.sql import functions as F
 from groupflow.params import Params
 
 
-def confusion(found: DataFrame, truth: DataFrame) -> DataFrame:
-    """``tp, fp, fn`` of distinct found member sets against the annotated ones, matched exactly."""
-    a = found.select(F.col("members").alias("m")).distinct().withColumn("f", F.lit(1))
-    b = truth.select(F.col("members").alias("m")).distinct().withColumn("g", F.lit(1))
-    return a.join(b, "m", "full").agg(
-        F.count_if(F.col("f").isNotNull() & F.col("g").isNotNull()).alias("tp"),
-        F.count_if(F.col("g").isNull()).alias("fp"),
-        F.count_if(F.col("f").isNull()).alias("fn"),
-    )
-
-
-def precision_recall(found: DataFrame, truth: DataFrame) -> DataFrame:
-    """``tp, fp, fn, precision, recall, f1``; a ratio without a denominator is null."""
+def confusion(found: DataFrame, truth: DataFrame, by: list[str] = [], match: str = "exact", theta: float = 0.5) -> DataFrame:  # noqa: B006
+    """``by, tp, fp, fn`` of distinct found member sets against the annotated ones.
+
+    ``match``: ``'exact'`` sets; ``'jaccard'`` and ``'containment'`` take a found set for right whose overlap with an annotated
+    one is at least ``theta`` of their union, or of the annotated set, and an annotated set for found likewise.
+    """
+    a = found.select(*by, F.col("members").alias("m")).distinct()
+    b = truth.select(*by, F.col("members").alias("m")).distinct()
+    if match == "exact":
+        hit_a = a.join(b.withColumn("hit", F.lit(True)), [*by, "m"], "left")
+        hit_b = b.join(a.withColumn("hit", F.lit(True)), [*by, "m"], "left")
+    elif match in ("jaccard", "containment"):
+        # only sets that share an object meet
+        one = a.select(*by, F.col("m").alias("a"), F.explode("m").alias("o")).join(b.select(*by, F.col("m").alias("b"), F.explode("m").alias("o")), [*by, "o"])
+        both = one.groupBy(*by, "a", "b").agg(F.count("*").alias("n"))
+        whole = F.size("b") if match == "containment" else F.size("a") + F.size("b") - F.col("n")
+        both = both.filter(F.col("n") >= F.lit(theta) * whole)
+        hit_a = a.join(both.select(*by, F.col("a").alias("m"), F.lit(True).alias("hit")).distinct(), [*by, "m"], "left")
+        hit_b = b.join(both.select(*by, F.col("b").alias("m"), F.lit(True).alias("hit")).distinct(), [*by, "m"], "left")
+    else:
+        raise ValueError("match is 'exact', 'jaccard' or 'containment'")
+    got = hit_a.select(*by, F.when(F.col("hit"), "tp").otherwise("fp").alias("kind"))
+    missed = hit_b.filter("hit is null").select(*by, F.lit("fn").alias("kind"))
+    count = lambda kind: F.count_if(F.col("kind") == kind).alias(kind)
+    return got.unionByName(missed).groupBy(*by).agg(count("tp"), count("fp"), count("fn"))
+
+
+def precision_recall(found: DataFrame, truth: DataFrame, by: list[str] = [], **match) -> DataFrame:  # noqa: B006
+    """``by, tp, fp, fn, precision, recall, f1``; a ratio without a denominator is null."""
     ratio = lambda a, b: F.when(b > 0, a / b)
     tp, fp, fn = F.col("tp"), F.col("fp"), F.col("fn")
-    return confusion(found, truth).withColumns(
+    return confusion(found, truth, by, **match).withColumns(
         {"precision": ratio(tp, tp + fp), "recall": ratio(tp, tp + fn), "f1": ratio(2 * tp, 2 * tp + fp + fn)}
     )
 

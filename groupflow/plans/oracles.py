@@ -126,6 +126,46 @@ def sector_steps(p: Params, n_rings: int, per_ring: int) -> dict[str, str]:
     }
 
 
+def strict_steps(k_c: int = 1, k_p: int = 1, m_p: int = 1) -> dict[str, str]:
+    """Steps that read ``link``: maximal runs at consecutive timestamps, and their parts whose every cluster has enough participators."""
+    return {
+        "next": "SELECT src, dst FROM link WHERE dt = 1",
+        "runs": """SELECT [cluster_id] AS path, cluster_id AS tail FROM shape s WHERE NOT EXISTS (SELECT 1 FROM next n WHERE n.dst = s.cluster_id)
+            UNION ALL SELECT list_append(r.path, n.dst), n.dst FROM runs r JOIN next n ON n.src = r.tail""",
+        "strict": """SELECT array_to_string(path, '-') AS crowd_id, path, len(path) AS n FROM runs r
+            WHERE NOT EXISTS (SELECT 1 FROM next n WHERE n.src = r.tail)""",
+        "part": f"""SELECT crowd_id, path, n, lo, hi FROM (SELECT *, unnest(generate_series(lo + {k_c - 1}, n)) AS hi FROM (
+            SELECT *, unnest(generate_series(1, n)) AS lo FROM strict WHERE n >= {k_c}))""",
+        "place": "SELECT crowd_id, lo, hi, unnest(path[lo:hi]) AS cluster_id FROM part",
+        "often": f"""SELECT p.crowd_id, p.lo, p.hi, m.obj_id FROM place p JOIN member m USING (cluster_id)
+            GROUP BY ALL HAVING count(*) >= {k_p}""",
+        "gathering": f"""SELECT crowd_id, path, n, lo, hi FROM part JOIN (
+            SELECT crowd_id, lo, hi FROM (SELECT p.crowd_id, p.lo, p.hi, p.cluster_id, count(o.obj_id) AS c FROM place p JOIN member m USING (cluster_id)
+              LEFT JOIN often o ON o.crowd_id = p.crowd_id AND o.lo = p.lo AND o.hi = p.hi AND o.obj_id = m.obj_id GROUP BY ALL)
+            GROUP BY ALL HAVING min(c) >= {m_p}) USING (crowd_id, lo, hi)""",
+    }
+
+
+def recall_sql(p: Params, walks: str, district: int) -> str:
+    """Precision and recall of groups on chains of ``k_g`` windows against the planted groups."""
+    return sql(
+        f"""SELECT tp, fp, fn, round(CASE WHEN tp + fp > 0 THEN tp::DOUBLE / (tp + fp) END, 6) AS precision, round(CASE WHEN tp + fn > 0 THEN tp::DOUBLE / (tp + fn) END, 6) AS recall,
+          round(CASE WHEN 2 * tp + fp + fn > 0 THEN 2.0::DOUBLE * tp / (2 * tp + fp + fn) END, 6) AS f1
+        FROM (SELECT count(*) FILTER (WHERE f AND g) AS tp, count(*) FILTER (WHERE f AND g IS NULL) AS fp, count(*) FILTER (WHERE f IS NULL AND g) AS fn
+          FROM (SELECT DISTINCT members, true AS f FROM grp JOIN ins ON ins.g = group_id JOIN outs ON outs.g = group_id GROUP BY group_id, members HAVING max(ins.n) + max(outs.n) - 1 >= {p.k_g})
+          FULL JOIN (SELECT members, true AS g FROM truth) USING (members))""",
+        "evo",
+        p,
+        {
+            "ins": "SELECT group_id AS g, 1::BIGINT AS n FROM grp UNION SELECT e.dst_group, i.n + 1 FROM ins i JOIN evo e ON e.src_group = i.g",
+            "outs": "SELECT group_id AS g, 1::BIGINT AS n FROM grp UNION SELECT e.src_group, o.n + 1 FROM outs o JOIN evo e ON e.dst_group = o.g",
+            "truth": f"""SELECT list(c_custkey ORDER BY c_custkey) AS members FROM customer
+              GROUP BY c_custkey // 4 HAVING (min(c_custkey) % {district} // 4) % 3 <> 2""",
+        },
+        snap=walks,
+    )
+
+
 def sql(select: str, upto: str, p: Params = Params(), more: dict[str, str] | None = None, **instead: str) -> str:
     """``select`` over the steps up to and with ``upto``, some of them replaced, and ``more`` that read them."""
     named = steps(p)

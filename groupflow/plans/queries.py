@@ -7,7 +7,7 @@ session and folder, and stands on shared storage.
 from __future__ import annotations
 
 from collections.abc import Callable
-from functools import lru_cache
+from functools import wraps
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -16,7 +16,7 @@ from groupflow.functions import hausdorff, pruning
 from groupflow.operators import baselines, density, incremental, lineage, links, patterns, peel, sectors, snapshots
 from groupflow.params import Params
 from groupflow.plans import measures, surface, sweeps
-from groupflow.plans.oracles import sector_steps, sql
+from groupflow.plans.oracles import recall_sql, sector_steps, sql, strict_steps
 from groupflow.plans.pipeline import Discovery, clusters, discover
 from groupflow.sources import tracks
 from groupflow.storage import materialize, scratch_path
@@ -26,19 +26,27 @@ P = Params()
 #: Planted walks: the published setting but for ``d``, which fits the walks' speed.
 PLANTED_SMALL = Params(eps=1.5, min_pts=2, w=6, k_c=5, m_c=2, k_p=4, m_p=2, d=5.0, m_g=1.0, k_g=14)
 PLANTED = Params(eps=1.5, min_pts=2, w=14, k_c=10, m_c=2, k_p=8, m_p=2, d=8.0, m_g=1.0, k_g=14)
-#: Customers below this id make up the walks of the queries whose SQL reads no others; those named ``_all`` read every row.
-SAMPLE = 120
 
 
-@lru_cache(maxsize=4)
-def _shared(app: str, sf_dir: str) -> dict:
-    spark = SparkSession.active()
-    snap = materialize(tracks.hourly_events(spark, sf_dir), "snap")
-    return {"snap": snap, "all": discover(snap, P, plan="grid")}
+_HELD: dict[tuple, object] = {}
 
 
+def _once(work):
+    """``work(spark, sf_dir, ...)`` once for each application and arguments; what it returns stands on shared storage."""
+
+    @wraps(work)
+    def run(spark: SparkSession, *arguments):
+        key = (work.__name__, spark.sparkContext.applicationId, *arguments)
+        if key not in _HELD:
+            _HELD[key] = work(spark, *arguments)
+        return _HELD[key]
+
+    return run
+
+
+@_once
 def _all(spark: SparkSession, sf_dir: str) -> Discovery:
-    return _shared(spark.sparkContext.applicationId, sf_dir)["all"]
+    return discover(materialize(tracks.hourly_events(spark, sf_dir), "snap"), P)
 
 
 def _snap(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -77,26 +85,18 @@ def interpolated_max_gap(spark, sf_dir):
     return snapshots.interpolate(fixes, tracks.HOUR, tracks.EVENT_ORIGIN, 12).select("t", "obj_id", *_r("x", "y"))
 
 
-def planted_walks(spark, sf_dir, n=SAMPLE):
-    return tracks.planted_walks(spark, sf_dir, n).select("t", "obj_id", *_r("x", "y"))
-
-
-def planted_walks_all(spark, sf_dir):
+def planted_walks(spark, sf_dir):
     """Walks of all customers."""
-    return planted_walks(spark, sf_dir, None)
+    return tracks.planted_walks(spark, sf_dir).select("t", "obj_id", *_r("x", "y"))
 
 
 def embedding_tracks(spark, sf_dir):
     return tracks.embedding_tracks(spark, sf_dir).select("t", "obj_id", *_r("x", "y"))
 
 
-def lineitem_sightings(spark, sf_dir, whole=False):
-    return tracks.lineitem_fixes(spark, sf_dir, whole).select("obj_id", F.unix_micros("ts").alias("us"), *_r("x", "y"))
-
-
-def lineitem_sightings_all(spark, sf_dir):
+def lineitem_sightings(spark, sf_dir):
     """Sightings on all ship dates."""
-    return lineitem_sightings(spark, sf_dir, True)
+    return tracks.lineitem_fixes(spark, sf_dir).select("obj_id", F.unix_micros("ts").alias("us"), *_r("x", "y"))
 
 
 def dataset_size(spark, sf_dir):
@@ -116,6 +116,11 @@ def density_clusters_by_snapshot(spark, sf_dir):
     return density.keep_large(member, P.m_c).select("t", "cluster_id", "obj_id", "is_core")
 
 
+def density_clusters_by_grid(spark, sf_dir):
+    member = density.cluster(_snap(spark, sf_dir), P.eps, P.min_pts, plan="grid", least=P.m_c)
+    return member.select("t", "cluster_id", "obj_id", "is_core")
+
+
 def cluster_sizes(spark, sf_dir):
     return _all(spark, sf_dir).member.groupBy("t").agg(F.count_distinct("cluster_id").alias("clusters"), F.count("*").alias("members"))
 
@@ -253,10 +258,11 @@ def gatherings(spark, sf_dir):
     return baselines.gatherings(crowd, found.shape, 2, P.m_p).select("crowd_id", F.col("len").cast("long").alias("len"))
 
 
-def test_and_divide(spark, sf_dir):
+def closed_gatherings(spark, sf_dir):
+    """Gatherings that no longer one of their crowd holds, by cutting crowds at clusters without enough participators."""
     found = _all(spark, sf_dir)
     crowd = baselines.strict_crowds(found.shape, found.link, 3)
-    return baselines.test_and_divide(crowd, found.shape, 3, 2, P.m_p).select("crowd_id")
+    return baselines.cut_at_invalid(crowd, found.shape, 3, 2, P.m_p).select("crowd_id")
 
 
 def convoys(spark, sf_dir):
@@ -323,9 +329,8 @@ def parallel_pairs(spark, sf_dir):
     return out
 
 
-@lru_cache(maxsize=4)
-def _streamed(app: str, sf_dir: str) -> engine.GroupStream:
-    spark = SparkSession.active()
+@_once
+def _streamed(spark: SparkSession, sf_dir: str) -> engine.GroupStream:
     sink = engine.GroupStream(scratch_path(spark, "stream"), P)
     engine.run(engine.replay(_snap(spark, sf_dir), 3), sink)
     return sink
@@ -333,32 +338,48 @@ def _streamed(app: str, sf_dir: str) -> engine.GroupStream:
 
 def stream_groups(spark, sf_dir):
     """The groups of all windows, from the stream."""
-    found = _streamed(spark.sparkContext.applicationId, sf_dir).groups(spark)
+    found = _streamed(spark, sf_dir).groups(spark)
     return found.select("win", "group_id", F.col("size").cast("long").alias("size"), "n_aggs")
 
 
 def stream_evolution_edges(spark, sf_dir):
-    found = _streamed(spark.sparkContext.applicationId, sf_dir).evolution(spark)
+    found = _streamed(spark, sf_dir).evolution(spark)
     return found.select("win", "src_group", "dst_group", "common", *_r("ratio"))
 
 
-def incremental_crowds_planted(spark, sf_dir, n=SAMPLE):
-    """Closed crowds of each window of the planted walks, timestamp by timestamp."""
-    _, shape = clusters(tracks.planted_walks(spark, sf_dir, n), PLANTED_SMALL, "snapshot")
-    times = [r["t"] for r in shape.select("t").distinct().orderBy("t").collect()]  # one number for each snapshot
+def stream_closed_evolving_groups(spark, sf_dir):
+    """Evolving groups that came to their end while the stream ran, by their last group."""
+    return _streamed(spark, sf_dir).closed(spark)
+
+
+def closed_evolving_groups(spark, sf_dir):
+    """The same from the whole table at once."""
+    found = _all(spark, sf_dir)
+    deep = lineage.depths(found.group, found.evo)
+    last = found.group.agg(F.max("win").alias("last"))
+    over = deep.join(F.broadcast(last), F.col("win") < F.col("last")).filter((F.col("depth_out") == 1) & (F.col("depth_in") >= P.k_g))
+    first = (F.col("win") - F.col("depth_in") + 1).alias("first_win")
+    return over.select("group_id", first, F.col("win").alias("last_win"), F.col("depth_in").cast("long").alias("n_windows"))
+
+
+def evolving_families(spark, sf_dir):
+    """Evolving groups as families: groups that long chains connect."""
+    found = _all(spark, sf_dir)
+    return lineage.families(found.group, found.evo, P.k_g, P.w)
+
+
+def incremental_crowds_planted(spark, sf_dir):
+    """Closed crowds of each window of the planted walks of all customers, timestamp by timestamp."""
+    _, shape = clusters(tracks.planted_walks(spark, sf_dir), PLANTED_SMALL)
+    ends = shape.agg(F.min("t").alias("lo"), F.max("t").alias("hi")).first()
     state, out = None, None
-    for t in range(times[0], times[-1] + 1) if times else ():
+    for t in range(ends["lo"], ends["hi"] + 1) if ends["lo"] is not None else ():
         state, _ = incremental.crowd_step(state, shape.filter(F.col("t") == t), t, PLANTED_SMALL)
         one = incremental.crowds(state, PLANTED_SMALL).select("win", "crowd_id")
         out = one if out is None else out.unionByName(one)
     return out if out is not None else spark.createDataFrame([], "win long, crowd_id string")
 
 
-def incremental_crowds_planted_all(spark, sf_dir):
-    """The same over the walks of all customers."""
-    return incremental_crowds_planted(spark, sf_dir, None)
-
-
 def sql_hausdorff(spark, sf_dir):
     """Distances of linked clusters by the functions and views that a user of SQL sees."""
     surface.register(spark, _snap(spark, sf_dir), _all(spark, sf_dir))
@@ -405,28 +426,72 @@ def ablation(spark, sf_dir):
     return sweeps.ablation(_all(spark, sf_dir).shape, P)
 
 
-def _recall(d: float, k_c: int, n: int | None = None):
+@_once
+def _planted(spark: SparkSession, sf_dir: str, d: float, k_c: int) -> Discovery:
+    return discover(tracks.planted_walks(spark, sf_dir), PLANTED.but(d=d, k_c=k_c))
+
+
+def _long_lived(spark, sf_dir, d: float, k_c: int) -> DataFrame:
+    """Groups on a chain of at least ``k_g`` windows."""
+    found = _planted(spark, sf_dir, d, k_c)
+    return lineage.long_lived(found.group, found.evo, PLANTED.k_g).join(found.group, ["group_id", "win"])
+
+
+def _recall(d: float, k_c: int):
+    def query(spark, sf_dir):
+        return _measured(measures.precision_recall(_long_lived(spark, sf_dir, d, k_c), tracks.planted_truth(spark, sf_dir)))
+
+    return query
+
+
+def _measured(found: DataFrame) -> DataFrame:
+    return found.withColumns({c: F.round(c, 6) for c in ("precision", "recall", "f1")})
+
+
+def _strict_gatherings(spark, sf_dir, d: float) -> DataFrame:
+    """Members of the strict gatherings of the planted walks, by the published lengths."""
+    found = _planted(spark, sf_dir, d, PLANTED.w)
+    crowd = baselines.strict_crowds(found.shape, found.link, 28)
+    closed = baselines.cut_at_invalid(crowd, found.shape, 28, 16, PLANTED.m_p)
+    rows = closed.select("crowd_id", F.explode("path").alias("cluster_id")).join(found.shape.select("cluster_id", "objs"), "cluster_id")
+    each = rows.groupBy("crowd_id").agg(F.flatten(F.collect_list("objs")).alias("every"))
+    return each.select(peel.frequent(F.col("every"), 16).alias("members"))
+
+
+def _recall_strict(d: float):
     def query(spark, sf_dir):
-        p = Params(**{**PLANTED.__dict__, "d": d, "k_c": k_c})
-        found = discover(tracks.planted_walks(spark, sf_dir, n), p, plan="snapshot")
-        chain = lineage.chains(found.group, found.evo, p.k_g, p.w)
-        long_lived = chain.select(F.explode("groups").alias("group_id")).distinct().join(found.group, "group_id")
-        return measures.precision_recall(long_lived, tracks.planted_truth(spark, sf_dir, n))
+        return _measured(measures.precision_recall(_strict_gatherings(spark, sf_dir, d), tracks.planted_truth(spark, sf_dir)))
 
     return query
 
 
+def planted_recall_by_period(spark, sf_dir):
+    """Precision and recall by period and day type, evolving groups beside strict gatherings. Districts stand for recordings."""
+    truth = tracks.planted_truth(spark, sf_dir)
+    found = {"evolving": _long_lived(spark, sf_dir, 8.0, 10).select("members"), "strict": _strict_gatherings(spark, sf_dir, 8.0)}
+    district = F.floor(F.element_at("members", 1) / tracks.DISTRICT)
+    name = lambda d: [(d % 4).alias("period"), F.when(F.floor(d / 4) % 2 == 0, "workday").otherwise("weekend").alias("day_type")]
+    out = None
+    for method, rows in found.items():
+        one = measures.precision_recall(
+            rows.select("members", *name(district)), truth.select("members", *name(F.col("district"))), ["period", "day_type"]
+        )
+        one = one.withColumn("method", F.lit(method))
+        out = one if out is None else out.unionByName(one)
+    return _measured(out)
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     f.__name__: f
     for f in (
         snapshots_hourly, snapshots_last_position, snapshots_mean_position, interpolated_tracks, interpolated_max_gap,
-        lineitem_sightings, lineitem_sightings_all, planted_walks, planted_walks_all, embedding_tracks, dataset_size, core_objects, density_clusters,
-        density_clusters_by_snapshot, cluster_sizes, cluster_shapes, hausdorff_distances, link_decisions, rule_errors,
+        lineitem_sightings, planted_walks, embedding_tracks, dataset_size, core_objects, density_clusters,
+        density_clusters_by_snapshot, density_clusters_by_grid, cluster_sizes, cluster_shapes, hausdorff_distances, link_decisions, rule_errors,
         cover_links, closed_crowds, participators, aggregation_check, closed_aggregations, groups, evolution_edges,
         lineage_events, evolving_groups, average_length, pattern_counts, state_size, strict_crowds, gatherings,
-        test_and_divide, convoys, flocks, swarms, chain_depths, sector_homes, sector_balance, sector_kinds, sector_missed_links,
-        parallel_pairs, stream_groups, stream_evolution_edges, incremental_crowds_planted,
-        incremental_crowds_planted_all, sql_hausdorff, sweep_d, sweep_k_p, sweep_m_p, sweep_k_c, sweep_m_c, sweep_objects, ablation,
+        closed_gatherings, convoys, flocks, swarms, chain_depths, sector_homes, sector_balance, sector_kinds, sector_missed_links,
+        parallel_pairs, stream_groups, stream_evolution_edges, stream_closed_evolving_groups, closed_evolving_groups, evolving_families, incremental_crowds_planted,
+        sql_hausdorff, planted_recall_by_period, sweep_d, sweep_k_p, sweep_m_p, sweep_k_c, sweep_m_c, sweep_objects, ablation,
     )
 }
 QUERIES |= {
@@ -441,10 +506,12 @@ QUERIES |= {
     "prune_near_sound": _rule("near", "sound"),
     "aggregations_per_crowd": _aggregations("expr"),
     "aggregations_relational": _aggregations("relational"),
-    "planted_recall": _recall(8.0, 10, SAMPLE),
-    "planted_recall_no_gaps": _recall(8.0, 14, SAMPLE),
-    "planted_recall_all": _recall(8.0, 10),
-    "planted_recall_no_gaps_all": _recall(8.0, 14),
+    "planted_recall": _recall(8.0, 10),
+    "planted_recall_no_gaps": _recall(8.0, 14),
+    "planted_recall_published_distance": _recall(5.0, 10),
+    "planted_recall_no_gaps_published_distance": _recall(5.0, 14),
+    "planted_recall_strict": _recall_strict(8.0),
+    "planted_recall_strict_published_distance": _recall_strict(5.0),
 }
 
 
@@ -469,14 +536,15 @@ _T = f"floor((epoch_us(ts) - {tracks.EVENT_ORIGIN}) / {tracks.HOUR})::BIGINT"
 _XY = "t, obj_id, round(x, 6) AS x, round(y, 6) AS y"
 _MEMBER = "SELECT t, cluster_id, obj_id, is_core FROM member"
 _AGG = "SELECT agg_id, s_lo, s_hi, array_to_string(members, '-') AS members, size FROM agg"
+_DISTANCE = f"SELECT src, dst, round(sqrt(q), 6) AS distance FROM hausdorff WHERE q <= ({P.d}::DOUBLE * dt) * ({P.d}::DOUBLE * dt)"
 _LINK = sql("SELECT src, dst, dt FROM link", "link", P)
 _GROUPS = sql("SELECT win, group_id, size, n_aggs FROM grp", "grp", P)
 _EDGES = sql("SELECT win, src_group, dst_group, common, round(ratio, 6) AS ratio FROM evo", "evo", P)
-_WALKS = """SELECT t, k AS obj_id, abs((377 * a + (a % 5 + 1) * t) % 600 - 300) + s * ((k % 4) * 0.6::DOUBLE - 0.9::DOUBLE) AS x,
+_WALKS = f"""SELECT t, id AS obj_id, (id // {tracks.DISTRICT}) * {tracks.APART} + (abs((377 * a + (a % 5 + 1) * t) % 600 - 300) + s * ((k % 4) * 0.6::DOUBLE - 0.9::DOUBLE)) AS x,
           abs((911 * a + (a % 7 + 1) * t) % 600 - 300) + s * ((k * 7 + t) % 3 * 0.2::DOUBLE) AS y
         FROM (SELECT *, CASE WHEN g % 3 = 1 AND (t + g) % 9 = 4 THEN 20.0::DOUBLE ELSE 1.0::DOUBLE END AS s FROM (
           SELECT *, CASE WHEN g % 3 <> 2 THEN g ELSE 1000 + k END AS a, unnest(range(42)) AS t FROM (
-            SELECT c_custkey AS k, c_custkey // 4 AS g FROM customer WHERE c_custkey < 120)))"""
+            SELECT c_custkey AS id, c_custkey % {tracks.DISTRICT} AS k, c_custkey % {tracks.DISTRICT} // 4 AS g FROM customer)))"""
 _SECTOR = sector_steps(P, sectors.ring_count(PARTS), PARTS // sectors.ring_count(PARTS))
 
 
@@ -506,24 +574,20 @@ ORACLE_SQL: dict[str, str] = {
         "legs",
     ),
     "lineitem_sightings": """SELECT l_partkey AS obj_id, epoch_us(l_shipdate::TIMESTAMP) AS us, round(avg(s_acctbal::DOUBLE / 100), 6) AS x,
-        round(avg((s_nationkey * 4)::DOUBLE), 6) AS y FROM lineitem JOIN supplier ON s_suppkey = l_suppkey
-        WHERE l_shipdate >= TIMESTAMP '1996-01-01' AND l_shipdate < TIMESTAMP '1998-01-01' GROUP BY 1, 2""",
-    "planted_walks": """WITH base AS (SELECT c_custkey AS k, c_custkey // 4 AS g FROM customer WHERE c_custkey < 120),
-        rows AS (SELECT *, CASE WHEN g % 3 <> 2 THEN g ELSE 1000 + k END AS a, unnest(range(42)) AS t FROM base),
-        s AS (SELECT *, CASE WHEN g % 3 = 1 AND (t + g) % 9 = 4 THEN 20.0::DOUBLE ELSE 1.0::DOUBLE END AS s FROM rows)
-        SELECT t, k AS obj_id, round(abs((377 * a + (a % 5 + 1) * t) % 600 - 300) + s * ((k % 4) * 0.6::DOUBLE - 0.9::DOUBLE), 6) AS x,
-          round(abs((911 * a + (a % 7 + 1) * t) % 600 - 300) + s * ((k * 7 + t) % 3 * 0.2::DOUBLE), 6) AS y FROM s""",
+        round(avg((s_nationkey * 4)::DOUBLE), 6) AS y FROM lineitem JOIN supplier ON s_suppkey = l_suppkey GROUP BY 1, 2""",
+    "planted_walks": f"SELECT t, obj_id, round(x, 6) AS x, round(y, 6) AS y FROM ({_WALKS})",
     "embedding_tracks": """SELECT i::BIGINT AS t, vec_id AS obj_id, round(embedding[2 * i + 1]::DOUBLE, 6) AS x, round(embedding[2 * i + 2]::DOUBLE, 6) AS y
-        FROM embeddings, range(32) r(i)""",
+        FROM (SELECT *, unnest(range(len(embedding) // 2)) AS i FROM embeddings)""",
     "dataset_size": sql("SELECT count(*) AS points, count(DISTINCT obj_id) AS objects, count(DISTINCT t) AS snapshots FROM snap", "snap"),
     "core_objects": sql("SELECT t, obj_id FROM core", "core", P),
     "density_clusters": sql(_MEMBER, "member", P),
     "density_clusters_by_snapshot": sql(_MEMBER, "member", P),
+    "density_clusters_by_grid": sql(_MEMBER, "member", P),
     "cluster_sizes": sql("SELECT t, count(DISTINCT cluster_id) AS clusters, count(*) AS members FROM member GROUP BY t", "member", P),
     "cluster_shapes": sql(
         "SELECT cluster_id, t, n, " + ", ".join(_ROUND.format(c) for c in ("mx", "my", "r", "var", "minx", "maxx", "miny", "maxy")) + " FROM shape", "shape", P
     ),
-    "hausdorff_distances": sql("SELECT src, dst, round(sqrt(q), 6) AS distance FROM hausdorff JOIN link USING (src, dst)", "link", P),
+    "hausdorff_distances": sql(_DISTANCE, "hausdorff", P),
     "links": _LINK,
     "links_grid_index": _LINK,
     "links_no_index": _LINK,
@@ -589,6 +653,42 @@ ORACLE_SQL: dict[str, str] = {
             "outs": "SELECT group_id AS g, 1::BIGINT AS n FROM grp UNION SELECT e.src_group, o.n + 1 FROM outs o JOIN evo e ON e.dst_group = o.g",
         },
     ),
+    "strict_crowds": sql(f"SELECT crowd_id, n AS len FROM strict WHERE n >= {P.k_c}", "link", P, strict_steps()),
+    "gatherings": sql("SELECT crowd_id, hi - lo + 1 AS len FROM gathering WHERE lo = 1 AND hi = n", "link", P, strict_steps(3, 2, P.m_p)),
+    "closed_gatherings": sql(
+        """SELECT DISTINCT array_to_string(path[lo:hi], '-') AS crowd_id FROM gathering g WHERE NOT EXISTS (
+          SELECT 1 FROM gathering w WHERE w.crowd_id = g.crowd_id AND w.lo <= g.lo AND w.hi >= g.hi AND w.hi - w.lo > g.hi - g.lo)""",
+        "link",
+        P,
+        strict_steps(3, 2, P.m_p),
+    ),
+    "convoys": sql(
+        """SELECT array_to_string(objs, '-') AS objs, first_t, last_t FROM kept k WHERE NOT EXISTS (SELECT 1 FROM kept b
+          WHERE b.first_t <= k.first_t AND b.last_t >= k.last_t AND list_has_all(b.objs, k.objs)
+            AND (b.first_t < k.first_t OR b.last_t > k.last_t OR len(b.objs) > len(k.objs)))""",
+        "member",
+        P,
+        {
+            "held": "SELECT t, list(obj_id ORDER BY obj_id) AS objs FROM member GROUP BY t, cluster_id HAVING count(*) >= 3",
+            "live": """SELECT t AS first_t, t AS last_t, objs FROM held UNION
+              SELECT l.first_t, h.t, list_sort(list_intersect(l.objs, h.objs)) FROM live l JOIN held h ON h.t = l.last_t + 1
+              WHERE len(list_intersect(l.objs, h.objs)) >= 3""",
+            "kept": "SELECT DISTINCT * FROM live WHERE last_t - first_t >= 2",
+        },
+    ),
+    "sweep_objects": _union(
+        [
+            f"""SELECT {k / 5}::DOUBLE AS part, (SELECT count(DISTINCT obj_id) FROM ({{0}})) AS objects, (SELECT count(*) FROM ({{0}})) AS points,
+            (SELECT count(DISTINCT cluster_id) FROM ({sql("SELECT cluster_id FROM member", "member", P, snap=f"SELECT * FROM ({sql('SELECT * FROM snap', 'snap')}) WHERE obj_id % 5 < {k}")})) AS clusters"""
+            for k in range(1, 6)
+        ],
+        [sql(f"SELECT * FROM snap WHERE obj_id % 5 < {k}", "snap") for k in range(1, 6)],
+    ),
+    "ablation": _union(
+        [f"SELECT '{n}' AS off, count(*) AS pairs, count(*) FILTER (WHERE {{}}) AS exact, count(*) FILTER (WHERE is_link AND dt <= {P.max_gap}) AS links FROM pairs WHERE {w}" for n, w in
+         {"nothing": f"dt <= {P.max_gap} AND boxed", "index": f"dt <= {P.max_gap}", "pruning": f"dt <= {P.max_gap} AND boxed", "gap_bound": "boxed"}.items()],
+        ["NOT decided", "NOT decided", "true", "NOT decided"],
+    ),
     "link_decisions": sql(
         f"""SELECT decided_by, count(*) AS n, count(*) FILTER (WHERE is_link) AS linked, round(count(*) / sum(count(*)) OVER (), 6) AS share
         FROM (SELECT CASE WHEN {_RULES["far_hull"]} THEN 'far' WHEN {_RULES["near_sound"]} THEN 'near' ELSE 'exact' END AS decided_by,
@@ -606,7 +706,7 @@ ORACLE_SQL: dict[str, str] = {
         P,
     ),
     "cover_links": sql("SELECT src, dst, dt FROM cover", "cover", P),
-    "sql_hausdorff": sql("SELECT src, dst, round(sqrt(q), 6) AS distance FROM hausdorff JOIN link USING (src, dst)", "link", P),
+    "sql_hausdorff": sql(_DISTANCE, "hausdorff", P),
     "sweep_d": sql(
         f"SELECT d, count(*) AS pairs, count(*) FILTER (WHERE q <= (d * dt) ** 2) AS linked FROM hausdorff, (VALUES (2.0::DOUBLE), (3.0), (4.0), (5.0)) v(d) GROUP BY d",
         "hausdorff",
@@ -658,4 +758,54 @@ ORACLE_SQL: dict[str, str] = {
         "grp",
         P,
     ),
-} | {f"prune_{n}": sql(f"SELECT a.cluster_id AS src, b.cluster_id AS dst {_PAIRS} WHERE {c}", "shape", P) for n, c in _RULES.items()}
+}
+_DEPTHS = {
+    "ins": "SELECT group_id AS g, 1::BIGINT AS n FROM grp UNION SELECT e.dst_group, i.n + 1 FROM ins i JOIN evo e ON e.src_group = i.g",
+    "outs": "SELECT group_id AS g, 1::BIGINT AS n FROM grp UNION SELECT e.src_group, o.n + 1 FROM outs o JOIN evo e ON e.dst_group = o.g",
+    "deep": """SELECT group_id, win, (SELECT max(n) FROM ins i WHERE i.g = group_id) AS depth_in, (SELECT max(n) FROM outs o WHERE o.g = group_id) AS depth_out FROM grp""",
+}
+_CLOSED = sql(
+    f"""SELECT group_id, win - depth_in + 1 AS first_win, win AS last_win, depth_in AS n_windows FROM deep
+    WHERE depth_out = 1 AND depth_in >= {P.k_g} AND win < {{last}}""",
+    "evo",
+    P,
+    _DEPTHS,
+)
+ORACLE_SQL |= {
+    "closed_evolving_groups": _CLOSED.format(last="(SELECT max(win) FROM grp)"),
+    # the stream knows the last window even where it holds no group
+    "stream_closed_evolving_groups": _CLOSED.format(last=f"(SELECT max(t) - {P.w - 1} FROM shape)"),
+    "evolving_families": sql(
+        f"""SELECT min(m.group_id) AS family, count(*) AS n_groups, min(win) AS first_win, max(win) AS last_win, max(n) AS n_windows,
+          max(n) + {P.w - 1} AS n_timestamps, max(win) < (SELECT max(win) FROM grp) AS closed
+        FROM long m JOIN (SELECT g, min(other) AS low FROM tied GROUP BY g) ON g = m.group_id GROUP BY low""",
+        "evo",
+        P,
+        _DEPTHS
+        | {
+            "long": f"SELECT group_id, win, depth_in + depth_out - 1 AS n FROM deep WHERE depth_in + depth_out - 1 >= {P.k_g}",
+            "edge": """SELECT src_group AS a, dst_group AS b FROM evo WHERE src_group IN (SELECT group_id FROM long) AND dst_group IN (SELECT group_id FROM long)
+              UNION ALL SELECT dst_group, src_group FROM evo WHERE src_group IN (SELECT group_id FROM long) AND dst_group IN (SELECT group_id FROM long)""",
+            "tied": "SELECT group_id AS g, group_id AS other FROM long UNION SELECT t.g, b.b FROM tied t JOIN edge b ON b.a = t.other",
+        },
+    ),
+}
+ORACLE_SQL["ablation"] = sql(
+    ORACLE_SQL["ablation"],
+    "link",
+    P,
+    {
+        "pairs": f"""SELECT b.t - a.t AS dt, {_RULES["far_hull"]} OR {_RULES["near_sound"]} AS decided,
+          EXISTS (SELECT 1 FROM link l WHERE l.src = a.cluster_id AND l.dst = b.cluster_id) AS is_link,
+          abs(floor(a.minx / {_LIMIT}) - floor(b.minx / {_LIMIT})) <= 1 AND abs(floor(a.miny / {_LIMIT}) - floor(b.miny / {_LIMIT})) <= 1 AS boxed
+          FROM shape a JOIN shape b ON b.t > a.t AND b.t - a.t < {P.w}"""
+    },
+)
+ORACLE_SQL |= {
+    name: recall_sql(PLANTED.but(d=d, k_c=k_c), _WALKS, tracks.DISTRICT)
+    for name, d, k_c in (
+        ("planted_recall", 8.0, 10), ("planted_recall_no_gaps", 8.0, 14),
+        ("planted_recall_published_distance", 5.0, 10), ("planted_recall_no_gaps_published_distance", 5.0, 14),
+    )
+}
+ORACLE_SQL |= {f"prune_{n}": sql(f"SELECT a.cluster_id AS src, b.cluster_id AS dst {_PAIRS} WHERE {c}", "shape", P) for n, c in _RULES.items()}

@@ -68,10 +68,10 @@ def sizes(shape: DataFrame, link: DataFrame, settings: list[Params]) -> DataFram
 
 
 def objects(snap: DataFrame, p: Params, n: int) -> DataFrame:
-    """``part, objects, points, clusters`` for the objects of the first ``part`` of ``n`` hash classes."""
+    """``part, objects, points, clusters`` for the objects of the first ``part`` of ``n`` classes of ids."""
 
     def one(k: int) -> DataFrame:
-        some = snap.filter(F.pmod(F.xxhash64("obj_id"), F.lit(n)) < k)
+        some = snap.filter(F.col("obj_id") % n < k)
         found = density.keep_large(density.cluster(some, p.eps, p.min_pts, plan="auto"), p.m_c)
         size = some.agg(F.count_distinct("obj_id").alias("objects"), F.count("*").alias("points"))
         clusters = found.agg(F.count_distinct("cluster_id").alias("clusters"))

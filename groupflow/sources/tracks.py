@@ -28,11 +28,9 @@ def hourly_events(spark: SparkSession, sf_dir: str) -> DataFrame:
     return snapshots.interpolate(event_fixes(spark, sf_dir), HOUR, EVENT_ORIGIN)
 
 
-def lineitem_fixes(spark: SparkSession, sf_dir: str, whole: bool = True) -> DataFrame:
-    """Parts seen at the place of their supplier on their ship dates, of all years or of 1996 and 1997; sightings of one instant averaged."""
+def lineitem_fixes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Parts seen at the place of their supplier on their ship dates; sightings of one instant averaged."""
     lines = load(spark, sf_dir, "lineitem").select("l_partkey", "l_suppkey", F.col("l_shipdate").cast("timestamp").alias("ts"))
-    if not whole:
-        lines = lines.filter("ts >= timestamp'1996-01-01' and ts < timestamp'1998-01-01'")
     places = load(spark, sf_dir, "supplier").select(
         F.col("s_suppkey").alias("l_suppkey"),
         (F.col("s_acctbal").cast("double") / 100).alias("px"),
@@ -46,53 +44,57 @@ def lineitem_fixes(spark: SparkSession, sf_dir: str, whole: bool = True) -> Data
     )
 
 
-def weekly_lineitems(spark: SparkSession, sf_dir: str, first: int = 30, last: int = 81) -> DataFrame:
-    """Weekly interpolated positions of parts, in the weeks in which most parts have been seen."""
-    fixes = lineitem_fixes(spark, sf_dir, whole=False)
+def weekly_lineitems(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Weekly interpolated positions of parts, over all weeks."""
+    fixes = lineitem_fixes(spark, sf_dir)
     low = fixes.agg(F.min(F.unix_micros("ts")).alias("low")).first()["low"] or 0
-    return snapshots.interpolate(fixes, WEEK, low // WEEK * WEEK).filter(F.col("t").between(first, last))
+    return snapshots.interpolate(fixes, WEEK, low // WEEK * WEEK)
 
 
 def _triangle(v):
     return F.abs(v % 600 - 300)
 
 
-def _customers(spark: SparkSession, sf_dir: str, n: int | None) -> DataFrame:
-    customers = load(spark, sf_dir, "customer")
-    return customers if n is None else customers.filter(F.col("c_custkey") < n)
+#: Customers of one district, and the distance of districts.
+DISTRICT = 120
+APART = 10_000
 
 
-def planted_walks(spark: SparkSession, sf_dir: str, n: int | None = None, length: int = 42) -> DataFrame:
-    """Walks of all customers, or of those below ``n``, in planted groups of four; two of three groups walk
-    together, some with brief separations."""
-    k = F.col("c_custkey")
-    base = _customers(spark, sf_dir, n).select(k.alias("obj_id"), (k / 4).cast("long").alias("g"))
-    base = base.withColumn("a", F.when(F.col("g") % 3 != 2, F.col("g")).otherwise(F.col("obj_id") + 1000))
+def planted_walks(spark: SparkSession, sf_dir: str, length: int = 42) -> DataFrame:
+    """Walks of all customers in planted groups of four; two of three groups walk together, some with brief separations.
+
+    Customers walk in districts of 120, each on a ground of its own, so that the crowd stays as dense however many they are.
+    """
+    k = F.col("c_custkey") % DISTRICT
+    base = load(spark, sf_dir, "customer").select(
+        F.col("c_custkey").alias("obj_id"), k.alias("k"), F.floor(k / 4).alias("g"), F.floor(F.col("c_custkey") / DISTRICT).alias("district")
+    )
+    base = base.withColumn("a", F.when(F.col("g") % 3 != 2, F.col("g")).otherwise(F.col("k") + 1000))
     rows = base.withColumn("t", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(length - 1).cast("long"))))
-    a, t, o = F.col("a"), F.col("t"), F.col("obj_id")
+    a, t, o = F.col("a"), F.col("t"), F.col("k")
     s = F.when((F.col("g") % 3 == 1) & ((t + F.col("g")) % 9 == 4), 20.0).otherwise(1.0)
     return rows.select(
         "t",
         "obj_id",
-        (_triangle(a * 377 + (a % 5 + 1) * t) + s * ((o % 4) * 0.6 - 0.9)).alias("x"),
+        (F.col("district") * APART + (_triangle(a * 377 + (a % 5 + 1) * t) + s * ((o % 4) * 0.6 - 0.9))).alias("x"),
         (_triangle(a * 911 + (a % 7 + 1) * t) + s * ((o * 7 + t) % 3 * 0.2)).alias("y"),
     )
 
 
-def planted_truth(spark: SparkSession, sf_dir: str, n: int | None = None) -> DataFrame:
-    """``group_id, members`` of the planted groups that walk together."""
+def planted_truth(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """``district, group_id, members`` of the planted groups that walk together."""
     k = F.col("c_custkey")
     return (
-        _customers(spark, sf_dir, n)
-        .groupBy((k / 4).cast("long").alias("group_id"))
+        load(spark, sf_dir, "customer")
+        .groupBy(F.floor(k / DISTRICT).alias("district"), F.floor(k / 4).alias("group_id"))
         .agg(F.sort_array(F.collect_list(k)).alias("members"))
-        .filter("group_id % 3 <> 2")
+        .filter(F.floor((F.col("group_id") * 4) % DISTRICT / 4) % 3 != 2)
     )
 
 
 def embedding_tracks(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Pairs of components as 32 positions: a negative control without groups."""
-    rows = load(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("obj_id"), "embedding")
-    at = rows.withColumn("t", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(31).cast("long"))))
+    """Pairs of components as positions one after another: a negative control without groups."""
+    rows = load(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("obj_id"), "embedding").filter(F.size("embedding") > 1)
+    at = rows.withColumn("t", F.explode(F.sequence(F.lit(0).cast("long"), F.floor(F.size("embedding") / 2) - 1)))
     part = lambda k: F.get("embedding", (F.col("t") * 2 + k).cast("int")).cast("double")
     return at.select("t", "obj_id", part(0).alias("x"), part(1).alias("y"))

@@ -16,10 +16,15 @@ _LOCAL_DEFAULT: dict[str, str] = {}
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The cluster's shared scratch folder; a temporary one only where none is configured."""
+    """The cluster's shared scratch folder; a temporary one only in local mode, where none is configured.
+
+    A cluster without the setting is an error: its executors do not share a machine's temporary folder.
+    """
     named = spark.conf.get("spark.checkpoint.dir", None)
     if named:
         return named.rstrip("/")
+    if not spark.sparkContext.master.startswith("local"):
+        raise RuntimeError("spark.checkpoint.dir names no shared folder")
     app = spark.sparkContext.applicationId
     if app not in _LOCAL_DEFAULT:
         _LOCAL_DEFAULT[app] = "file://" + tempfile.mkdtemp(prefix="groupflow-")
@@ -40,12 +45,15 @@ def materialize(df: DataFrame, name: str = "stage") -> DataFrame:
     return out
 
 
+def release_path(spark: SparkSession, path: str) -> None:
+    """Delete a folder of shared storage, if it is there."""
+    target = spark._jvm.org.apache.hadoop.fs.Path(path)
+    target.getFileSystem(spark._jsc.hadoopConfiguration()).delete(target, True)
+
+
 def release(*frames: DataFrame | None) -> None:
     """Delete scratch tables made by :func:`materialize` that no later plan reads."""
     for df in frames:
         path = getattr(df, "_scratch_path", None)
         if path:
-            spark = df.sparkSession
-            jvm = spark._jvm
-            target = jvm.org.apache.hadoop.fs.Path(path)
-            target.getFileSystem(spark._jsc.hadoopConfiguration()).delete(target, True)
+            release_path(df.sparkSession, path)

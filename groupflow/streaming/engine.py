@@ -1,8 +1,9 @@
 """The method on a stream of positions.
 
 Every micro-batch holds whole timestamps, later than those before. What a batch needs of the past are the clusters
-and links of one window and the groups of the last window: bounded by the window, not by the stream. Both state and
-results are written under the batch's number, and a batch that is run again overwrites its own files only.
+and links of one window, the groups of the last window and the open chains that end with them: bounded by the window, not by
+the stream. New clusters are compared with ending ones only. State and results are written under the batch's
+number, a batch that is run again overwrites its own files only, and state older than the batch before is deleted.
 """
 
 from __future__ import annotations
@@ -17,7 +18,7 @@ from groupflow.operators import chains, incremental, links, peel
 from groupflow.operators.chains import time_of
 from groupflow.params import Params
 from groupflow.plans.pipeline import clusters
-from groupflow.storage import materialize, release, scratch_path
+from groupflow.storage import materialize, release, release_path, scratch_path
 
 SNAP = "t long, obj_id long, x double, y double"
 GROUP = "win long, group_id string, members array<long>, size int, n_aggs long"
@@ -27,6 +28,9 @@ SHAPE = (
     "objs array<long>, pts array<struct<x: double, y: double>>"
 )
 LINK = "src long, dst long, dt int, decided_by string"
+OPEN = "win long, group_id string, since long"
+CLOSED = "group_id string, first_win long, last_win long, n_windows long"
+_STATE = ("shape", "link", "last_groups", "open")
 
 
 @dataclass(frozen=True)
@@ -65,15 +69,18 @@ class GroupStream:
         shape, link = old.unionByName(new), self._read(spark, "link", number - 1, LINK)
         last = self._read(spark, "last_groups", number - 1, GROUP)
         group, evo = spark.createDataFrame([], GROUP), spark.createDataFrame([], EVO)
+        open_, closed, held = self._read(spark, "open", number - 1, OPEN), spark.createDataFrame([], CLOSED), [member, new]
         if ends["lo"] is not None:
             shape = shape.filter(F.col("t") >= since)
-            fresh = links.build(shape, p).filter(time_of(F.col("dst")) >= ends["lo"])
+            fresh = links.build(shape, p, since=ends["lo"])
             link = materialize(link.filter(time_of(F.col("src")) >= since).unionByName(fresh), "link")
             crowd = chains.closed_crowds(shape, chains.cover(link), p, span=(since, ends["hi"]))
             windows = materialize(peel.closed(peel.by_window(peel.peel(crowd, shape, p))), "windows")
             group = materialize(peel.groups(windows), "group")
-            evo = incremental.lineage_step(last, group, p.m_g)
+            evo = materialize(incremental.lineage_step(last, group, p.m_g), "evo")
+            open_, closed = incremental.chain_step(open_, group, evo, p.k_g, ends["hi"] - p.w + 1)
             last = group.filter(F.col("win") == ends["hi"] - p.w + 1)
+            held += [link, crowd, windows, group, evo]
         keep = now["last"] - p.w + 2 if now["last"] is not None else 0
         tables = {
             "shape": shape.filter(F.col("t") >= keep),
@@ -81,15 +88,24 @@ class GroupStream:
             "last_groups": last,
             "groups": group,
             "evolution": evo,
+            "open": open_,
+            "closed": closed,
         }
         for name, df in tables.items():
             df.write.mode("overwrite").parquet(self._path(name, number))
         spark.createDataFrame([(json.dumps(now),)], "value string").coalesce(1).write.mode("overwrite").text(self._path("range", number))
-        release(member, new)
+        release(*held)
+        if number > 1:
+            for name in _STATE:
+                release_path(spark, self._path(name, number - 2))
 
     def groups(self, spark: SparkSession) -> DataFrame:
         return spark.read.schema(GROUP).parquet(f"{self.out}/groups").drop("batch")
 
+    def closed(self, spark: SparkSession) -> DataFrame:
+        """Evolving groups that came to their end, by their last group."""
+        return spark.read.schema(CLOSED).parquet(f"{self.out}/closed").drop("batch")
+
     def evolution(self, spark: SparkSession) -> DataFrame:
         return spark.read.schema(EVO).parquet(f"{self.out}/evolution").drop("batch")
 

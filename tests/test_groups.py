@@ -94,7 +94,7 @@ def test_gathering(spark):
     shape = shapes.summarize(member_of(spark, p3))
     crowd = baselines.strict_crowds(shape, links.build(shape, Params(d=1.0)), 3)
     assert baselines.gatherings(crowd, shape, 2, 3).count() == 1
-    assert baselines.test_and_divide(crowd, shape, 3, 2, 3).count() == 1
+    assert baselines.cut_at_invalid(crowd, shape, 3, 2, 3).count() == 1
     assert baselines.gatherings(crowd, shape, 3, 3).count() == 0
 
 

@@ -6,7 +6,7 @@ import pytest
 from pyspark.sql import functions as F
 from test_groups import crowds_of, member_of
 
-from groupflow.operators import baselines, incremental, lineage, peel, shapes
+from groupflow.operators import baselines, incremental, lineage, links, peel, shapes
 from groupflow.operators.density import ID_BASE
 from groupflow.params import Params
 from groupflow.plans.pipeline import discover
@@ -87,8 +87,21 @@ def test_stream_equals_batch_and_repeats(spark, tmp_path):
     assert key(sink.groups(spark)) == key(found.group) and found.group.count() > 3
     edges = lambda df: sorted((r["src_group"], r["dst_group"], r["common"]) for r in df.collect())
     assert edges(sink.evolution(spark)) == edges(found.evo)
+    deep = lineage.depths(found.group, found.evo).filter("depth_out = 1 and depth_in >= 2")
+    want = {(r["group_id"], r["win"], r["depth_in"]) for r in deep.collect() if r["win"] < 11 - p.w + 1}
+    assert {(r["group_id"], r["last_win"], r["n_windows"]) for r in sink.closed(spark).collect()} == want and want
     with pytest.raises(ValueError):
         sink.batch(snap.filter("t = 3"), 3)
+    # state of the last two batches only
+    assert sorted(x.name for x in (tmp_path / "out/shape").iterdir() if x.name.startswith("batch=")) == ["batch=1", "batch=2"]
+
+
+def test_a_step_compares_new_with_ending_clusters(spark):
+    clusters = [(t, [(10 * i, float(i), 0.0)]) for t in range(6) for i in range(4)]
+    shape = materialize(shapes.summarize(member_of(spark, clusters)))
+    p = Params(w=5, k_c=3, d=1.5, m_c=1, k_p=1, m_p=1)
+    pairs = links.candidates(shape, p, "none", since=5).select("a.t", F.col("b.t").alias("u")).collect()
+    assert len(pairs) == 4 * 4 * p.max_gap and {r["u"] for r in pairs} == {5} and {r["t"] for r in pairs} == {2, 3, 4}
 
 
 def test_stream_without_rows(spark, tmp_path):
