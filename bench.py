@@ -31,9 +31,10 @@ def main() -> None:
         .getOrCreate()
     )
     spark.sparkContext.setLogLevel("ERROR")
-    from groupflow.operators import chains, density, lineage, links, peel
+    from groupflow.operators import baselines, chains, density, lineage, links, peel
     from groupflow.params import Params
-    from groupflow.plans.pipeline import clusters
+    from groupflow.plans import experiments
+    from groupflow.plans.pipeline import clusters, discover
     from groupflow.sources import tracks
     from groupflow.storage import materialize
 
@@ -63,14 +64,19 @@ def main() -> None:
     windows = timed("closure", lambda: materialize(peel.closed(peel.by_window(agg)), "windows"))
     group = timed("groups", lambda: materialize(peel.groups(windows), "group"))
     evo = timed("evolution", lambda: materialize(lineage.edges(group, p.m_g), "evo"))
-    # listed chains multiply with splits and merges: over the whole range there are tens of millions
-    part = F.col("win").between(100, 128)
-    timed("evolving_groups", lambda: lineage.chains(group.filter(part), evo.filter(part & (F.col("win") < 128)), p.k_g, p.w).count())
-    timed("clusters_grid", lambda: density.cluster(snap, p.eps, p.min_pts, plan="grid").count())
+    # families of long-lived groups over the whole range: listed chains multiply with splits and merges, families do not
+    family = timed("evolving_groups", lambda: materialize(lineage.families(group, evo, p.k_g, p.w), "family"))
+    # beside the phases: the other cluster plan, the competitors, and growing numbers of objects
+    if os.environ.get("BENCH_EXPERIMENTS", "1") != "0":
+        timed("strict_crowds", lambda: baselines.strict_crowds(shape, link, p.k_c).count())
+        timed("cut_at_invalid", lambda: baselines.cut_at_invalid(crowd, shape, p.k_c, p.k_p, p.m_p).count())
+        timed("clusters_grid", lambda: density.cluster(snap, p.eps, p.min_pts, plan="grid").count())
+        for part, some, q in experiments.objects(snap, p, 2)[:1]:
+            timed(f"all_phases_{part:g}_of_objects", lambda some=some, q=q: discover(some, q).evo.count())
     n = snap.agg((F.max("t") - F.min("t") + 2 - p.w).alias("n")).first()["n"]
     steps = ("clusters", "links_box", "cover", "closed_crowds", "peel", "closure", "groups", "evolution", "evolving_groups")
     whole = sum(times[s] for s in steps)
-    info |= {"windows": n, "ms_per_window": round(1000 * whole / n, 1), "clusters": shape.count(), "links": link.count(), "crowds": crowd.count(), "groups": group.count(), "evolution_edges": evo.count()}
+    info |= {"windows": n, "ms_per_window": round(1000 * whole / n, 1), "clusters": shape.count(), "links": link.count(), "crowds": crowd.count(), "groups": group.count(), "evolution_edges": evo.count(), "evolving_groups": family.count()}
     print(
         json.dumps({"metric": "moving groups, all phases", "value": round(whole, 3), "unit": "sec", "queries": times, "sf": SF.rsplit("sf", 1)[-1], **info})
     )

@@ -32,18 +32,26 @@ def emerging(groups: DataFrame, evo: DataFrame) -> DataFrame:
 
 
 def events(groups: DataFrame, evo: DataFrame) -> DataFrame:
-    """``group_id, win, size, n_in, n_out, starts, ends, splits, merges`` for each group."""
+    """``group_id, win, size, n_in, n_out, starts, ends, splits, merges, grows, shrinks`` for each group.
+
+    A group grows or shrinks that continues just one, with more or fewer objects.
+    """
     out = evo.groupBy(F.col("src_group").alias("group_id")).agg(F.count("*").alias("n_out"))
-    into = evo.groupBy(F.col("dst_group").alias("group_id")).agg(F.count("*").alias("n_in"))
+    before = evo.join(groups.select(F.col("group_id").alias("src_group"), F.col("size").alias("was")), "src_group")
+    into = before.groupBy(F.col("dst_group").alias("group_id")).agg(F.count("*").alias("n_in"), F.max("was").alias("was"))
     n = lambda c: F.coalesce(c, F.lit(0))
+    one = F.coalesce(F.col("n_in") == 1, F.lit(False))
     return (
         groups.join(out, "group_id", "left")
         .join(into, "group_id", "left")
-        .select("group_id", "win", "size", n("n_in").alias("n_in"), n("n_out").alias("n_out"))
+        .select("group_id", "win", "size", n("n_in").alias("n_in"), n("n_out").alias("n_out"), "was")
         .withColumns(
-            {"starts": F.col("n_in") == 0, "ends": F.col("n_out") == 0, "splits": F.col("n_out") > 1, "merges": F.col("n_in") > 1}
+            {"starts": F.col("n_in") == 0, "ends": F.col("n_out") == 0, "splits": F.col("n_out") > 1, "merges": F.col("n_in") > 1,
+             "grows": one & (F.col("size") > F.col("was")), "shrinks": one & (F.col("size") < F.col("was"))}
         )
-    )
+        .withColumns({"grows": F.coalesce("grows", F.lit(False)), "shrinks": F.coalesce("shrinks", F.lit(False))})
+        .drop("was")
+    )
 
 
 def chains(groups: DataFrame, evo: DataFrame, k_g: int, w: int, max_paths: int = 10_000_000) -> DataFrame:

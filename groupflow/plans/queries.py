@@ -9,13 +9,13 @@ from __future__ import annotations
 from collections.abc import Callable
 from functools import wraps
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from groupflow.functions import hausdorff, pruning
-from groupflow.operators import baselines, density, incremental, lineage, links, patterns, peel, sectors, snapshots
+from groupflow.operators import baselines, chains, density, incremental, lineage, links, patterns, peel, sectors, snapshots
 from groupflow.params import Params
-from groupflow.plans import measures, surface, sweeps
+from groupflow.plans import experiments, measures, surface, sweeps
 from groupflow.plans.oracles import recall_sql, sector_steps, sql, strict_steps
 from groupflow.plans.pipeline import Discovery, clusters, discover
 from groupflow.sources import tracks
@@ -100,7 +100,7 @@ def lineitem_sightings(spark, sf_dir):
 
 
 def dataset_size(spark, sf_dir):
-    return measures.describe(_snap(spark, sf_dir))
+    return measures.describe(_snap(spark, sf_dir)).withColumn("distance", F.round("distance", 3))
 
 
 def core_objects(spark, sf_dir):
@@ -242,6 +242,106 @@ def pattern_counts(spark, sf_dir):
     return measures.pattern_counts(_chains(spark, sf_dir).select(F.col("first_win").alias("t")))
 
 
+def pattern_cube(spark, sf_dir):
+    """Counts by period and day type with all totals."""
+    return measures.by_period(pattern_counts(spark, sf_dir))
+
+
+def _days(spark, sf_dir) -> DataFrame:
+    """Days of each type that the snapshots cover."""
+    day = _snap(spark, sf_dir).select(F.floor(F.col("t") / 24).alias("d")).distinct()
+    kind = F.when(F.dayofweek(F.date_add(F.lit("2024-01-01").cast("date"), F.col("d").cast("int"))).isin(1, 7), "weekend").otherwise("workday")
+    return day.groupBy(kind.alias("day_type")).agg(F.count("*").alias("days"))
+
+
+def pattern_counts_per_day(spark, sf_dir):
+    """Evolving groups and strict gatherings that start in each period, in all and for a day."""
+    found = _all(spark, sf_dir)
+    crowd = baselines.cut_at_invalid(baselines.strict_crowds(found.shape, found.link, 3), found.shape, 3, 2, P.m_p)
+    strict = measures.pattern_counts(crowd.select(F.shiftright(F.element_at("path", 1), 32).alias("t")))
+    both = pattern_counts(spark, sf_dir).withColumn("pattern", F.lit("evolving")).unionByName(strict.withColumn("pattern", F.lit("strict")))
+    mean = F.round(F.col("n") / F.col("days"), 6).alias("per_day")
+    return both.join(F.broadcast(_days(spark, sf_dir)), "day_type").select("pattern", "period", "day_type", "n", mean)
+
+
+def average_length_at_equal_counts(spark, sf_dir):
+    """Mean length of as many evolving groups as there are strict crowds of a window's length or more, longest first."""
+    found = _all(spark, sf_dir)
+    strict = baselines.strict_crowds(found.shape, found.link, P.w).agg(F.count("*").alias("n"))
+    cut = measures.equal_cut(_chains(spark, sf_dir), strict)
+    return cut.select(F.col("k_g").cast("long").alias("k_g"), F.col("n").cast("long").alias("n"), *_r("avg_timestamps"))
+
+
+def window_sizes(spark, sf_dir):
+    found = _all(spark, sf_dir)
+    return measures.window_sizes(found.shape, found.link, found.crowd, found.group, P.w)
+
+
+#: Windows of the registered case study.
+CASE = (300, 323)
+
+
+def case_graph_nodes(spark, sf_dir):
+    found = _all(spark, sf_dir)
+    nodes, _ = measures.case_graph(found.group, found.evo, lineage.depths(found.group, found.evo), *CASE)
+    return nodes.select("group_id", "win", F.col("size").cast("long").alias("size"), F.col("life").cast("long").alias("life"), _text("members").alias("members"))
+
+
+def case_graph_edges(spark, sf_dir):
+    found = _all(spark, sf_dir)
+    return measures.case_graph(found.group, found.evo, lineage.depths(found.group, found.evo), *CASE)[1]
+
+
+def largest_groups(spark, sf_dir):
+    """The three largest groups of each window."""
+    order = Window.partitionBy("win").orderBy(F.desc("size"), "group_id")
+    ranked = _all(spark, sf_dir).group.select("win", "group_id", F.col("size").cast("long").alias("size"), F.row_number().over(order).cast("long").alias("place"))
+    return ranked.filter("place <= 3")
+
+
+def cost_model(spark, sf_dir):
+    found = _all(spark, sf_dir)
+    decided = links.decide(links.candidates(found.shape, P, "none"), found.shape, P)
+    predicted = measures.cost_model(measures.cost_stats(decided, found.shape, found.crowd, P.w), P, PARTS, sectors.ring_count(PARTS))
+    return predicted.select(*[F.round(c, 3).alias(c) for c in predicted.columns])
+
+
+def closed_crowds_without_gaps(spark, sf_dir):
+    """Closed crowds where a crowd has a cluster at every timestamp of its window."""
+    found, p = _all(spark, sf_dir), P.but(k_c=P.w)
+    crowd = chains.closed_crowds(found.shape, chains.cover(links.build(found.shape, p)), p)
+    return crowd.select("crowd_id", F.col("len").cast("long").alias("len"), "s_lo", "s_hi")
+
+
+def parallel_differences(spark, sf_dir):
+    """Groups that the method by space parts, or by random distribution, finds otherwise than the serial one: none."""
+    snap = _snap(spark, sf_dir)
+    serial, out = _all(spark, sf_dir).group.select("win", "group_id"), None
+    for method in ("sector", "random"):
+        found = discover(snap, P, index=method, n_parts=PARTS).group.select("win", "group_id")
+        one = found.exceptAll(serial).unionByName(serial.exceptAll(found)).agg(F.count("*").alias("differences")).select(F.lit(method).alias("method"), "differences")
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+def experiment_times(spark, sf_dir):
+    """Seconds and answers of the methods beside their competitors, for each value of a parameter."""
+    found, snap = _all(spark, sf_dir), _snap(spark, sf_dir)
+    p = P.but(w=8, k_c=6, k_p=5)
+    parts = [
+        experiments.crowd_step(found.shape, "k_c", [(k, p.but(k_c=k)) for k in (6, 7, 8)]),
+        experiments.verifier(found.crowd, found.shape, "k_p", [(k, P.but(k_p=k)) for k in (2, 4)]),
+        experiments.verifier(found.crowd, found.shape, "m_p", [(m, P.but(m_p=m)) for m in (2, 5)]),
+        experiments.whole(snap, "objects", experiments.objects(snap, P, 2)),
+        experiments.whole(snap, "d", [(d, snap, P.but(d=d)) for d in (3.0, 5.0)]),
+        experiments.space_parts(found.shape, P, (2, 8)),
+    ]
+    out = parts[0]
+    for part in parts[1:]:
+        out = out.unionByName(part)
+    return measures.speedup(out, "serial")
+
+
 def state_size(spark, sf_dir):
     found = _all(spark, sf_dir)
     return measures.state_size(found.shape, found.link, found.crowd, found.group)
@@ -488,7 +588,8 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
         lineitem_sightings, planted_walks, embedding_tracks, dataset_size, core_objects, density_clusters,
         density_clusters_by_snapshot, density_clusters_by_grid, cluster_sizes, cluster_shapes, hausdorff_distances, link_decisions, rule_errors,
         cover_links, closed_crowds, participators, aggregation_check, closed_aggregations, groups, evolution_edges,
-        lineage_events, evolving_groups, average_length, pattern_counts, state_size, strict_crowds, gatherings,
+        lineage_events, evolving_groups, average_length, pattern_counts, pattern_cube, pattern_counts_per_day, average_length_at_equal_counts, window_sizes,
+        case_graph_nodes, case_graph_edges, largest_groups, cost_model, closed_crowds_without_gaps, parallel_differences, experiment_times, state_size, strict_crowds, gatherings,
         closed_gatherings, convoys, flocks, swarms, chain_depths, sector_homes, sector_balance, sector_kinds, sector_missed_links,
         parallel_pairs, stream_groups, stream_evolution_edges, stream_closed_evolving_groups, closed_evolving_groups, evolving_families, incremental_crowds_planted,
         sql_hausdorff, planted_recall_by_period, sweep_d, sweep_k_p, sweep_m_p, sweep_k_c, sweep_m_c, sweep_objects, ablation,
@@ -532,6 +633,10 @@ _RULES = {
     "near_printed": f"{_BETWEEN} + greatest(a.r, b.r) <= {_LIMIT}",
     "near_sound": f"greatest(({_BETWEEN} + a.r) ** 2 + b.var, ({_BETWEEN} + b.r) ** 2 + a.var) <= {_LIMIT} ** 2 * (1 - 1e-9)",
 }
+_COUNTS = """SELECT period, day_type, count(*) AS n FROM (SELECT CASE WHEN {t} % 24 BETWEEN 7 AND 9 THEN '07-10' WHEN {t} % 24 BETWEEN 10 AND 12 THEN '10-13'
+          WHEN {t} % 24 BETWEEN 13 AND 15 THEN '13-16' WHEN {t} % 24 BETWEEN 16 AND 19 THEN '16-20' END AS period,
+          CASE WHEN dayofweek(TIMESTAMP '2024-01-01' + to_hours({t})) IN (0, 6) THEN 'weekend' ELSE 'workday' END AS day_type FROM {source})
+        WHERE period IS NOT NULL GROUP BY ALL"""
 _T = f"floor((epoch_us(ts) - {tracks.EVENT_ORIGIN}) / {tracks.HOUR})::BIGINT"
 _XY = "t, obj_id, round(x, 6) AS x, round(y, 6) AS y"
 _MEMBER = "SELECT t, cluster_id, obj_id, is_core FROM member"
@@ -578,7 +683,11 @@ ORACLE_SQL: dict[str, str] = {
     "planted_walks": f"SELECT t, obj_id, round(x, 6) AS x, round(y, 6) AS y FROM ({_WALKS})",
     "embedding_tracks": """SELECT i::BIGINT AS t, vec_id AS obj_id, round(embedding[2 * i + 1]::DOUBLE, 6) AS x, round(embedding[2 * i + 2]::DOUBLE, 6) AS y
         FROM (SELECT *, unnest(range(len(embedding) // 2)) AS i FROM embeddings)""",
-    "dataset_size": sql("SELECT count(*) AS points, count(DISTINCT obj_id) AS objects, count(DISTINCT t) AS snapshots FROM snap", "snap"),
+    "dataset_size": sql(
+        """SELECT count(*) AS points, count(DISTINCT obj_id) AS objects, count(DISTINCT t) AS snapshots, round(sum(step), 3) AS distance FROM (
+          SELECT *, sqrt((x - lag(x) OVER o) ** 2 + (y - lag(y) OVER o) ** 2) AS step FROM snap WINDOW o AS (PARTITION BY obj_id ORDER BY t))""",
+        "snap",
+    ),
     "core_objects": sql("SELECT t, obj_id FROM core", "core", P),
     "density_clusters": sql(_MEMBER, "member", P),
     "density_clusters_by_snapshot": sql(_MEMBER, "member", P),
@@ -736,8 +845,10 @@ ORACLE_SQL: dict[str, str] = {
     "stream_evolution_edges": _EDGES,
     "incremental_crowds_planted": sql("SELECT unnest(generate_series(s_lo, s_hi)) AS win, crowd_id FROM crowd", "crowd", PLANTED_SMALL, snap=_WALKS),
     "lineage_events": sql(
-        """SELECT group_id, win, size, n_in, n_out, n_in = 0 AS starts, n_out = 0 AS ends, n_out > 1 AS splits, n_in > 1 AS merges
-        FROM (SELECT *, (SELECT count(*) FROM evo WHERE src_group = group_id) AS n_out, (SELECT count(*) FROM evo WHERE dst_group = group_id) AS n_in FROM grp)""",
+        """SELECT group_id, win, size, n_in, n_out, n_in = 0 AS starts, n_out = 0 AS ends, n_out > 1 AS splits, n_in > 1 AS merges,
+          coalesce(n_in = 1 AND size > was, false) AS grows, coalesce(n_in = 1 AND size < was, false) AS shrinks
+        FROM (SELECT *, (SELECT count(*) FROM evo WHERE src_group = group_id) AS n_out, (SELECT count(*) FROM evo WHERE dst_group = group_id) AS n_in,
+          (SELECT max(s.size) FROM evo e JOIN grp s ON s.group_id = e.src_group WHERE e.dst_group = g.group_id) AS was FROM grp g)""",
         "evo",
         P,
     ),
@@ -745,13 +856,58 @@ ORACLE_SQL: dict[str, str] = {
     "average_length": sql(
         "SELECT count(*) AS n, round(avg(n_timestamps), 6) AS avg_timestamps, max(n_timestamps) AS max_timestamps FROM chain", "chain", P
     ),
-    "pattern_counts": sql(
-        """SELECT period, day_type, count(*) AS n FROM (SELECT CASE WHEN first_win % 24 BETWEEN 7 AND 9 THEN '07-10' WHEN first_win % 24 BETWEEN 10 AND 12 THEN '10-13'
-          WHEN first_win % 24 BETWEEN 13 AND 15 THEN '13-16' WHEN first_win % 24 BETWEEN 16 AND 19 THEN '16-20' END AS period,
-          CASE WHEN dayofweek(TIMESTAMP '2024-01-01' + to_hours(first_win)) IN (0, 6) THEN 'weekend' ELSE 'workday' END AS day_type FROM chain)
-        WHERE period IS NOT NULL GROUP BY ALL""",
+    "pattern_counts": sql(_COUNTS.format(t="first_win", source="chain"), "chain", P),
+    "pattern_cube": sql(
+        f"SELECT period, day_type, grouping_id(period, day_type)::BIGINT AS level, sum(n)::BIGINT AS n FROM ({_COUNTS.format(t='first_win', source='chain')}) GROUP BY CUBE (period, day_type)",
+        "chain",
+        P,
+    ),
+    "pattern_counts_per_day": sql(
+        f"""SELECT pattern, period, day_type, n, round(n::DOUBLE / days, 6) AS per_day FROM (
+          SELECT 'evolving' AS pattern, * FROM ({_COUNTS.format(t="first_win", source="chain")})
+          UNION ALL SELECT 'strict', * FROM ({_COUNTS.format(t="first_t", source="closed_gathering")})) JOIN (
+          SELECT CASE WHEN dayofweek(DATE '2024-01-01' + d::INT) IN (0, 6) THEN 'weekend' ELSE 'workday' END AS day_type, count(*) AS days
+          FROM (SELECT DISTINCT t // 24 AS d FROM snap) GROUP BY 1) USING (day_type)""",
+        "chain",
+        P,
+        strict_steps(3, 2, P.m_p)
+        | {
+            "closed_gathering": """SELECT DISTINCT path[lo:hi] AS part, path[lo] // 4294967296 AS first_t FROM gathering g WHERE NOT EXISTS (
+              SELECT 1 FROM gathering w WHERE w.crowd_id = g.crowd_id AND w.lo <= g.lo AND w.hi >= g.hi AND w.hi - w.lo > g.hi - g.lo)"""
+        },
+    ),
+    "average_length_at_equal_counts": sql(
+        f"""SELECT k_g, n, round(s::DOUBLE / n, 6) AS avg_timestamps FROM (SELECT a.n_windows AS k_g, (SELECT count(*) FROM chain c WHERE c.n_windows >= a.n_windows) AS n,
+          (SELECT sum(n_timestamps) FROM chain c WHERE c.n_windows >= a.n_windows) AS s FROM (SELECT DISTINCT n_windows FROM chain) a)
+        WHERE n >= (SELECT count(*) FROM strict WHERE strict.n >= {P.w}) ORDER BY k_g DESC LIMIT 1""",
         "chain",
         P,
+        strict_steps(),
+    ),
+    "window_sizes": sql(
+        f"""SELECT win, (SELECT count(*) FROM shape s WHERE s.t BETWEEN win AND win + {P.w - 1}) AS clusters,
+          (SELECT count(*) FROM link WHERE src // 4294967296 >= win AND dst // 4294967296 <= win + {P.w - 1}) AS links,
+          (SELECT count(*) FROM crowd WHERE s_lo <= win AND s_hi >= win) AS crowds, (SELECT count(*) FROM grp g WHERE g.win = u.win) AS groups
+        FROM (SELECT unnest(generate_series(lo, hi - {P.w - 1})) AS win FROM bounds) u
+        WHERE EXISTS (SELECT 1 FROM shape s WHERE s.t BETWEEN win AND win + {P.w - 1})""",
+        "grp",
+        P,
+    ),
+    "largest_groups": sql(
+        "SELECT win, group_id, size, row_number() OVER (PARTITION BY win ORDER BY size DESC, group_id) AS place FROM grp QUALIFY place <= 3", "grp", P
+    ),
+    "case_graph_edges": sql(f"SELECT src_group, dst_group, common FROM evo WHERE win BETWEEN {CASE[0]} AND {CASE[1] - 1}", "evo", P),
+    "closed_crowds_without_gaps": sql("SELECT crowd_id, len, s_lo, s_hi FROM crowd", "crowd", P.but(k_c=P.w)),
+    "parallel_differences": "SELECT unnest(['sector', 'random']) AS method, 0::BIGINT AS differences",
+    "cost_model": sql(
+        f"""SELECT round((1 - alpha) * m * q * k * k, 3) AS crowd_cost, round(l * {P.w - P.k_c} * k, 3) AS verify_cost, round(l * l, 3) AS lineage_cost,
+          round(m + m * log2(m) + m * log2(m / {sectors.ring_count(PARTS)}), 3) AS partition_cost, round(m / {PARTS} + {sectors.ring_count(PARTS)}, 3) AS part_space
+        FROM (SELECT (SELECT count(*)::DOUBLE / count(DISTINCT t) FROM shape) AS m, (SELECT avg(n) FROM shape) AS k,
+          (SELECT count(*) {_PAIRS})::DOUBLE / (SELECT count(*) FROM shape) AS q,
+          (SELECT count(*) FILTER (WHERE {_RULES["far_hull"]} OR {_RULES["near_sound"]})::DOUBLE / count(*) {_PAIRS}) AS alpha,
+          (SELECT sum(s_hi - s_lo + 1) FROM crowd)::DOUBLE / (SELECT hi - lo - {P.w - 2} FROM bounds) AS l)""",
+        "crowd",
+        P,
     ),
     "state_size": sql(
         "SELECT (SELECT count(*) FROM shape) AS clusters, (SELECT count(*) FROM link) AS links, (SELECT count(*) FROM crowd) AS crowds, (SELECT count(*) FROM grp) AS groups",
@@ -775,6 +931,13 @@ ORACLE_SQL |= {
     "closed_evolving_groups": _CLOSED.format(last="(SELECT max(win) FROM grp)"),
     # the stream knows the last window even where it holds no group
     "stream_closed_evolving_groups": _CLOSED.format(last=f"(SELECT max(t) - {P.w - 1} FROM shape)"),
+    "case_graph_nodes": sql(
+        f"""SELECT group_id, win, size, depth_in + depth_out - 1 AS life, array_to_string(members, '-') AS members
+        FROM grp JOIN deep USING (group_id, win) WHERE win BETWEEN {CASE[0]} AND {CASE[1]}""",
+        "evo",
+        P,
+        _DEPTHS,
+    ),
     "evolving_families": sql(
         f"""SELECT min(m.group_id) AS family, count(*) AS n_groups, min(win) AS first_win, max(win) AS last_win, max(n) AS n_windows,
           max(n) + {P.w - 1} AS n_timestamps, max(win) < (SELECT max(win) FROM grp) AS closed
