@@ -100,22 +100,20 @@ def depths(groups: DataFrame, evo: DataFrame) -> DataFrame:
     first = F.coalesce("since", "win") if "since" in groups.columns else F.col("win")
     label = groups.select("group_id", "win", first.alias("lo"), F.col("win").alias("hi"))
     step = evo.select("src_group", "dst_group")
-    while True:
-        step = materialize(step, "steps")
-        if step.isEmpty():
-            break
-        label = materialize(label, "depths")
+    while not step.isEmpty():
         back = step.join(label.select(F.col("group_id").alias("src_group"), "lo"), "src_group")
         back = back.groupBy(F.col("dst_group").alias("group_id")).agg(F.min("lo").alias("lo2"))
         ahead = step.join(label.select(F.col("group_id").alias("dst_group"), "hi"), "dst_group")
         ahead = ahead.groupBy(F.col("src_group").alias("group_id")).agg(F.max("hi").alias("hi2"))
-        label = (
+        # groups that nothing reaches any more at this distance keep what they have
+        label = materialize(
             label.join(back, "group_id", "left")
             .join(ahead, "group_id", "left")
-            .select("group_id", "win", F.least("lo", "lo2").alias("lo"), F.greatest("hi", "hi2").alias("hi"))
+            .select("group_id", "win", F.least("lo", "lo2").alias("lo"), F.greatest("hi", "hi2").alias("hi")),
+            "depths",
         )
         nxt = step.select(F.col("src_group").alias("mid"), F.col("dst_group").alias("end"))
-        step = step.select("src_group", F.col("dst_group").alias("mid")).join(nxt, "mid").select("src_group", F.col("end").alias("dst_group")).distinct()
+        step = materialize(step.select("src_group", F.col("dst_group").alias("mid")).join(nxt, "mid").select("src_group", F.col("end").alias("dst_group")).distinct(), "steps")
     return label.select(
         "group_id", "win", (F.col("win") - F.col("lo") + 1).alias("depth_in"), (F.col("hi") - F.col("win") + 1).alias("depth_out")
     )
@@ -133,9 +131,7 @@ def families(groups: DataFrame, evo: DataFrame, k_g: int, w: int) -> DataFrame:
 
     Chains of a family multiply with splits and merges, families do not. One is closed when no chain of it is in the last window.
     """
-    kept = materialize(long_lived(groups, evo, k_g), "long")
-    name = kept.select("group_id", "win", "n_windows", F.monotonically_increasing_id().alias("node"))
-    name = materialize(name, "named")
+    name = materialize(long_lived(groups, evo, k_g).withColumn("node", F.monotonically_increasing_id()), "named")
     end = lambda c: name.select(F.col("group_id").alias(f"{c}_group"), F.col("node").alias(c))
     label = components(evo.join(end("src"), "src_group").join(end("dst"), "dst_group").select("src", "dst"))
     last = groups.agg(F.max("win").alias("last_seen"))
