@@ -12,6 +12,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from groupflow.operators import lineage, links
+from groupflow.operators.baselines import chains_with_members
 from groupflow.operators.chains import time_of
 from groupflow.operators.peel import bind, frequent, keep_valid
 from groupflow.params import Params
@@ -131,6 +132,45 @@ def peel_step(crowd: DataFrame, before: DataFrame, p: Params) -> DataFrame:
     )
 
 
+def verify_step(crowd: DataFrame, shape: DataFrame, before: DataFrame, p: Params) -> DataFrame:
+    """``crowd_id, path, s_lo, s_hi, kept, members, how``: crowds with what peeling keeps of them, from that of earlier crowds.
+
+    ``before(crowd_id, path, kept, members)`` is what an earlier step gave. ``how`` is ``'same'`` for a crowd verified
+    before, whose objects are not read again; ``'cut'`` for a run of an earlier crowd, where peeling starts from what was
+    kept of that; ``'fell_back'`` for a crowd whose newest cluster holds too few participators and whose other clusters are
+    such a run, with the same start; ``'whole'`` otherwise. Peeling is monotone, so what was kept of a longer chain holds
+    all that is kept of its runs. Where fewer than ``k_c`` clusters are kept, they are a remainder and no aggregation.
+    """
+    done = crowd.select("crowd_id", "path", "s_lo", "s_hi").join(before.select("crowd_id", "kept", "members"), "crowd_id")
+    fresh = crowd.select("crowd_id", "path", "s_lo", "s_hi").join(before.select("crowd_id"), "crowd_id", "left_anti")
+    # chains follow covering links, so that two of them share whole runs and meet by equality
+    n = F.size("path")
+    runs = F.flatten(F.transform(F.sequence(F.lit(1), n), lambda i: F.transform(F.sequence(i, n), lambda j: F.slice("path", i, j - i + 1))))
+    runs = before.select("crowd_id", "kept", F.explode(F.filter(runs, lambda r: F.size(r) >= max(p.k_c - 1, 1))).alias("run"))
+    known = runs.groupBy("run").agg(F.min(F.struct(F.size("kept").alias("n"), "crowd_id", "kept"))["kept"].alias("was"))
+    fresh = fresh.join(known.select(F.col("run").alias("path"), F.col("was").alias("cut")), "path", "left")
+    fresh = fresh.withColumn("run", F.slice("path", F.lit(1), F.size("path") - 1)).join(known, "run", "left")
+    rows = fresh.join(chains_with_members(fresh.select("crowd_id", "path").distinct(), shape), "crowd_id")
+    real = frequent(F.flatten(F.col("chain.objs")), p.k_p)
+    newest = bind(real, lambda r: F.size(F.array_intersect(F.element_at("chain", -1)["objs"], r)) < p.m_p)
+    how = F.when(F.col("cut").isNotNull(), "cut").when(F.col("was").isNotNull() & newest, "fell_back").otherwise("whole")
+    rows = rows.withColumn("how", how).withColumn("was", F.coalesce("cut", "was"))
+    start = F.when(F.col("how") == "whole", F.col("chain")).otherwise(F.filter("chain", lambda c: F.array_contains("was", c["cluster_id"])))
+    rounds = F.sequence(F.lit(1), F.lit(p.w - p.k_c + 1))
+    rows = rows.withColumn("chain", F.aggregate(rounds, start, lambda s, _: keep_valid(s, p)))
+    members = frequent(F.flatten(F.col("chain.objs")), p.k_p)
+    rows = rows.select("crowd_id", "path", "s_lo", "s_hi", F.col("chain.cluster_id").alias("kept"), members.alias("members"), "how")
+    return rows.unionByName(done.withColumn("how", F.lit("same")))
+
+
+def aggregations(verified: DataFrame, p: Params) -> DataFrame:
+    """``agg_id, path, s_lo, s_hi, members, size`` of verified crowds, as :func:`peel.peel` gives them."""
+    agg_id = F.concat_ws("-", F.col("kept").cast("array<string>"))
+    return verified.filter(F.size("kept") >= p.k_c).select(
+        agg_id.alias("agg_id"), F.col("kept").alias("path"), "s_lo", "s_hi", "members", F.size("members").alias("size")
+    )
+
+
 def lineage_step(before: DataFrame, now: DataFrame, m_g: float) -> DataFrame:
     """``evo`` from the groups of the last window seen to those of later ones."""
     return lineage.edges(before.unionByName(now), m_g)

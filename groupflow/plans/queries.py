@@ -447,6 +447,22 @@ def stream_evolution_edges(spark, sf_dir):
     return found.select("win", "src_group", "dst_group", "common", *_r("ratio"))
 
 
+def stream_crowds(spark, sf_dir):
+    """Closed crowds of each window, from the stream."""
+    found = _streamed(spark, sf_dir).crowds(spark)
+    return found.select(F.explode(F.sequence("s_lo", "s_hi")).alias("win"), "crowd_id")
+
+
+def stream_aggregations(spark, sf_dir):
+    """Closed aggregations of each window, verified from what was kept of earlier crowds."""
+    return _streamed(spark, sf_dir).aggregations(spark).select("win", "agg_id", _text("members").alias("members"))
+
+
+def stream_reuse(spark, sf_dir):
+    """How the stream verified its crowds: as before, from a longer crowd, without the newest cluster, or from the whole."""
+    return _streamed(spark, sf_dir).crowds(spark).groupBy("how").agg(F.count("*").alias("crowds"))
+
+
 def stream_closed_evolving_groups(spark, sf_dir):
     """Evolving groups that came to their end while the stream ran, by their last group."""
     return _streamed(spark, sf_dir).closed(spark)
@@ -591,7 +607,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
         lineage_events, evolving_groups, average_length, pattern_counts, pattern_cube, pattern_counts_per_day, average_length_at_equal_counts, window_sizes,
         case_graph_nodes, case_graph_edges, largest_groups, cost_model, closed_crowds_without_gaps, parallel_differences, experiment_times, state_size, strict_crowds, gatherings,
         closed_gatherings, convoys, flocks, swarms, chain_depths, sector_homes, sector_balance, sector_kinds, sector_missed_links,
-        parallel_pairs, stream_groups, stream_evolution_edges, stream_closed_evolving_groups, closed_evolving_groups, evolving_families, incremental_crowds_planted,
+        parallel_pairs, stream_crowds, stream_aggregations, stream_reuse, stream_groups, stream_evolution_edges, stream_closed_evolving_groups, closed_evolving_groups, evolving_families, incremental_crowds_planted,
         sql_hausdorff, planted_recall_by_period, sweep_d, sweep_k_p, sweep_m_p, sweep_k_c, sweep_m_c, sweep_objects, ablation,
     )
 }
@@ -841,6 +857,8 @@ ORACLE_SQL: dict[str, str] = {
     "closed_aggregations": sql("SELECT win, agg_id, array_to_string(members, '-') AS members FROM closed", "closed", P),
     "groups": _GROUPS,
     "evolution_edges": _EDGES,
+    "stream_crowds": sql("SELECT unnest(generate_series(s_lo, s_hi)) AS win, crowd_id FROM crowd", "crowd", P),
+    "stream_aggregations": sql("SELECT win, agg_id, array_to_string(members, '-') AS members FROM closed", "closed", P),
     "stream_groups": _GROUPS,
     "stream_evolution_edges": _EDGES,
     "incremental_crowds_planted": sql("SELECT unnest(generate_series(s_lo, s_hi)) AS win, crowd_id FROM crowd", "crowd", PLANTED_SMALL, snap=_WALKS),

@@ -1,8 +1,9 @@
 """The method on a stream of positions.
 
 Every micro-batch holds whole timestamps, later than those before. What a batch needs of the past are the clusters
-and links of one window, the groups of the last window and the open chains that end with them: bounded by the window, not by
-the stream. New clusters are compared with ending ones only. State and results are written under the batch's
+and links of one window, its verified crowds, the groups of the last window and the open chains that end with them: bounded by
+the window, not by the stream. New clusters are compared with ending ones only, and crowds are verified from what is kept
+of those before. State and results are written under the batch's
 number, a batch that is run again overwrites its own files only, and state older than the batch before is deleted.
 """
 
@@ -30,7 +31,10 @@ SHAPE = (
 LINK = "src long, dst long, dt int, decided_by string"
 OPEN = "win long, group_id string, since long"
 CLOSED = "group_id string, first_win long, last_win long, n_windows long"
-_STATE = ("shape", "link", "last_groups", "open")
+VERIFIED = "crowd_id string, path array<long>, kept array<long>, members array<long>"
+CROWD = "crowd_id string, s_lo long, s_hi long, how string"
+AGG = "win long, agg_id string, members array<long>"
+_STATE = ("shape", "link", "verified", "last_groups", "open")
 
 
 @dataclass(frozen=True)
@@ -69,23 +73,32 @@ class GroupStream:
         shape, link = old.unionByName(new), self._read(spark, "link", number - 1, LINK)
         last = self._read(spark, "last_groups", number - 1, GROUP)
         group, evo = spark.createDataFrame([], GROUP), spark.createDataFrame([], EVO)
+        verified = self._read(spark, "verified", number - 1, VERIFIED)
+        crowds, aggs = spark.createDataFrame([], CROWD), spark.createDataFrame([], AGG)
         open_, closed, held = self._read(spark, "open", number - 1, OPEN), spark.createDataFrame([], CLOSED), [member, new]
         if ends["lo"] is not None:
             shape = shape.filter(F.col("t") >= since)
             fresh = links.build(shape, p, since=ends["lo"])
             link = materialize(link.filter(time_of(F.col("src")) >= since).unionByName(fresh), "link")
             crowd = chains.closed_crowds(shape, chains.cover(link), p, span=(since, ends["hi"]))
-            windows = materialize(peel.closed(peel.by_window(peel.peel(crowd, shape, p))), "windows")
+            done = materialize(incremental.verify_step(crowd, shape, verified, p), "verified")
+            crowds, verified = done.select("crowd_id", "s_lo", "s_hi", "how"), done.select("crowd_id", "path", "kept", "members").dropDuplicates(["crowd_id"])
+            windows = materialize(peel.closed(peel.by_window(incremental.aggregations(done, p))), "windows")
+            aggs = windows.select("win", "agg_id", "members")
             group = materialize(peel.groups(windows), "group")
             evo = materialize(incremental.lineage_step(last, group, p.m_g), "evo")
             open_, closed = incremental.chain_step(open_, group, evo, p.k_g, ends["hi"] - p.w + 1)
             last = group.filter(F.col("win") == ends["hi"] - p.w + 1)
-            held += [link, crowd, windows, group, evo]
+            held += [link, crowd, done, windows, group, evo]
         keep = now["last"] - p.w + 2 if now["last"] is not None else 0
         tables = {
             "shape": shape.filter(F.col("t") >= keep),
             "link": link.filter(time_of(F.col("src")) >= keep),
+            # a run that a later crowd shares ends with a cluster of the window
+            "verified": verified.filter(time_of(F.element_at("path", -1)) >= keep),
             "last_groups": last,
+            "crowds": crowds,
+            "aggregations": aggs,
             "groups": group,
             "evolution": evo,
             "open": open_,
@@ -102,6 +115,13 @@ class GroupStream:
     def groups(self, spark: SparkSession) -> DataFrame:
         return spark.read.schema(GROUP).parquet(f"{self.out}/groups").drop("batch")
 
+    def crowds(self, spark: SparkSession) -> DataFrame:
+        """Closed crowds of each batch's windows and how they were verified; one that goes on in the next batch is there again."""
+        return spark.read.schema(CROWD).parquet(f"{self.out}/crowds").drop("batch")
+
+    def aggregations(self, spark: SparkSession) -> DataFrame:
+        return spark.read.schema(AGG).parquet(f"{self.out}/aggregations").drop("batch")
+
     def closed(self, spark: SparkSession) -> DataFrame:
         """Evolving groups that came to their end, by their last group."""
         return spark.read.schema(CLOSED).parquet(f"{self.out}/closed").drop("batch")

@@ -69,6 +69,27 @@ def test_peel_step_equals_peeling(spark, newest, fell_back):
     assert sorted(map(tuple, step.collect())) == sorted(map(tuple, every.filter("crowd_id = 'new'").collect()))
 
 
+def test_verify_step_equals_peeling(spark):
+    """Random crowds of a window that slides: reuse of each kind gives what peeling from scratch gives."""
+    p = Params(w=6, k_c=3, k_p=3, m_p=2, d=1.0, m_c=1)
+    rnd, seen = random.Random(3), set()
+    for empty in (None, 7, 6):
+        # where only one object is left, the newest cluster is in no aggregation
+        clusters = {t: {o for o in range(1, 7) if t != empty and rnd.random() < 0.55} | {0} for t in range(12)}
+        shape = materialize(shapes.summarize(member_of(spark, [(t, [(o, 0, 0) for o in s]) for t, s in clusters.items()])))
+        ids = [t * ID_BASE for t in clusters]
+        before = spark.createDataFrame([], engine.VERIFIED)
+        for lo, hi in ((0, 6), (1, 6), (1, 7), (2, 8), (2, 8), (6, 12)):
+            crowd = spark.createDataFrame([("-".join(map(str, ids[lo:hi])), ids[lo:hi], lo, lo)], "crowd_id string, path array<long>, s_lo long, s_hi long")
+            done = materialize(incremental.verify_step(crowd, shape, before, p), "done")
+            want = peel.peel(crowd, shape, p).collect()
+            got = incremental.aggregations(done, p).collect()
+            assert [(r["agg_id"], r["path"], r["members"], r["s_lo"]) for r in got] == [(r["agg_id"], r["path"], r["members"], r["s_lo"]) for r in want]
+            seen |= {r["how"] for r in done.select("how").collect()}
+            before = done.select("crowd_id", "path", "kept", "members")
+    assert seen == {"same", "cut", "fell_back", "whole"}
+
+
 def _walks(spark):
     rnd = random.Random(11)
     rows = [(t, o, 10.0 * (o // 4) + rnd.uniform(0, 1) + (30 if rnd.random() < 0.1 else 0), rnd.uniform(0, 1)) for t in range(12) for o in range(12)]
@@ -87,6 +108,13 @@ def test_stream_equals_batch_and_repeats(spark, tmp_path):
     sink.batch(snap.filter(F.col("t").between(6, 11)), 2)  # run again after a failure
     key = lambda df: sorted((r["win"], r["group_id"], r["n_aggs"]) for r in df.collect())
     assert key(sink.groups(spark)) == key(found.group) and found.group.count() > 3
+    crowds = sink.crowds(spark).collect()
+    assert {(r["crowd_id"], w) for r in crowds for w in range(r["s_lo"], r["s_hi"] + 1)} == {
+        (r["crowd_id"], w) for r in found.crowd.collect() for w in range(r["s_lo"], r["s_hi"] + 1)
+    }
+    assert {r["how"] for r in crowds} <= {"same", "cut", "fell_back", "whole"}
+    aggs = lambda df: sorted((r["win"], r["agg_id"], r["members"]) for r in df.collect())
+    assert aggs(sink.aggregations(spark)) == aggs(found.windows)
     edges = lambda df: sorted((r["src_group"], r["dst_group"], r["common"]) for r in df.collect())
     assert edges(sink.evolution(spark)) == edges(found.evo)
     deep = lineage.depths(found.group, found.evo).filter("depth_out = 1")
