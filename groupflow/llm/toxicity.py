@@ -117,9 +117,12 @@ def _bag_rows(features: list[str], prefix: int):
 
 @dataclass(frozen=True)
 class _Bags:
-    """Labels of documents, the document of each sentence, and sentence and feature of each feature found."""
+    """Labels of documents, the document of each sentence with features, and sentence and feature of each feature found.
+
+    Sentences without features all score alike; ``blank`` counts them for each document."""
 
     labels: np.ndarray
+    blank: np.ndarray
     owner: np.ndarray
     rows: np.ndarray
     cols: np.ndarray
@@ -129,24 +132,28 @@ class _Bags:
         labels, sizes = (table.column(c).to_numpy().astype(np.int64) for c in ("toxic", "n"))
         at, what = (table.column(c).combine_chunks() for c in ("at", "what"))
         first = np.repeat(np.cumsum(sizes) - sizes, at.value_lengths().to_numpy())
-        return _Bags(labels, np.repeat(np.arange(len(labels)), sizes), at.flatten().to_numpy() + first, what.flatten().to_numpy())
+        owner = np.repeat(np.arange(len(labels)), sizes)
+        return _Bags(labels, np.zeros(len(labels)), owner, at.flatten().to_numpy() + first, what.flatten().to_numpy())
 
     def part(self, docs: np.ndarray, features: np.ndarray) -> _Bags:
         """The documents of the mask ``docs``; features are renumbered in the order of ``features``, others go."""
         number = np.full(max(self.cols.max(initial=-1), features.max(initial=-1)) + 1, -1)
         number[features] = np.arange(len(features))
-        sentence = docs[self.owner]
         cols = number[self.cols]
-        kept = sentence[self.rows] & (cols >= 0)
+        kept = docs[self.owner][self.rows] & (cols >= 0)
+        sentence = np.zeros(len(self.owner), bool)
+        sentence[self.rows[kept]] = True
+        blank = self.blank + np.bincount(self.owner[~sentence], minlength=len(docs))
         rank = lambda mask: np.cumsum(mask) - 1
-        return _Bags(self.labels[docs], rank(docs)[self.owner[sentence]], rank(sentence)[self.rows[kept]], cols[kept])
+        return _Bags(self.labels[docs], blank[docs], rank(docs)[self.owner[sentence]], rank(sentence)[self.rows[kept]], cols[kept])
 
-    def scores(self, w: np.ndarray, b: float) -> tuple[np.ndarray, np.ndarray]:
-        """Scores of sentences and the noisy-or of documents."""
-        z = b + np.bincount(self.rows, w[self.cols], len(self.owner))
+    def scores(self, w: np.ndarray, b: float) -> tuple[np.ndarray, float, np.ndarray]:
+        """Scores of sentences with features, of one without, and the noisy-or of documents."""
+        z = np.append(b + np.bincount(self.rows, w[self.cols], len(self.owner)), b)
         q = 1 / (1 + np.exp(-np.clip(z, -30, 30)))
-        clean = np.bincount(self.owner, np.log1p(-np.minimum(q, 1 - 1e-12)), len(self.labels))
-        return q, -np.expm1(np.clip(clean, -30, -1e-12))
+        each = np.log1p(-np.minimum(q, 1 - 1e-12))
+        clean = np.bincount(self.owner, each[:-1], len(self.labels)) + self.blank * each[-1]
+        return q[:-1], float(q[-1]), -np.expm1(np.clip(clean, -30, -1e-12))
 
 
 def _fit(bags: _Bags, n: int, p: ToxicityParams) -> tuple[np.ndarray, float]:
@@ -156,11 +163,11 @@ def _fit(bags: _Bags, n: int, p: ToxicityParams) -> tuple[np.ndarray, float]:
     w, b = np.zeros(n), -4.0
     m, v = np.zeros(n + 1), np.zeros(n + 1)
     for step in range(1, p.epochs + 1):
-        q, prob = bags.scores(w, b)
+        q, q0, prob = bags.scores(w, b)
         # d loglik / d z_s = q_s * (y * (1-P)/P - (1-y))
         pull = weight * np.where(labels == 1, (1 - prob) / prob, -1.0)
         g = q * pull[bags.owner]
-        grad = np.append(np.bincount(bags.cols, g[bags.rows], n) / len(labels) - p.ridge * w, g.sum() / len(labels))
+        grad = np.append(np.bincount(bags.cols, g[bags.rows], n) / len(labels) - p.ridge * w, (g.sum() + q0 * (bags.blank @ pull)) / len(labels))
         m, v = 0.9 * m + 0.1 * grad, 0.999 * v + 0.001 * grad**2
         move = p.rate * (m / (1 - 0.9**step)) / (np.sqrt(v / (1 - 0.999**step)) + 1e-8)
         w, b = w + move[:-1], b + move[-1]
@@ -217,7 +224,7 @@ def train(docs: DataFrame, labels: DataFrame, p: ToxicityParams = ToxicityParams
         for k, found in enumerate(others):
             of, w, b = fitted(found, least, folds != k)
             held = bags.part(folds == k, of)
-            wrong += int(((held.scores(w, b)[1] >= 0.5) != held.labels).sum())
+            wrong += int(((held.scores(w, b)[2] >= 0.5) != held.labels).sum())
         return wrong
 
     # of equal ones the strictest
