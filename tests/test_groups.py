@@ -2,11 +2,12 @@
 
 import random
 
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
 from groupflow.functions import hausdorff, pruning
-from groupflow.operators import baselines, chains, density, graph, lineage, links, peel, shapes
+from groupflow.operators import baselines, chains, density, distances, graph, lineage, links, peel, shapes
 from groupflow.operators.density import ID_BASE
 from groupflow.params import Params
 from groupflow.plans.pipeline import discover
@@ -110,6 +111,30 @@ def test_hausdorff_brute_force(spark):
         assert r["h"] == pytest.approx(h) and r["w"] == (h <= 4.0)
 
 
+def test_distances_of_large_clusters(spark, monkeypatch):
+    """As brute force, over repeated points, far and single ones; a large pair is not compared point by point."""
+    rng, seen = np.random.default_rng(3), []
+    monkeypatch.setattr(distances, "_squares", lambda *v, squares=distances._squares: (seen.append(np.broadcast(*v).size), squares(*v))[1])
+    draw = lambda n, wide, at=0: distances.Points(*(rng.exponential(wide, (2, n)) + at))
+    one = lambda u, v: np.min((u.x[:, None] - v.x) * (u.x[:, None] - v.x) + (u.y[:, None] - v.y) * (u.y[:, None] - v.y), axis=1).max()
+    line = distances.Points(np.arange(300.0), np.zeros(300))
+    for a, b in [(draw(900, 5), draw(700, 50)), (draw(200, 1), draw(900, 1, 99)), (line, draw(400, 9)), (draw(500, 3), line), (line, line), (draw(1, 1), draw(99, 1))]:
+        q = max(one(a, b), one(b, a))
+        assert distances.square(a, b) == q
+        assert all((distances.square(a, b, q * k) <= q * k) == (k >= 1) for k in (0.5, 1, 2) if q)
+    seen.clear()
+    a, b = draw(20_000, 40), draw(20_000, 40)
+    distances.square(a, b, 25.0)
+    assert sum(seen) < 20_000**2 / 20
+    clusters = [(t, [(100 * c + i, x, y) for i, (x, y) in enumerate([*rng.uniform(c, c + 9, (n, 2)).round(1).tolist()] * 2)]) for t in (1, 2, 3, 4, 7) for c, n in ((0, 40), (5, 3), (9, 1))]
+    shape = materialize(shapes.summarize(member_of(spark, clusters)))
+    pairs = materialize(links.candidates(shape, Params(w=6), "none", "window").select(F.col("a.cluster_id").alias("src"), F.col("b.cluster_id").alias("dst"), "dt"))
+    both = distances.with_squares(pairs, shape, 5).select("src", "dst", F.sqrt("q").alias("h"))
+    pts = shape.select("cluster_id", "pts")
+    plain = pairs.join(pts.toDF("src", "a"), "src").join(pts.toDF("dst", "b"), "dst").select("src", "dst", hausdorff.distance(F.col("a"), F.col("b")).alias("h"))
+    assert sorted(both.collect()) == sorted(plain.collect()) and both.count() == pairs.count() > 50
+
+
 def test_components(spark):
     rng = random.Random(5)
     pairs = [(rng.randrange(300), rng.randrange(300)) for _ in range(220)] + [(i, i + 1) for i in range(1000, 1060)]
