@@ -99,6 +99,30 @@ def test_gathering(spark):
     assert baselines.gatherings(crowd, shape, 3, 3).count() == 0
 
 
+@pytest.mark.parametrize("slice_", [2, 5, 48])
+def test_convoys_by_slices(spark, slice_):
+    """As all pairs of found sets say, wherever time is cut, with snapshots that are missing; live sets go through a slice once."""
+    rng, rows = random.Random(slice_), []
+    for t in [*range(3, 15), *range(17, 24)]:
+        of = {o: (o // 4 + (rng.random() < 0.12) * rng.randint(1, 3)) % 4 for o in range(14) if rng.random() < 0.95}
+        rows += [(t, t * ID_BASE + c, o) for o, c in of.items()]
+    member = spark.createDataFrame(rows, "t long, cluster_id long, obj_id long")
+    got = [(tuple(r["objs"]), r["first_t"], r["last_t"]) for r in baselines.convoys(member, 2, 3, slice_=slice_).collect()]
+    held = {}
+    for t, c, o in rows:
+        held.setdefault(t, {}).setdefault(c, set()).add(o)
+    live = {(frozenset(s), t, t) for t in held for s in held[t].values() if len(s) >= 2}
+    every = set(live)
+    while live:
+        live = {(s & x, f, t + 1) for s, f, t in live for x in held.get(t + 1, {}).values() if len(s & x) >= 2}
+        every |= live
+    every = {c for c in every if c[2] - c[1] >= 2}
+    want = {c for c in every if not any(b != c and b[0] >= c[0] and b[1] <= c[1] and b[2] >= c[2] for b in every)}
+    assert sorted(got) == sorted((tuple(sorted(s)), f, t) for s, f, t in want) and len(want) > 5
+    plain = baselines._overlapping(member, 2, 3).collect() if slice_ == 48 else None
+    assert plain is None or len(plain) == len(want)
+
+
 def test_hausdorff_brute_force(spark):
     rng = random.Random(3)
     rows = [([(rng.uniform(0, 9), rng.uniform(0, 9)) for _ in range(rng.randint(1, 6))] for _ in range(2)) for _ in range(60)]
