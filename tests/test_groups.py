@@ -10,6 +10,7 @@ from groupflow.functions import hausdorff, pruning
 from groupflow.operators import baselines, chains, density, distances, graph, lineage, links, peel, shapes
 from groupflow.operators.density import ID_BASE
 from groupflow.params import Params
+from groupflow.plans import measures
 from groupflow.plans.pipeline import discover
 from groupflow.storage import materialize
 
@@ -208,3 +209,14 @@ def test_path_guard(spark):
     cover = materialize(chains.cover(links.build(shape, Params(m_c=1))))
     with pytest.raises(RuntimeError):
         chains.closed_crowds(shape, cover, Params(m_c=1), max_paths=1000)
+
+
+def test_measures_without_patterns(spark):
+    """As in SQL, the total over all of no patterns is a row, and nothing is predicted from crowds that are not there."""
+    none = spark.createDataFrame([], "period string, day_type string, n long")
+    assert [tuple(r) for r in measures.by_period(none).collect()] == [(None, None, 3, None)]
+    some = spark.createDataFrame([("07-10", "weekend", 2)], none.schema)
+    assert sorted((r["level"], r["n"]) for r in measures.by_period(some).collect()) == [(0, 2), (1, 2), (2, 2), (3, 2)]
+    shape, _, crowd = crowds_of(spark, [(t, [(o, 9.0 * t, 0) for o in range(3)]) for t in range(1, 9)], Params(d=1.0))
+    decided = links.decide(links.candidates(shape, Params(d=1.0), "none"), shape, Params(d=1.0))
+    assert crowd.count() == 0 and measures.cost_stats(decided, shape, crowd, 6).first()["l"] is None
