@@ -21,6 +21,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from groupflow.llm.worker_memory import tidy
+
 _OTHER = re.compile(r"[\W_]+")
 _A = 0x9E3779B97F4A7C15
 
@@ -315,7 +317,7 @@ def find_leaks(docs: DataFrame, benchmark: DataFrame, p: DecontaminationParams =
                             ["doc_id", "item_id", "edits", "start"],
                         )
 
-        part = rows.mapInArrow(run, schema)
+        part = rows.mapInArrow(tidy(run), schema)
         out = part if out is None else out.unionByName(part)
     return out if out is not None else docs.sparkSession.createDataFrame([], schema)
 

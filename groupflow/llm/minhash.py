@@ -34,6 +34,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from groupflow.llm.shingles import shingle_set
+from groupflow.llm.worker_memory import tidy
 from groupflow.operators.graph import components
 from groupflow.storage import materialize, release
 
@@ -110,7 +111,7 @@ def _signer(p: MinHashParams):
 def signatures(docs: DataFrame, p: MinHashParams = MinHashParams()) -> DataFrame:
     """``doc_id, n_shingles, set_key, bands``: one narrow row per document, one pass over the texts."""
     return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(
-        _signer(p), "doc_id long, n_shingles long, set_key binary, bands array<long>"
+        tidy(_signer(p)), "doc_id long, n_shingles long, set_key binary, bands array<long>"
     )
 
 
@@ -150,7 +151,7 @@ def _verified(pairs: DataFrame, sets: DataFrame, p: MinHashParams) -> DataFrame:
         near.join(sets.select(F.col("node").alias("src"), F.col("shingles").alias("a")), "src")
         .join(sets.select(F.col("node").alias("dst"), F.col("shingles").alias("b")), "dst")
         .select("src", "dst", "a", "b")
-        .mapInArrow(_checker(p.threshold), "src long, dst long")
+        .mapInArrow(tidy(_checker(p.threshold)), "src long, dst long")
     )
 
 
@@ -174,7 +175,7 @@ def _differences(pairs: DataFrame, sets: DataFrame) -> DataFrame:
 
     both = pairs.join(sets.select(F.col("node").alias("src"), F.col("shingles").alias("a")), "src")
     both = both.join(sets.select(F.col("node").alias("dst"), F.col("shingles").alias("b")), "dst").select("src", "dst", "a", "b")
-    return both.mapInArrow(run, "pivot long, face long, node long, n long, d array<long>")
+    return both.mapInArrow(tidy(run), "pivot long, face long, node long, n long, d array<long>")
 
 
 _STEP = 1.25
@@ -294,7 +295,7 @@ def near_duplicates(docs: DataFrame, p: MinHashParams = MinHashParams()) -> Data
     texts = (
         docs.select(F.col("doc_id").cast("long").alias("node"), "text")
         .join(wanted, "node", "left_semi")
-        .mapInArrow(_set_maker(p.width), "node long, shingles array<long>")
+        .mapInArrow(tidy(_set_maker(p.width)), "node long, shingles array<long>")
     )
     sets = materialize(texts.withColumn("n_shingles", F.size("shingles").cast("long")), "sets")
     # rows that repeat a doc_id with other texts: one set each, all of them are compared

@@ -25,6 +25,7 @@ from pyspark.sql import functions as F
 
 from groupflow.llm.pair_agenda import PairAgenda
 from groupflow.llm.piece_cache import PieceCache
+from groupflow.llm.worker_memory import tidy
 
 _SPACE = "▁"
 # units of more characters go to the heap
@@ -213,4 +214,4 @@ def _mapped(docs: DataFrame, model: str, digest: bool, cached: int = 450_000) ->
         if digest
         else "doc_id long, ids array<int>, decoded string"
     )
-    return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(run, schema)
+    return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(tidy(run), schema)

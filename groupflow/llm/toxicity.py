@@ -17,6 +17,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from groupflow.llm.worker_memory import tidy
 from groupflow.storage import materialize
 
 _SENTENCE = re.compile(r"[^.!?\n]+[.!?]*")
@@ -207,12 +208,12 @@ def train(docs: DataFrame, labels: DataFrame, p: ToxicityParams = ToxicityParams
     if len({label for label, _ in totals}) < 2:
         return ToxicityModel({}, -30.0, p.prefix)
     each = [F.sum(F.when(F.col("fold") == k, F.col(f"n{label}")).otherwise(0)).alias(f"n{label}_{k}") for label in (0, 1) for k in range(p.folds)]
-    counts = rows.select("text", "toxic", "fold").mapInArrow(_count_features(p.prefix), "feature string, fold int, n0 long, n1 long")
+    counts = rows.select("text", "toxic", "fold").mapInArrow(tidy(_count_features(p.prefix)), "feature string, fold int, n0 long, n1 long")
     counts = materialize(counts.groupBy("feature").agg(F.sum(F.col("n0") + F.col("n1")).alias("n"), *each).filter(F.col("n") >= p.min_docs), "features")
     whole, *others = [_selected(counts, totals, left_out, p) for left_out in (None, *range(p.folds))]
     features = sorted({f for found in (whole, *others) for f in found})
     schema = "doc_id long, toxic int, fold int, n int, at array<int>, what array<int>"
-    table = rows.mapInArrow(_bag_rows(features, p.prefix), schema).toArrow().sort_by([("doc_id", "ascending"), ("n", "ascending")])
+    table = rows.mapInArrow(tidy(_bag_rows(features, p.prefix)), schema).toArrow().sort_by([("doc_id", "ascending"), ("n", "ascending")])
     bags, folds, index = _Bags.of(table), table.column("fold").to_numpy(), {f: i for i, f in enumerate(features)}
 
     def fitted(found: dict[str, float], least: float, docs: np.ndarray) -> tuple[np.ndarray, np.ndarray, float]:
@@ -308,4 +309,4 @@ def keep_clean(docs: DataFrame, model: ToxicityModel) -> DataFrame:
             clean = [score_text(t.as_py(), shared.value)[0] < 0.5 for t in batch.column(at)]
             yield batch.filter(pa.array(clean, pa.bool_()))
 
-    return docs.mapInArrow(run, docs.schema)
+    return docs.mapInArrow(tidy(run), docs.schema)
