@@ -7,7 +7,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from groupflow.functions import hausdorff, pruning
-from groupflow.operators import baselines, chains, density, distances, graph, lineage, links, peel, shapes
+from groupflow.operators import baselines, chains, density, distances, graph, lineage, links, patterns, peel, shapes
 from groupflow.operators.density import ID_BASE
 from groupflow.params import Params
 from groupflow.plans import measures
@@ -220,3 +220,29 @@ def test_measures_without_patterns(spark):
     shape, _, crowd = crowds_of(spark, [(t, [(o, 9.0 * t, 0) for o in range(3)]) for t in range(1, 9)], Params(d=1.0))
     decided = links.decide(links.candidates(shape, Params(d=1.0), "none"), shape, Params(d=1.0))
     assert crowd.count() == 0 and measures.cost_stats(decided, shape, crowd, 6).first()["l"] is None
+
+
+@pytest.mark.parametrize("k", [1, 3])
+def test_flocks_brute_force(spark, monkeypatch, k):
+    """As every pair of objects at every timestamp says, in small parts: tracks that several objects share, snapshots and objects
+    that are missing, places at the rim, far away and not a number; nothing is broadcast or joined."""
+    monkeypatch.setattr(patterns, "_SLICE", 2)
+    rng, rows = random.Random(k), []
+    for t in [*range(-3, 6), *range(8, 12)]:
+        at = [(rng.choice([0.0, 3.0, 6.0, rng.uniform(-8, 8), 1e17]), rng.choice([0.0, 4.0, rng.uniform(-8, 8)])) for _ in range(9)]
+        rows += [(t, o, *at[o % 9]) for o in range(16) if rng.random() < 0.95]
+    rows += [(t, 50 + o, float("nan"), 0.0) for t in range(5) for o in range(3)]
+    snap = spark.createDataFrame(rows, "t long, obj_id long, x double, y double")
+    found = patterns.flocks(snap, 5.0, 3, k)
+    place = {(t, o): (x, y) for t, o, x, y in rows}
+    near = lambda t, a, b: (t, a) in place and (t, b) in place and sum((u - v) ** 2 for u, v in zip(place[t, a], place[t, b])) <= 25.0
+    ids = sorted({o for _, o, _, _ in rows})
+    want = [(a, t, [b for b in ids if all(near(t + j, a, b) for j in range(k))]) for t in range(-3, 12) for a in ids]
+    assert sorted(map(tuple, found.collect())) == sorted((a, t, b) for a, t, b in want if len(b) >= 3)
+    assert "Join" not in found._jdf.queryExecution().executedPlan().toString()
+    ids, at = np.arange(40), np.array([[float(o // 4 % 7), float(o % 3)] for o in range(40)])
+    rows = []
+    for part in (1 << 20, 2):
+        monkeypatch.setattr(patterns, "_PART", part)
+        rows.append(sorted(str(r) for b in patterns._flocks_from(0, ids, at[:, :1].T, at[:, 1:].T, 1.0, 3) for r in b.to_pylist()))
+    assert rows[0] == rows[1] and len(rows[0]) == 40
