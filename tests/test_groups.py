@@ -246,3 +246,26 @@ def test_flocks_brute_force(spark, monkeypatch, k):
         monkeypatch.setattr(patterns, "_PART", part)
         rows.append(sorted(str(r) for b in patterns._flocks_from(0, ids, at[:, :1].T, at[:, 1:].T, 1.0, 3) for r in b.to_pylist()))
     assert rows[0] == rows[1] and len(rows[0]) == 40
+
+
+def test_crowds_by_components(spark, monkeypatch):
+    """Slices that are dealt out by components give the same crowds, and no task walks more than its share."""
+    rng, p = random.Random(5), Params(w=4, k_c=3, d=1.0, m_c=1)
+    clusters = [(t, [(o, 100.0 * (o % 12) + rng.choice([0.0, 0.8, 3.0]), 0)]) for t in range(1, 12) for o in range(24)]
+    shape, cover, crowd = crowds_of(spark, clusters, p)
+    whole = sorted(map(str, crowd.collect()))
+    walks, seen = chains._walks, spark.sparkContext.accumulator(0)
+
+    def counted(*arguments):
+        run = walks(*arguments)
+
+        def walk(table):
+            seen.add(1)
+            return run(table)
+
+        return walk
+
+    monkeypatch.setattr(chains, "_walks", counted)
+    monkeypatch.setattr(chains, "_ONE_TASK", 20)
+    assert sorted(map(str, chains.closed_crowds(shape, cover, p).collect())) == whole and len(whole) > 20
+    assert seen.value > 8  # four slices of time
