@@ -269,3 +269,13 @@ def test_crowds_by_components(spark, monkeypatch):
     monkeypatch.setattr(chains, "_ONE_TASK", 20)
     assert sorted(map(str, chains.closed_crowds(shape, cover, p).collect())) == whole and len(whole) > 20
     assert seen.value > 8  # four slices of time
+
+
+def test_clusters_are_shared(spark, monkeypatch):
+    """Methods that differ from links on find no clusters anew."""
+    from groupflow.plans import pipeline, queries
+
+    sf = "/root/testdata/sf0.001"
+    queries._all(spark, sf)
+    monkeypatch.setattr(pipeline, "clusters", None)
+    assert [r["differences"] for r in queries.parallel_differences(spark, sf).collect()] == [0, 0]
