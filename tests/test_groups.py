@@ -279,3 +279,20 @@ def test_clusters_are_shared(spark, monkeypatch):
     queries._all(spark, sf)
     monkeypatch.setattr(pipeline, "clusters", None)
     assert [r["differences"] for r in queries.parallel_differences(spark, sf).collect()] == [0, 0]
+
+
+def test_positions_are_shared(spark):
+    """A sweep over objects works positions out once."""
+    from groupflow.plans import sweeps
+
+    rng, read = random.Random(3), spark.sparkContext.accumulator(0)
+    rows = [(t, o, rng.uniform(0, 20), rng.uniform(0, 20)) for t in range(3) for o in range(40)]
+
+    def seen(batches):
+        for batch in batches:
+            read.add(batch.num_rows)
+            yield batch
+
+    snap = spark.createDataFrame(rows, "t long, obj_id long, x double, y double")
+    found = sweeps.objects(snap.mapInArrow(seen, snap.schema), Params(), 5).collect()
+    assert [(r["objects"], r["points"]) for r in found] == [(8 * k, 24 * k) for k in range(1, 6)] and read.value == 120
