@@ -22,6 +22,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from groupflow.llm.worker_memory import tidy
+from groupflow.storage import listed, materialize
 
 _OTHER = re.compile(r"[\W_]+")
 _A = 0x9E3779B97F4A7C15
@@ -324,4 +325,5 @@ def find_leaks(docs: DataFrame, benchmark: DataFrame, p: DecontaminationParams =
 
 def drop_leaks(docs: DataFrame, benchmark: DataFrame, p: DecontaminationParams = DecontaminationParams()) -> DataFrame:
     """``docs`` without the rows of documents in which an item leaked; rows with a null doc_id are kept."""
-    return docs.join(find_leaks(docs, benchmark, p).select("doc_id").distinct(), "doc_id", "left_anti").select(docs.columns)
+    gone = materialize(find_leaks(docs, benchmark, p).select("doc_id").distinct(), "leaked")
+    return docs.join(listed(gone), "doc_id", "left_anti").select(docs.columns)

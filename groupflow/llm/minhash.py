@@ -11,11 +11,12 @@ How pairs are kept few without losing a link:
    doc_id goes on;
 2. in each bucket every class is compared with the bucket's smallest class only (a star, linear
    in the bucket), and components are taken over the verified links;
-3. buckets whose classes all fell into one component are settled. In the others every class has been
-   compared with the bucket's smallest one, the pivot, and is described by its difference to the pivot. Two classes of
+3. buckets whose classes beside the smallest one, the pivot, all fell into one component are settled. In the others every
+   class has been compared with the pivot, and is described by its difference to the pivot. Two classes of
    different components can link only if their differences overlap by a number that their sizes give, so
    they meet by the rarest elements of the differences; what a whole group of near copies shares is in no
-   difference, and what sets them all apart from the pivot is frequent and comes last.
+   difference, and what sets them all apart from the pivot is frequent and comes last. Elements that only one component
+   has are no meeting places, and two classes that met at an element just before do not meet again.
 4. Meeting places with many pairs of different components are first worked off as stars, which merges components in
    rounds of linear size; only pairs that are left are compared one by one.
 """
@@ -36,7 +37,7 @@ from pyspark.sql import functions as F
 from groupflow.llm.shingles import shingle_set
 from groupflow.llm.worker_memory import tidy
 from groupflow.operators.graph import components
-from groupflow.storage import materialize, release
+from groupflow.storage import listed, materialize, release
 
 
 @dataclass(frozen=True)
@@ -156,58 +157,69 @@ def _verified(pairs: DataFrame, sets: DataFrame, p: MinHashParams) -> DataFrame:
 
 
 def _differences(pairs: DataFrame, sets: DataFrame) -> DataFrame:
-    """``pivot, face, node, n, d``: for each pair the elements in which the node's set and the pivot's differ. ``face`` tells
-    the pivot's sets apart, should its doc_id stand on several texts."""
+    """``hub, node, comp, n, d``: for each of ``pairs(src, dst, comp)`` the elements in which the node's set and the pivot's differ.
+    ``hub`` names the pivot and its set, should its doc_id stand on several texts."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            faces, sizes, out = [], [], []
+            hubs, sizes, out = [], [], []
+            pivots = batch.column(0).to_pylist()
             for i in range(batch.num_rows):
-                a = batch.column(2)[i].values.to_numpy()
-                b = batch.column(3)[i].values.to_numpy()
-                faces.append(xxhash.xxh64_intdigest(a.tobytes()) >> 1)
+                a = batch.column(3)[i].values.to_numpy()
+                b = batch.column(4)[i].values.to_numpy()
+                hubs.append(xxhash.xxh64_intdigest(a.tobytes(), pivots[i] & 0xFFFFFFFFFFFFFFFF) >> 1)
                 sizes.append(len(b))
                 out.append(np.setxor1d(a, b, assume_unique=True))
             yield pa.RecordBatch.from_arrays(
-                [batch.column(0), pa.array(faces, pa.int64()), batch.column(1), pa.array(sizes, pa.int64()), pa.array(out, pa.list_(pa.int64()))],
-                ["pivot", "face", "node", "n", "d"],
+                [pa.array(hubs, pa.int64()), batch.column(1), batch.column(2), pa.array(sizes, pa.int64()), pa.array(out, pa.list_(pa.int64()))],
+                ["hub", "node", "comp", "n", "d"],
             )
 
     both = pairs.join(sets.select(F.col("node").alias("src"), F.col("shingles").alias("a")), "src")
-    both = both.join(sets.select(F.col("node").alias("dst"), F.col("shingles").alias("b")), "dst").select("src", "dst", "a", "b")
-    return both.mapInArrow(tidy(run), "pivot long, face long, node long, n long, d array<long>")
+    both = both.join(sets.select(F.col("node").alias("dst"), F.col("shingles").alias("b")), "dst").select("src", "dst", "comp", "a", "b")
+    return both.mapInArrow(tidy(run), "hub long, node long, comp long, n long, d array<long>")
 
 
 _STEP = 1.25
-_PLACE = ["pivot", "face", "s", "low", "high"]
+_PLACE = ["hub", "s", "low", "high"]
+_BEFORE = 4  # elements before its own that a row names
 
 
 def _meetings(gaps: DataFrame, p: MinHashParams) -> DataFrame:
-    """``pivot, face, s, low, high, node, n, size, at``: where classes meet that may link, without loss.
+    """``hub, s, low, high, node, n, size, at, own, before``: where classes meet that may link, without loss.
 
     Sets at the threshold differ in at most ``h = (100 - t) / (100 + t) * (na + nb)`` elements, so their differences ``A`` and
     ``B`` to the pivot overlap in at least ``o = (|A| + |B| - h) / 2``, and in one at least where one of the two does not
     link with the pivot. Both then have an element in common among their first ``size - o + 1``, in any order; the
     rarest come first here. As ``o`` depends on the partner, a class has a prefix for each step of partner sizes.
+    ``before``: the meeting places just before in the same order. Where two classes share one of them they met there, as a prefix that
+    reaches an element reaches all before it.
     """
     t = p.threshold
-    each = gaps.select("pivot", "face", "node", F.xxhash64("d").alias("v"), "n", F.size("d").cast("long").alias("size"), F.explode("d").alias("s"))
-    common = each.groupBy("pivot", "face", "s").agg(F.count("*").alias("df")).filter("df > 1")
-    # elements of one class only meet nothing, but keep their places before the others
-    some = each.join(common, ["pivot", "face", "s"])
-    ranked = some.groupBy("pivot", "face", "node", "v", "n", "size").agg(F.sort_array(F.collect_list(F.struct("df", "s"))).alias("r"))
-    ranked = ranked.select("pivot", "face", "node", "n", "size", F.posexplode("r.s").alias("at", "s"), F.size("r").alias("held"))
+    gaps = gaps.withColumn("who", F.xxhash64("hub", "node", "d"))
+    step = lambda c: F.floor(F.log(c + 0.5) / math.log(_STEP)).cast("int")
+    own = step(F.size("d"))
+    each = gaps.select("hub", "who", "comp", own.alias("own"), F.explode("d").alias("s"))
+    # elements of one component only meet nothing, but keep their places: all before the first that is met count as before it
+    here = F.bit_or(F.expr("shiftleft(1L, own)")).alias("steps")  # steps of sizes there are at the element, by bits
+    common = each.groupBy("hub", "s").agg(F.count("*").alias("df"), F.min("comp").alias("lo"), F.max("comp").alias("hi"), here).filter("lo < hi")
+    some = each.select("hub", "who", "s").join(common.select("hub", "s", "df", "steps"), ["hub", "s"])
+    ranked = some.groupBy("who").agg(F.sort_array(F.collect_list(F.struct("df", "s", "steps"))).alias("r"))
+    known = gaps.select("who", "hub", "node", "n", F.size("d").cast("long").alias("size")).dropDuplicates(["who"])
+    ranked = ranked.select("who", F.col("r.s").alias("r"), F.col("r.steps").alias("steps")).join(known, "who")
+    met = lambda s, i: F.struct(s.alias("s"), F.get("steps", i).alias("steps"), F.slice("r", F.greatest(i + 1 - _BEFORE, F.lit(1)), F.least(i, F.lit(_BEFORE))).alias("before"))
+    ranked = ranked.select("hub", "node", "n", "size", F.posexplode(F.transform("r", met)).alias("at", "e"), F.size("r").alias("held"))
+    ranked = ranked.select("*", "e.s", "e.steps", "e.before").drop("e")
     ranked = ranked.withColumn("at", F.col("at") + F.col("size") - F.col("held")).drop("held")
     h = F.floor(F.col("n") * (100 - t) / t)
-    step = lambda c: F.floor(F.log(c + 0.5) / math.log(_STEP)).cast("int")
     ranked = ranked.withColumns({"own": step(F.col("size")), "h": h})
     partner = F.sequence(step(F.greatest(F.col("size") - F.col("h"), F.lit(1))), step(F.col("size") + F.col("h")))
-    rows = ranked.withColumn("k", F.explode(partner))
+    rows = ranked.withColumn("k", F.explode(partner)).filter(F.expr("steps & shiftleft(1L, k) <> 0"))
     # the smallest size in a step, less one for rounding
     least = F.greatest(F.ceil(F.pow(F.lit(_STEP), F.col("k")) - 0.5) - 1, F.lit(1))
     overlap = F.greatest(F.ceil((F.col("size") + least - F.col("h")) / 2), F.lit(1))
     rows = rows.filter(F.col("at") < F.col("size") - overlap + 1)
-    return rows.select("pivot", "face", "s", F.least("own", "k").alias("low"), F.greatest("own", "k").alias("high"), "node", "n", "size", "at", "own")
+    return rows.select("hub", "s", F.least("own", "k").alias("low"), F.greatest("own", "k").alias("high"), "node", "n", "size", "at", "own", "before")
 
 
 def _open(met: DataFrame, comp: DataFrame, name: str) -> tuple[DataFrame, int, int]:
@@ -233,8 +245,24 @@ def _merged(comp: DataFrame, links: DataFrame) -> DataFrame:
     return materialize(known.unionByName(alone), "comp")
 
 
+def _first_meetings(met: DataFrame, p: MinHashParams) -> DataFrame:
+    """``src, dst``: classes of different components that may link, where they meet first, or at least not just before."""
+    side = lambda node, x: met.select(*_PLACE, F.col("node").alias(node), *[F.col(c).alias(f"{c}_{x}") for c in ("comp", "n", "size", "at", "own", "before")])
+    t = p.threshold
+    need = F.ceil((F.col("size_a") + F.col("size_b") - F.floor((F.col("n_a") + F.col("n_b")) * (100 - t) / (100 + t))) / 2)
+    can = (
+        (F.col("src") < F.col("dst"))
+        & (F.col("comp_a") != F.col("comp_b"))
+        & ((F.col("low") == F.col("high")) | (F.col("own_a") != F.col("own_b")))
+        & (100 * F.least("n_a", "n_b") >= t * F.greatest("n_a", "n_b"))
+        & (F.least(F.col("size_a") - F.col("at_a"), F.col("size_b") - F.col("at_b")) >= need)
+        & ~F.arrays_overlap("before_a", "before_b")
+    )
+    return side("src", "a").join(side("dst", "b"), _PLACE).filter(can).select("src", "dst")
+
+
 def _settle(pairs: DataFrame, sets: DataFrame, comp: DataFrame, p: MinHashParams) -> DataFrame:
-    """``node, comp`` once all classes of ``pairs(src, dst)``, pivot and class, are compared as far as they can still merge."""
+    """``node, comp`` once all classes of ``pairs(src, dst, comp)``, pivot and class, are compared as far as they can still merge."""
     if pairs.isEmpty():
         return comp
     gaps = materialize(_differences(pairs, sets), "gaps")
@@ -242,18 +270,7 @@ def _settle(pairs: DataFrame, sets: DataFrame, comp: DataFrame, p: MinHashParams
     while n:
         last = cross <= p.linear * n
         if last:
-            a = met.select(*_PLACE, F.col("node").alias("src"), F.col("comp").alias("ca"), F.col("n").alias("na"), F.col("size").alias("da"), F.col("at").alias("ia"), F.col("own").alias("ka"))
-            b = met.select(*_PLACE, F.col("node").alias("dst"), F.col("comp").alias("cb"), F.col("n").alias("nb"), F.col("size").alias("db"), F.col("at").alias("ib"), F.col("own").alias("kb"))
-            t = p.threshold
-            need = F.ceil((F.col("da") + F.col("db") - F.floor((F.col("na") + F.col("nb")) * (100 - t) / (100 + t))) / 2)
-            can = (
-                (F.col("src") < F.col("dst"))
-                & (F.col("ca") != F.col("cb"))
-                & ((F.col("low") == F.col("high")) | (F.col("ka") != F.col("kb")))
-                & (100 * F.least("na", "nb") >= t * F.greatest("na", "nb"))
-                & (F.least(F.col("da") - F.col("ia"), F.col("db") - F.col("ib")) >= need)
-            )
-            star = a.join(b, _PLACE).filter(can).select("src", "dst").distinct()
+            star = _first_meetings(met, p).distinct()
         else:
             centre = met.groupBy(*_PLACE).agg(F.min(F.struct("node", "comp")).alias("m"))
             star = met.join(centre, _PLACE).filter("m.comp <> comp").select(F.col("m.node").alias("src"), F.col("node").alias("dst")).distinct()
@@ -291,10 +308,10 @@ def near_duplicates(docs: DataFrame, p: MinHashParams = MinHashParams()) -> Data
     low = buckets.groupBy("band", "bucket").agg(F.min("node").alias("low"), F.count("*").alias("n")).filter("n > 1")
     crowded = materialize(buckets.join(low, ["band", "bucket"]).select("band", "bucket", "node", "low"), "crowded")
     stars = crowded.filter("node <> low").select(F.col("low").alias("src"), F.col("node").alias("dst")).distinct()
-    wanted = crowded.select("node").distinct()
+    wanted = materialize(crowded.select("node").distinct(), "wanted")
     texts = (
         docs.select(F.col("doc_id").cast("long").alias("node"), "text")
-        .join(wanted, "node", "left_semi")
+        .join(listed(wanted), "node", "left_semi")
         .mapInArrow(tidy(_set_maker(p.width)), "node long, shingles array<long>")
     )
     sets = materialize(texts.withColumn("n_shingles", F.size("shingles").cast("long")), "sets")
@@ -303,9 +320,10 @@ def near_duplicates(docs: DataFrame, p: MinHashParams = MinHashParams()) -> Data
     comp = materialize(components(links), "comp").withColumnRenamed("component", "comp")
     # 3. and 4. what the stars left open
     labelled = crowded.join(comp, "node", "left").withColumn("comp", F.coalesce("comp", "node"))
+    labelled = labelled.filter("node <> low")
     open_buckets = labelled.groupBy("band", "bucket").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).filter("lo < hi")
-    rest = crowded.join(open_buckets.select("band", "bucket"), ["band", "bucket"]).filter("node <> low")
-    rest = materialize(rest.select(F.col("low").alias("src"), F.col("node").alias("dst")).distinct(), "rest")
+    rest = labelled.join(open_buckets.select("band", "bucket"), ["band", "bucket"])
+    rest = materialize(rest.select(F.col("low").alias("src"), F.col("node").alias("dst"), "comp").distinct(), "rest")
     final = _settle(rest, sets, comp, p).select("node", F.col("comp").alias("component"))
     by_class = classes.join(final, "node", "left").select(
         "set_key", F.coalesce("component", "node").alias("component_id")
@@ -327,8 +345,8 @@ def drop_near_duplicates(docs: DataFrame, p: MinHashParams = MinHashParams()) ->
     columns are carried along, whatever their names. An empty table gives an empty result.
     """
     found = materialize(near_duplicates(docs, p).select("doc_id", "kept"), "found")
-    gone = found.filter("not kept").select("doc_id").distinct()
-    kept = docs.join(gone, "doc_id", "left_anti")
+    gone = materialize(found.filter("not kept").select("doc_id").distinct(), "gone")
+    kept = docs.join(listed(gone), "doc_id", "left_anti")
     again = materialize(found.filter("kept and doc_id is not null").groupBy("doc_id").count().filter("count > 1").select("doc_id"), "again")
     if not again.isEmpty():
         order = Window.partitionBy("doc_id").orderBy(F.xxhash64("text"), "text")
