@@ -85,3 +85,25 @@ def test_flocks_and_swarms(spark):
     member = member_of(spark, [(1, [(1, 0, 0), (2, 0, 0), (3, 0, 0)]), (4, [(1, 0, 0), (2, 0, 0), (3, 0, 0)]), (7, [(1, 0, 0), (2, 0, 0)])])
     swarms = {tuple(r["objs"]): len(r["clusters"]) for r in patterns.swarms(member, 2, 2).collect()}
     assert swarms == {(1, 2): 3, (1, 2, 3): 2}
+
+
+def test_sql_distances_do_not_carry_repeated_points(spark):
+    from types import SimpleNamespace
+
+    from groupflow.functions import hausdorff
+    from groupflow.plans import surface
+
+    rng = random.Random(4)
+    lists = [None, [], [(0.0, 0.0)], [(rng.random() * 9, rng.random() * 9) for _ in range(300)], [(float(i % 3), 1.0) for i in range(300)]]
+    shape = spark.createDataFrame([(i, 0, x) for i, x in enumerate(lists[2:])], "cluster_id long, t long, pts array<struct<x: double, y: double>>")
+    none = shape.limit(0)
+    found = SimpleNamespace(member=none, shape=shape, link=none, cover=none, crowd=none, windows=none, group=none, evo=none)
+    surface.register(spark, none, found)
+    few = {r["cluster_id"]: r["pts"] for r in spark.sql("SELECT cluster_id, pts FROM shapes").collect()}
+    assert {i: sorted(map(tuple, x)) for i, x in few.items()} == {i: sorted(set(x)) for i, x in enumerate(lists[2:])}
+    rows = spark.createDataFrame([(a, b, most) for a in lists for b in lists for most in (1.0, 8.0)], "a array<struct<x: double, y: double>>, b array<struct<x: double, y: double>>, most double")
+    got = rows.selectExpr("hausdorff(a, b) AS q", "hausdorff_within(a, b, most) AS w").collect()
+    want = rows.select(hausdorff.distance(F.col("a"), F.col("b")).alias("q"), hausdorff.within(F.col("a"), F.col("b"), F.col("most")).alias("w")).collect()
+    known = [None not in (a, b) for a in lists for b in lists for _ in range(2)]
+    assert [tuple(r) for r, k in zip(got, known, strict=True) if k] == [tuple(r) for r, k in zip(want, known, strict=True) if k]
+    assert all(r["q"] is None and r["w"] is None for r, k in zip(got, known, strict=True) if not k)
