@@ -107,3 +107,21 @@ def test_sql_distances_do_not_carry_repeated_points(spark):
     known = [None not in (a, b) for a in lists for b in lists for _ in range(2)]
     assert [tuple(r) for r, k in zip(got, known, strict=True) if k] == [tuple(r) for r, k in zip(want, known, strict=True) if k]
     assert all(r["q"] is None and r["w"] is None for r, k in zip(got, known, strict=True) if not k)
+
+
+def test_experiments_measure_equal_work_once(spark, monkeypatch):
+    from types import SimpleNamespace
+
+    from groupflow.plans import experiments
+
+    asked, built, build = [], [], links.build
+    monkeypatch.setattr(experiments, "discover", lambda some, p: SimpleNamespace(evo=SimpleNamespace(count=lambda: asked.append(p) or len(asked))))
+    monkeypatch.setattr(links, "build", lambda shape, p, *a, **k: built.append(p) or build(shape, p, *a, **k))
+    snap = spark.range(4).withColumnRenamed("id", "obj_id")
+    settings = [*[("objects", *x) for x in experiments.objects(snap, P, 2)], ("d", 2.0, snap, P), ("d", 3.0, snap, P.but(d=3.0))]
+    rows = {(r["experiment"], r["value"]): r for r in experiments.whole(snap, settings).collect()}
+    assert len(rows) == 4 and [p.d for p in asked] == [2.0, 2.0, 3.0]
+    assert rows["objects", 1.0][2:] == rows["d", 2.0][2:] and rows["objects", 0.5]["answers"] == 1
+    got = experiments.crowd_step(_random(spark, 2, 4), "k_c", [(k, P.but(k_c=k)) for k in (4, 5)]).collect()
+    assert len(got) == 6 and len(built) == 5
+    assert all(r["seconds"] > 0 for r in got)
