@@ -1,7 +1,9 @@
 """Space parts: no link is lost, loads are even, and few clusters or equal places do no harm."""
 
+import math
 import random
 
+import pytest
 from pyspark.sql import functions as F
 from test_groups import member_of
 
@@ -87,6 +89,48 @@ def test_flocks_and_swarms(spark):
     assert swarms == {(1, 2): 3, (1, 2, 3): 2}
 
 
+def _swarms(spark, sets, m, k, **more):
+    rows = [(c << 32, c, o) for o, held in sets.items() for c in held]
+    member = spark.createDataFrame(rows, "cluster_id long, t long, obj_id long")
+    return [(tuple(r["objs"]), tuple(c >> 32 for c in r["clusters"])) for r in patterns.swarms(member, m, k, **more).collect()]
+
+
+def test_swarms_against_brute_force(spark):
+    from itertools import combinations
+
+    rng = random.Random(6)
+    for n, c, p, m, k in ((9, 12, 0.5, 2, 2), (10, 8, 0.8, 3, 3), (7, 6, 0.3, 1, 1), (3, 2, 0.0, 1, 1)):
+        sets = {o: {t for t in range(c) if rng.random() < p} for o in range(n)}
+        want = set()
+        for size in range(1, n + 1):
+            for some in combinations(sets, size):
+                common = set.intersection(*[sets[o] for o in some])
+                objs = tuple(o for o in sets if common <= sets[o])
+                if len(common) >= k and len(objs) >= m:
+                    want.add((objs, tuple(sorted(common))))
+        got = _swarms(spark, sets, m, k)
+        assert sorted(got) == sorted(want)
+
+
+def test_swarms_list_no_parts_of_copies(spark):
+    """Forty objects on one track have 2 ** 40 subsets and one closed set; larger sets are made by closed ones only."""
+    sets = {o: range(12) for o in range(40)} | {100 + o: range(6, 18) for o in range(40)}
+    some = tuple(range(40)), tuple(range(100, 140))
+    want = [(some[0], tuple(range(12))), (some[0] + some[1], tuple(range(6, 12))), (some[1], tuple(range(6, 18)))]
+    assert sorted(_swarms(spark, sets, 3, 5)) == want
+
+
+def test_swarms_too_many_to_list_are_an_error_before_they_are_listed(spark):
+    """Each object misses a cluster of its own: any of the clusters share another set."""
+    sets = {o: set(range(60)) - {o} for o in range(60)}
+    with pytest.raises(RuntimeError, match="at least 1152921"):
+        _swarms(spark, sets, 3, 12)
+    few = {o: set(range(8)) - {o} for o in range(8)}
+    assert len(_swarms(spark, few, 3, 2)) == sum(math.comb(8, j) for j in range(2, 6))
+    with pytest.raises(RuntimeError, match="at least 210 "):
+        _swarms(spark, few, 3, 2, max_sets=209)
+
+
 def test_sql_distances_do_not_carry_repeated_points(spark):
     from types import SimpleNamespace
 
