@@ -296,3 +296,16 @@ def test_positions_are_shared(spark):
     snap = spark.createDataFrame(rows, "t long, obj_id long, x double, y double")
     found = sweeps.objects(snap.mapInArrow(seen, snap.schema), Params(), 5).collect()
     assert [(r["objects"], r["points"]) for r in found] == [(8 * k, 24 * k) for k in range(1, 6)] and read.value == 120
+
+
+def test_convoys_write_each_object_once(spark, monkeypatch):
+    """Found convoys stand on storage by place and size: many convoys of the same objects do not repeat them."""
+    written, write = [], baselines.materialize
+    monkeypatch.setattr(baselines, "materialize", lambda df, name: written.append((name, write(df, name))) or written[-1][1])
+    # 300 objects, of which one leaves for good at each timestamp
+    rows = [(t, t * ID_BASE, o) for t in range(40) for o in range(300) if o >= t]
+    member = spark.createDataFrame(rows, "t long, cluster_id long, obj_id long")
+    got = sorted((r["first_t"], r["last_t"], len(r["objs"])) for r in baselines.convoys(member, 2, 3).collect())
+    assert got == [(0, t, 300 - t) for t in range(2, 40)]
+    stored = sum(df.select(F.sum(F.size("objs"))).first()[0] for name, df in written if name == "convoys")
+    assert stored < 40 * 300 + 100
